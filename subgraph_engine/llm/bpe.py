@@ -42,6 +42,7 @@ SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)
 
 # A blank inside a longer run of white space isn't a place to cut at.
 _INSIDE = re.compile(rf"[{WHITE}] (?![^{WHITE}])")
+_LONG = re.compile(rf"[^{WHITE}]{{{2 * FAST_CHARS}}}|[{WHITE}]{{{FAST_CHARS}}}")
 _RUNS = re.compile(rf"[{WHITE}]*[^{WHITE}]+|[{WHITE}]+")
 
 
@@ -53,6 +54,16 @@ def words_of(text: str) -> list[str]:
     return ([first] if first else []) + [" " + x for x in rest]
 
 
+def _plain(text: str) -> bool:
+    """Whether all characters lie below U+0100 and no word is very long."""
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return False
+    # a word of twice a block's length fills a block; few texts have a block without a blank
+    return all(" " in text[k : k + FAST_CHARS] for k in range(0, len(text) - FAST_CHARS, FAST_CHARS)) or not _LONG.search(text)
+
+
 def _bytes_of_symbols() -> dict[str, int]:
     """The printable symbol that stands for each byte in the vocabulary file, reversed."""
     plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
@@ -115,7 +126,11 @@ class Codec(dict):
         return list(map(self.__getitem__, words_of(text)))
 
     def encode(self, text: str | None) -> bytes:
-        """The text's ids, four bytes each."""
+        """The text's ids, four bytes each, past the table where a text is plain enough to go whole."""
+        if not text:
+            return b""
+        if not (self._apart and self._apart.search(text)) and _plain(text):
+            return array("I", self._fast(text)).tobytes()
         return b"".join([a for a, _ in self.entries(text)])
 
     def decode(self, ids: bytes) -> str:
