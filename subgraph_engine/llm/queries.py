@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from subgraph_engine.llm import bpe, chat, merkle, packing, urls
+from subgraph_engine.llm import bpe, chat, merkle, neardup, packing, urls
 from subgraph_engine.llm.common import table
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -62,8 +62,13 @@ def op5_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.format_digests(rows.unionByName(extra))
 
 
+def op6_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Near-duplicates of all documents: sets of five-word shingles, similarity of 0.75 or more."""
+    return neardup.near_duplicates(table(spark, sf_dir, "documents"), num=75, den=100)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op4_merkle, op5_chat)}
+    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op4_merkle, op5_chat, op6_neardup)}
 
 
 def oracle_sql() -> dict[str, str]:
