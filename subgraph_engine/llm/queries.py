@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from subgraph_engine.llm import bpe, chat, merkle, neardup, packing, urls
+from subgraph_engine.llm import bpe, chat, lm, merkle, neardup, packing, urls
 from subgraph_engine.llm.common import table
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -67,8 +67,13 @@ def op6_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "documents"), num=75, den=100)
 
 
+def op10_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document scored by a Kneser-Ney model of those that aren't held out."""
+    return lm.train_and_score(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op4_merkle, op5_chat, op6_neardup)}
+    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op4_merkle, op5_chat, op6_neardup, op10_lm)}
 
 
 def oracle_sql() -> dict[str, str]:
