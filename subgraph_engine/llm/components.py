@@ -26,12 +26,14 @@ def components(links: DataFrame, rounds: int = 60) -> DataFrame:
         if now == before:
             break
         before = now
-        both = links.union(links.select("b", "a"))
+        both = links.select(F.explode(F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b"))))).select("col.a", "col.b")
         least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
-        large = both.join(least, "a").where("b > a and b <> m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        large = both.join(least, "a").where("b > a").select(F.col("b").alias("a"), F.col("m").alias("b"))
         least = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(least, "a").select("b", "m").where("b <> m").union(least.select("a", "m")).toDF("a", "b").distinct()
+        ends = F.explode(F.array(F.struct(F.col("a").alias("a"), F.col("m").alias("b")), F.struct(F.col("b").alias("a"), F.col("m").alias("b"))))
+        small = large.join(least, "a").select(ends).select("col.a", "col.b").where("a <> b").distinct()
         links = written(small, "links")
     else:
         raise RuntimeError(f"components did not settle in {rounds} rounds")
-    return links.select(F.col("a").alias("v"), F.col("b").alias("root")).union(links.select("b", "b").distinct())
+    ends = F.explode(F.array(F.struct(F.col("a").alias("v"), F.col("b").alias("root")), F.struct(F.col("b").alias("v"), F.col("b").alias("root"))))
+    return links.select(ends).select("col.v", "col.root").distinct()

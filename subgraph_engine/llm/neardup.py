@@ -173,6 +173,16 @@ def _blocked(rows: DataFrame, group: str, weight: F.Column, size: int) -> DataFr
     return rows.withColumn("block", F.floor(F.coalesce(F.sum(weight).over(before), F.lit(0)) / size).cast("int"))
 
 
+def _dealt(rows: DataFrame, every: F.Column, asking: F.Column) -> DataFrame:
+    """Each row goes to the pairs of blocks ``i, j`` where it is needed: in i if it asks, in j to be compared with.
+
+    A row that asks goes to all blocks; blocks where none asks meet none.
+    """
+    asks = F.when(F.col("asks"), F.transform(every, lambda j: F.struct(F.col("block").alias("i"), j.alias("j"), F.lit(True).alias("asks")))).otherwise(F.array())
+    there = F.transform(asking, lambda i: F.struct(i.alias("i"), F.col("block").alias("j"), F.lit(False).alias("asks")))
+    return rows.withColumn("at", F.explode(F.concat(asks, there))).drop("asks").select("*", "at.i", "at.j", "at.asks")
+
+
 def _across_regions(broken: DataFrame, classes: DataFrame, needed: int) -> DataFrame:
     """``a, b``: of runs with more than one region, agreeing pairs across regions that connect these.
 
@@ -184,8 +194,7 @@ def _across_regions(broken: DataFrame, classes: DataFrame, needed: int) -> DataF
     rows = written(_blocked(rows, "run", F.lit(1), RUN_BLOCK), "runs")
     spans = rows.groupBy("run").agg(F.array_distinct(F.collect_set("block")).alias("all"), F.array_distinct(F.collect_set(F.when(F.col("asks"), F.col("block")))).alias("asking"))
     rows = rows.join(spans, "run").join(classes.select("class", "data"), "class")
-    asked = rows.where("asks").select("run", F.col("block").alias("i"), F.explode("all").alias("j"), F.lit(True).alias("asks"), "class", "region", "data")
-    there = rows.select("run", F.explode("asking").alias("i"), F.col("block").alias("j"), F.lit(False).alias("asks"), "class", "region", "data")
+    rows = _dealt(rows, F.col("all"), F.col("asking")).select("run", "i", "j", "asks", "class", "region", "data")
 
     def compare(table: pa.Table) -> pa.Table:
         x, y = table.filter(table["asks"]), table.filter(pc.invert(table["asks"]))
@@ -201,7 +210,7 @@ def _across_regions(broken: DataFrame, classes: DataFrame, needed: int) -> DataF
                     out.append((name, others[j]))
         return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
 
-    return asked.union(there).groupBy("run", "i", "j").applyInArrow(compare, "a long, b long").distinct()
+    return rows.groupBy("run", "i", "j").applyInArrow(compare, "a long, b long").distinct()
 
 
 class _Sets:
@@ -263,8 +272,9 @@ def region_links(members: DataFrame, num: int, den: int) -> DataFrame:
         return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
 
     # the leader joins every block, so that what it links is one component throughout
-    leaders = rows.where("class = leader").join(large, "region").select("region", F.explode(F.sequence(F.lit(1), "last")).alias("block"), "class", "data", "leader")
-    links = written(rows.select("region", "block", "class", "data", "leader").union(leaders).groupBy("region", "block").applyInArrow(within, "a long, b long"), "links_within")
+    at = F.when(F.col("class") == F.col("leader"), F.sequence(F.lit(0), "last")).otherwise(F.array("block"))
+    spread = rows.join(last, "region").withColumn("block", F.explode(at)).select("region", "block", "class", "data", "leader")
+    links = written(spread.groupBy("region", "block").applyInArrow(within, "a long, b long"), "links_within")
     if large.isEmpty():
         return links
 
@@ -273,8 +283,8 @@ def region_links(members: DataFrame, num: int, den: int) -> DataFrame:
     main = rows.groupBy("region", "root").agg(F.count("*").alias("n")).groupBy("region").agg(F.max(F.struct("n", "root"))["root"].alias("main"))
     rows = rows.join(main, "region").withColumn("asks", F.col("root") != F.col("main"))
     asking = rows.where("asks").groupBy("region").agg(F.collect_set("block").alias("asking"))
-    asked = rows.where("asks").select("region", F.col("block").alias("i"), F.explode(F.sequence(F.lit(0), "last")).alias("j"), F.lit(True).alias("asks"), "class", "data", "root")
-    there = rows.join(asking, "region").select("region", F.explode("asking").alias("i"), F.col("block").alias("j"), F.lit(False).alias("asks"), "class", "data", "root")
+    rows = _dealt(rows.join(asking, "region"), F.sequence(F.lit(0), "last"), F.col("asking")).where("i <> j")
+    rows = rows.select("region", "i", "j", "asks", "class", "data", "root")
 
     def between(table: pa.Table) -> pa.Table:
         x, y = table.filter(table["asks"]), table.filter(pc.invert(table["asks"]))
@@ -288,7 +298,7 @@ def region_links(members: DataFrame, num: int, den: int) -> DataFrame:
                         out.append((name, names[j]))
         return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
 
-    more = asked.where("i <> j").union(there.where("i <> j")).groupBy("region", "i", "j").applyInArrow(between, "a long, b long")
+    more = rows.groupBy("region", "i", "j").applyInArrow(between, "a long, b long")
     return links.union(written(more, "links_between"))
 
 
@@ -312,7 +322,7 @@ def near_duplicates(docs: DataFrame, num: int = 75, den: int = 100, id_col: str
     split = runs.select("run", F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).join(far, ["a", "b"], "left_semi").select("run").distinct()
     long_runs = runs.groupBy("run").agg(F.count("*").alias("n")).where("n > 1").join(split, "run", "left_semi").select("run")
     members = runs.join(long_runs, "run", "left_semi")
-    members = members.select("run", F.col("a").alias("class")).union(members.select("run", "b")).distinct()
+    members = members.select("run", F.explode(F.array("a", "b")).alias("class")).distinct()
     broken = members.join(regions.toDF("class", "region"), "class", "left").withColumn("region", F.coalesce("region", "class"))
     near = near.union(written(_across_regions(broken, classes, needed), "across"))
 
