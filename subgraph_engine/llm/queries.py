@@ -7,7 +7,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from subgraph_engine.llm import bpe, chat, lm, merkle, neardup, packing, urls
+from subgraph_engine.llm import bpe, chat, lm, merkle, neardup, packing, quality, urls
 from subgraph_engine.llm.common import table
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -67,14 +67,39 @@ def op6_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "documents"), num=75, den=100)
 
 
+def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document's counts and verdict, line first."""
+    return quality.clean_lines(table(spark, sf_dir, "documents")).drop("cleaned")
+
+
+OP9_SQL = f"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
+w AS (SELECT doc_id, t, list_filter(regexp_split_to_array(t, '[{quality.WHITE}]+'), lambda x: x <> '') AS ws,
+  list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^{quality.WHITE}]')) AS ls FROM d),
+pos AS (SELECT doc_id, ws, unnest(range(1, len(ws) - 1)) AS i FROM w),
+seen AS (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, ws[i], ws[i + 1], ws[i + 2]) AS n FROM pos),
+rep AS (SELECT doc_id, count(DISTINCT p) AS r FROM (SELECT doc_id, unnest([i, i + 1, i + 2]) AS p FROM seen WHERE n > 1) GROUP BY doc_id),
+c AS (SELECT doc_id, ls, len(ws) AS n_words, length(array_to_string(ws, '')) AS word_chars,
+  length(regexp_replace(t, '[^{quality.SYMBOLS}]+', '', 'g')) AS n_symbols, len(ls) - len(list_distinct(ls)) AS n_dup_lines, coalesce(r, 0) AS n_repeat_words,
+  array_to_string(list_filter(ls, lambda x: NOT (length(regexp_replace(x, '[^{quality.SYMBOLS}]+', '', 'g')) >= {quality.SYMBOL_SHARE} * length(x)
+    OR regexp_matches(x, '{quality.NAVIGATION}') OR regexp_matches(x, '{quality.BOILERPLATE}')
+    OR (len(regexp_split_to_array(trim(x), '[{quality.WHITE}]+')) <= {quality.FRAGMENT_WORDS} AND NOT regexp_matches(rtrim(x), '{quality.CLOSED.replace("'", "''")}')))), chr(10)) AS cleaned
+  FROM w LEFT JOIN rep USING (doc_id)),
+j AS (SELECT *, n_words < {quality.LEAST_WORDS} OR n_repeat_words > {quality.REPEATED} * n_words AS base_failed FROM c)
+SELECT doc_id, n_words::BIGINT AS n_words, word_chars::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols, n_dup_lines::BIGINT AS n_dup_lines,
+  n_repeat_words::BIGINT AS n_repeat_words, base_failed, NOT base_failed AND length(cleaned) >= {quality.KEPT_SHARE} * length(array_to_string(ls, chr(10))) AS kept
+FROM j
+"""
+
+
 def op10_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every document scored by a Kneser-Ney model of those that aren't held out."""
     return lm.train_and_score(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op4_merkle, op5_chat, op6_neardup, op10_lm)}
+    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op4_merkle, op5_chat, op6_neardup, op9_quality, op10_lm)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_urls": OP2_SQL}
+    return {"op2_urls": OP2_SQL, "op9_quality": OP9_SQL}
