@@ -48,8 +48,16 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS[0], _POWERS[1]
 
 
-def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-    """The hashes of all words in order, and where each row's words begin (one more entry than rows)."""
+#: What lies between runs of letters: all of ASCII but letters; bytes of other characters count as letters.
+NOT_LETTERS = np.ones(256, bool)
+NOT_LETTERS[[*range(65, 91), *range(97, 123), *range(128, 256)]] = False
+
+
+def word_hashes(texts: pa.Array, white: np.ndarray = _WHITE) -> tuple[np.ndarray, np.ndarray]:
+    """The hashes of all words in order, and where each row's words begin (one more entry than rows).
+
+    ``white`` says of each byte whether it lies between words.
+    """
     rows = len(texts)
     if texts.null_count:
         texts = texts.fill_null("")
@@ -61,7 +69,7 @@ def word_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         return np.zeros(0, "<u8"), np.zeros(rows + 1, "<i8")
     raw = np.frombuffer(data, "u1")[first:last]
     cuts = offsets - first
-    inside = ~_WHITE[raw]
+    inside = ~white[raw]
     start = inside.copy()
     start[1:] &= ~inside[:-1]
     begins = cuts[:-1][cuts[:-1] < len(raw)]

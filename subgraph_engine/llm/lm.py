@@ -39,7 +39,7 @@ from subgraph_engine.llm.hashing import blocks, mix, word_hashes
 from subgraph_engine.llm.urls import local
 
 #: Tokens that a task counts before it sums up, bytes of text scored at once.
-TOKENS, SCORED = 1 << 21, 8 << 20
+TOKENS, SCORED = 1 << 20, 3 << 20
 #: Fixed value: the hash that stands for the end of a text.
 END = np.uint64(0x0E0D_0E0D_0E0D_0E0D)
 
@@ -243,7 +243,7 @@ class _Counter:
 
 
 #: Distinct keys that a task holds before it hands them over.
-HELD = 1 << 22
+HELD = 3 << 20
 _PARTS = "shard int, n long, keys binary, counts binary"
 
 

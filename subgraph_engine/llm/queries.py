@@ -6,8 +6,9 @@ from collections.abc import Callable
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from subgraph_engine.llm import bpe, chat, lm, merkle, neardup, packing, quality, urls
+from subgraph_engine.llm import bpe, chat, langid, lm, merkle, neardup, packing, quality, toxicity, urls
 from subgraph_engine.llm.common import table
 
 VOCABULARY = "byte_bpe_50k.json"
@@ -67,6 +68,31 @@ def op6_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return neardup.near_duplicates(table(spark, sf_dir, "documents"), num=75, den=100)
 
 
+def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document's language; the text models learn from the documents' own language column."""
+    docs = table(spark, sf_dir, "documents")
+    return langid.identify(docs, langid.train_text(docs))
+
+
+def page_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every page's language, with its declared language, address suffix and host."""
+    model = langid.train_text(table(spark, sf_dir, "documents"))
+    pages = table(spark, sf_dir, "pages")
+    bare = F.regexp_replace(F.regexp_replace("html", r"(?is)<(script|style)\b.*?</\1>", " "), r"(?s)<[^>]*>", " ")
+    host = F.lower(F.regexp_extract("url", r"^[^:]*://([^/?#]*)", 1))
+    rows = pages.select("page_id", bare.alias("bare"), host.alias("host"), "html")
+    return langid.identify(rows, model, id_col="page_id", text_col="bare", host_col="host", markup_col="html").withColumnRenamed("doc_id", "page_id")
+
+
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Every document's toxicity, learned from labels of rows that aren't held out."""
+    held = (F.crc32(F.coalesce(F.col("id").cast("string"), F.lit("")).cast("binary")) % 4) == 2
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.train(docs, table(spark, sf_dir, "labels"), ~held)
+    scored = toxicity.score_documents(docs, model).withColumnRenamed("doc_id", "id")
+    return scored.select(F.col("id").alias("doc_id"), held.alias("held_out"), "score", "predicted", "passages")
+
+
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every document's counts and verdict, line first."""
     return quality.clean_lines(table(spark, sf_dir, "documents")).drop("cleaned")
@@ -98,7 +124,7 @@ def op10_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op4_merkle, op5_chat, op6_neardup, op9_quality, op10_lm)}
+    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op4_merkle, op5_chat, op6_neardup, op7_language, op8_toxicity, op9_quality, op10_lm, page_language)}
 
 
 def oracle_sql() -> dict[str, str]:
