@@ -57,3 +57,15 @@ def slices(batches: Iterator[pa.RecordBatch], rows: int = SLICE) -> Iterator[pa.
 def column(df: DataFrame, name: str, kind: str) -> F.Column:
     """The column if the frame has it, else nulls of that kind."""
     return F.col(f"`{name}`").cast(kind) if name in df.columns else F.lit(None).cast(kind)
+
+
+#: Ids up to which a table is broadcast in an anti-join.
+BROADCAST_IDS = 1_000_000
+
+
+def without(docs: DataFrame, gone: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """``docs`` without the rows whose id is in ``gone``; rows without an id stay."""
+    gone = written(gone.select(id_col).where(F.col(id_col).isNotNull()).distinct(), "gone")
+    if gone.count() <= BROADCAST_IDS:
+        gone = F.broadcast(gone)
+    return docs.join(gone, id_col, "left_anti").select(*docs.columns)

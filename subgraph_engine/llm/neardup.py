@@ -31,7 +31,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from subgraph_engine.llm.common import written
+from subgraph_engine.llm.common import slices, written
 from subgraph_engine.llm.components import components
 from subgraph_engine.llm.hashing import blocks, mix, word_hashes
 
@@ -104,7 +104,7 @@ def forest_neighbours(classes: DataFrame, parts: int) -> DataFrame:
     """``run, a, b``: neighbours in each sorted order; run names the order and the common prefix."""
 
     def trees(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in slices(batches, 1000):
             if not batch.num_rows:
                 continue
             values = np.stack([np.frombuffer(x, "<u4") for x in batch.column("data").to_pylist()])
