@@ -84,7 +84,7 @@ def new_triangles(stream: DataFrame, seconds: int = 600, delay: str = "1 hour")
         if state.hasTimedOut:
             state.remove()
             return
-        users = list(state.get[0]) if state.exists else []
+        users = [int(u) for u in state.get[0]] if state.exists else []
         out = []
         for frame in frames:
             for u in frame["user_id"].tolist():
@@ -92,7 +92,7 @@ def new_triangles(stream: DataFrame, seconds: int = 600, delay: str = "1 hour")
                     out += [(*key, *sorted((a, b, u))) for k, a in enumerate(users) for b in users[k + 1 :]]
                     users.append(u)
         state.update((users,))
-        state.setTimeoutTimestamp(max((key[1] + 1) * seconds * 1000, state.getCurrentWatermarkMs() + 1))
+        state.setTimeoutTimestamp(max((int(key[1]) + 1) * seconds * 1000, int(state.getCurrentWatermarkMs()) + 1))
         yield pd.DataFrame(out, columns=["event_type", "bucket", "v1", "v2", "v3"])
 
     rows = stream.withWatermark("ts", delay).withColumn("bucket", F.floor(F.unix_seconds("ts") / seconds))
