@@ -33,8 +33,12 @@ class MatchPlan:
         return MatchPlan(query, root, layers, len(layers) - 1 if inside else len(layers) - 2)
 
 
+def _of_labels(labels: list[str]) -> F.Column:
+    return F.filter("nbrs", lambda x: x["label"].isin(labels))
+
+
 class MatchProgram(TaskProgram):
-    """Lists hold (id, label, elabel); replies keep items whose label the pattern has.
+    """Lists hold (id, label, elabel); replies keep the items that the pattern can use.
 
     ``rules``: for the five-vertex pattern, the case rules that drop c-vertices and b-candidates
     after the first pull. The edge between a c-vertex and its b-neighbours beside the a-vertex is
@@ -60,8 +64,16 @@ class MatchProgram(TaskProgram):
         return rows.select(F.col("id").alias("root"), F.filter("nbrs", lambda x: x["label"].isin(sorted(set(query.labels.values())))).alias("own"), pulls.alias("pulls"))
 
     def reply(self, adjacency: DataFrame) -> DataFrame:
-        used = sorted(set(self.plan.query.labels.values()))
-        return adjacency.select("id", F.filter("nbrs", lambda x: x["label"].isin(used)).alias("nbrs"))
+        """Items towards the same or later layers; edges back are known from the layer before."""
+        query, layer = self.plan.query, {q: k for k, own in enumerate(self.plan.layers) for q in own}
+        used: dict[str, set[str]] = {}
+        for q, label in query.labels.items():
+            used.setdefault(label, set()).update(query.labels[n] for n in query.neighbours(q) if layer[n] >= layer[q])
+        items = F.array().cast(adjacency.schema["nbrs"].dataType)
+        for label, kept in sorted(used.items()):
+            if kept:
+                items = F.when(F.col("label") == label, _of_labels(sorted(kept))).otherwise(items)
+        return adjacency.where(F.col("label").isin(sorted(used))).select("id", items.alias("nbrs"))
 
     def _pruned(self, own: dict[int, str], lists: dict[int, dict[int, str]]) -> tuple[dict[int, dict[int, str]], list[int]]:
         """The lists without c-vertices that no match can use, and the b-vertices that may stand fourth."""
