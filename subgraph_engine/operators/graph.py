@@ -64,8 +64,8 @@ def encode_ids(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
 def forward_adjacency(g: PropertyGraph, orient: str = "id") -> DataFrame:
     """``id, nbrs``: each vertex's larger neighbours, ascending; by id, or by (degree, id).
 
-    With ``orient="degree"`` ids become ranks in the order of (degree, id), which keeps every
-    answer that doesn't name vertices and bounds a list by the square root of twice the edges.
+    With ``orient="degree"`` "larger" is by (degree, id), which bounds a list by the square root of
+    twice the edges, hubs included; lists are still sorted by id, so their last one isn't the largest.
     """
     e = g.edges.select("src", "dst")
     if orient == "degree":

@@ -11,11 +11,18 @@ from subgraph_engine.plans.runtime import RunConfig, RunResult, run_program
 
 
 class TriangleProgram(TaskProgram):
-    """A triangle belongs to its least vertex, which asks all but the last of its larger neighbours."""
+    """A triangle belongs to its least vertex, which asks its larger neighbours for theirs.
+
+    In order of ids the last one has nothing to add, so it isn't asked; ``ask_all`` asks it too.
+    """
+
+    def __init__(self, ask_all: bool = False) -> None:
+        self.ask_all = ask_all
 
     def seed(self, adjacency: DataFrame) -> DataFrame:
         own = adjacency.where(F.size("nbrs") >= 2)
-        return own.select(F.col("id").alias("root"), F.col("nbrs").alias("own"), F.slice("nbrs", 1, F.size("nbrs") - 1).alias("pulls"))
+        pulls = F.col("nbrs") if self.ask_all else F.slice("nbrs", 1, F.size("nbrs") - 1)
+        return own.select(F.col("id").alias("root"), F.col("nbrs").alias("own"), pulls.alias("pulls"))
 
     def step(self, task, frontier, shared) -> StepOutcome:
         own = set(task.own)
@@ -25,7 +32,7 @@ class TriangleProgram(TaskProgram):
 
 
 def triangle_tasks(g: PropertyGraph, config: RunConfig = RunConfig(), orient: str = "id", listing: bool = False) -> RunResult:
-    return run_program(forward_adjacency(g, orient), TriangleProgram(), config, {"list": listing})
+    return run_program(forward_adjacency(g, orient), TriangleProgram(ask_all=orient != "id"), config, {"list": listing})
 
 
 def _lists_of_edges(g: PropertyGraph, orient: str) -> DataFrame:
