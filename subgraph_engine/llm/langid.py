@@ -30,6 +30,8 @@ from subgraph_engine.llm.hashing import NOT_LETTERS, blocks
 
 #: Labelled documents of each language that the text models learn from at most, and bytes of each.
 SAMPLE, SAMPLE_BYTES = 1000, 20_000
+#: Languages that get a model at most, the most frequent ones.
+LANGUAGES = 200
 SLOTS, PRIOR, TRUSTED = 1 << 16, 0.5, 60
 #: How often a declared language or a country suffix is right, and prior documents of a host and a domain.
 MARKUP_RIGHT, SUFFIX_RIGHT, HOST_PRIOR, DOMAIN_PRIOR = 0.9, 0.8, 20.0, 50.0
@@ -96,28 +98,18 @@ def train_text(docs: DataFrame, sample: int = SAMPLE, text_col: str = "text", la
     """
     text, lang = F.coalesce(F.col(text_col).cast("string"), F.lit("")), F.lower(F.trim(F.col(lang_col).cast("string")))
     rows = docs.select(lang.alias("lang"), F.xxhash64(text).alias("h"), F.substring(text, 1, SAMPLE_BYTES).alias("text")).where("lang is not null and lang <> ''")
-
-    def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        """A task's documents with the least hashes, ``sample`` of a language at most."""
-        best: dict[str, dict[int, str]] = {}
-        for batch in batches:
-            for lang, h, text in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                own = best.setdefault(lang, {})
-                own[h] = text
-                if len(own) >= 2 * sample:
-                    best[lang] = {k: own[k] for k in sorted(own)[:sample]}
-        for lang, own in best.items():
-            keys = sorted(own)[:sample]
-            yield pa.RecordBatch.from_arrays([pa.array([lang] * len(keys), pa.string()), pa.array(keys, pa.int64()), pa.array([own[k] for k in keys], pa.string())], names=["lang", "h", "text"])
+    # twice the sample passes by hash, so what meets in a language's group is bounded however many rows it has
+    sizes = docs.select(lang.alias("lang")).where("lang is not null and lang <> ''").groupBy("lang").agg(F.count("*").alias("n"))
+    sizes = sizes.orderBy(F.desc("n"), "lang").limit(LANGUAGES)
+    share = F.pmod("h", F.lit(1 << 30)) / float(1 << 30)
+    picked = rows.join(F.broadcast(sizes), "lang").where(share * F.col("n") < 2 * sample).select("lang", "h", "text").dropDuplicates(["lang", "h"])
 
     def count(table: pa.Table) -> pa.Table:
-        keys, texts = table["h"].to_numpy(), table["text"].combine_chunks()
-        _, first = np.unique(keys, return_index=True)
-        slots, _ = trigrams(texts.take(pa.array(first[:sample])))
+        table = table.sort_by("h").slice(0, sample)
+        slots, _ = trigrams(table["text"].combine_chunks())
         own = np.bincount(slots, minlength=SLOTS)
         return pa.table({"lang": table["lang"][:1], "counts": pa.array([own.tolist()], pa.list_(pa.int64()))})
 
-    picked = rows.mapInArrow(pick, "lang string, h long, text string")
     got = sorted((r["lang"], r["counts"]) for r in picked.groupBy("lang").applyInArrow(count, "lang string, counts array<long>").collect())
     logs = np.array([np.log((np.array(c) + PRIOR) / (sum(c) + PRIOR * SLOTS)) for _, c in got] + [np.full(SLOTS, -np.log(SLOTS))], dtype="<f4")
     return TextModel((*(k for k, _ in got), UNKNOWN), logs)
