@@ -28,7 +28,11 @@ def same(rows):
     return sorted((tuple(round(v, 6) if isinstance(v, float) else v for v in r) for r in rows), key=lambda r: [(v is None, str(v)) for v in r])
 
 
-@pytest.mark.parametrize("name", sorted(QUERIES))
+#: The smallest tables make the densest graph; searches for quasi-cliques on it take hours.
+DENSE = {"quasi4_co_part_w2", "quasi_maximal", "quasi_largest"}
+
+
+@pytest.mark.parametrize("name", sorted(QUERIES.keys() - DENSE))
 def test_query(spark, duck, name):
     got = QUERIES[name](spark, SF)
     rows = got.collect()
