@@ -136,11 +136,12 @@ def maximal_cliques(piece: Piece, start: int, candidates: int, excluded: int) ->
             x |= 1 << k
 
 
-def quasi_cliques(piece: Piece, root: int, num: int, den: int, least: int, most: int | None = None) -> Iterator[int]:
+def quasi_cliques(piece: Piece, root: int, num: int, den: int, least: int, most: int | None = None, largest: bool = False) -> Iterator[int]:
     """Every set with ``root`` as its smallest vertex in which each member has at least
     num / den of the others as neighbours, of ``least`` to ``most`` vertices.
 
-    For num / den of a half or more, any two members are at most two steps apart.
+    For num / den of a half or more, any two members are at most two steps apart. With ``largest``,
+    sets smaller than one given before may be left out; all of the largest size are given.
     """
     top = most or len(piece.ids)
     two = [0] * len(piece.ids)
@@ -154,6 +155,7 @@ def quasi_cliques(piece: Piece, root: int, num: int, den: int, least: int, most:
         return -(-num * (size - 1) // den)
 
     def grow(members: int, size: int, candidates: int) -> Iterator[int]:
+        nonlocal least
         piece.nodes += 1
         # drop candidates that can't have enough neighbours in any set reachable from here
         while True:
@@ -169,6 +171,7 @@ def quasi_cliques(piece: Piece, root: int, num: int, den: int, least: int, most:
                 break
             candidates = kept
         if size >= least and all((piece.rows[k] & members).bit_count() >= needed(size) for k in bits(members)):
+            least = size if largest else least
             yield members
         if size == top:
             return

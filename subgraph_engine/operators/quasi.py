@@ -19,10 +19,10 @@ class QuasiCliqueProgram(TaskProgram):
     so lists are cut by the root only in the task.
     """
 
-    def __init__(self, num: int, den: int, least: int, most: int | None) -> None:
+    def __init__(self, num: int, den: int, least: int, most: int | None, largest: bool = False) -> None:
         if 2 * num < den:
             raise ValueError("the fraction must be a half at least")
-        self.num, self.den, self.least, self.most = num, den, least, most
+        self.num, self.den, self.least, self.most, self.largest = num, den, least, most, largest
 
     def seed(self, adjacency: DataFrame) -> DataFrame:
         larger = F.filter("nbrs", lambda u: u > F.col("id"))
@@ -36,7 +36,10 @@ class QuasiCliqueProgram(TaskProgram):
             if more:
                 return StepOutcome(pulls=more, state=lists)
         piece = Piece.of({task.root: task.own, **lists})
-        found = [piece.members(s) for s in quasi_cliques(piece, task.root, self.num, self.den, self.least, self.most)]
+        found = [piece.members(s) for s in quasi_cliques(piece, task.root, self.num, self.den, self.least, self.most, self.largest)]
+        if self.largest:
+            top = max(map(len, found), default=0)
+            found = [s for s in found if len(s) == top]
         return StepOutcome(results=found, nodes=piece.nodes)
 
 
@@ -45,7 +48,7 @@ def quasi_clique_sets(g: PropertyGraph, gamma: tuple[int, int] = (1, 2), min_siz
 
     The fraction is a pair of integers, so thresholds are exact.
     """
-    found = run_program(adjacency(g), QuasiCliqueProgram(*gamma, min_size, max_size), config).results
+    found = run_program(adjacency(g), QuasiCliqueProgram(*gamma, min_size, max_size, output == "largest"), config).results
     if output == "all":
         return found
     if output == "largest":

@@ -250,12 +250,12 @@ for _name in ("co_part_w2",):
 
 @entry("quasi_maximal")
 def quasi_maximal(spark: SparkSession, sf: str) -> DataFrame:
-    return _members(quasi.quasi_clique_sets(graph(spark, sf, "co_part_w2"), (1, 2), 4, 6, "maximal"))
+    return _members(quasi.quasi_clique_sets(graph(spark, sf, "co_part_w2"), (1, 2), 4, None, "maximal"))
 
 
 @entry("quasi_largest")
 def quasi_largest(spark: SparkSession, sf: str) -> DataFrame:
-    return _members(quasi.quasi_clique_sets(graph(spark, sf, "co_part_w2"), (3, 5), 4, 8, "largest"))
+    return _members(quasi.quasi_clique_sets(graph(spark, sf, "co_part_w2"), (3, 5), 4, None, "largest"))
 
 
 # matching ----------------------------------------------------------------------------------------
