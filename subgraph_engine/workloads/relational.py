@@ -144,6 +144,8 @@ for _hint in ("shuffle_hash", "merge", "broadcast"):
     op(f"join_{_hint}", _JOINED)(lambda spark, sf, hint=_hint: load(spark, sf, "lineitem").join(load(spark, sf, "orders").hint(hint), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.sum("l_quantity").cast("long").alias("quantity")))
 for _how, _word in (("left", "LEFT"), ("right", "RIGHT"), ("full", "FULL")):
     spark_sql(f"join_{_how}", f"SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_nationkey < 12) c {_word} JOIN (SELECT * FROM orders WHERE o_totalprice > 150000) o ON c_custkey = o_custkey")
+    # the same over all customers; some stay without a partner for their balance
+    spark_sql(f"join_{_how}_all", f"SELECT c_custkey, o_orderkey FROM (SELECT * FROM customer WHERE c_acctbal > 0) c {_word} JOIN (SELECT * FROM orders WHERE o_totalprice > 150000) o ON c_custkey = o_custkey")
 spark_sql("join_semi", "SELECT p_partkey FROM part LEFT SEMI JOIN (SELECT l_partkey FROM lineitem WHERE l_quantity > 49) l ON p_partkey = l_partkey", "SELECT p_partkey FROM part WHERE p_partkey IN (SELECT l_partkey FROM lineitem WHERE l_quantity > 49)")
 spark_sql("join_anti", "SELECT p_partkey FROM part LEFT ANTI JOIN (SELECT l_partkey FROM lineitem WHERE l_quantity > 49) l ON p_partkey = l_partkey", "SELECT p_partkey FROM part WHERE p_partkey NOT IN (SELECT l_partkey FROM lineitem WHERE l_quantity > 49)")
 spark_sql("join_cross", "SELECT a.r_name AS x, b.r_name AS y FROM region a CROSS JOIN region b")
@@ -153,16 +155,27 @@ spark_sql("join_wedge", "SELECT a.o_custkey AS c, count(*) AS pairs FROM orders
 BAND = 10_000
 
 
-@op("join_range", f"SELECT l_orderkey, l_linenumber, p_partkey FROM (SELECT * FROM lineitem WHERE l_orderkey < 400) JOIN (SELECT * FROM part WHERE p_partkey < 100) ON {CENTS.format('l_extendedprice')} BETWEEN {CENTS.format('p_retailprice')} - 500 AND {CENTS.format('p_retailprice')} + 500")
-def join_range(spark, sf):
+def _in_band(lines: DataFrame, parts: DataFrame) -> DataFrame:
     """Prices within five of a part's: both sides meet in bands, the point side in one of them."""
-    lines = load(spark, sf, "lineitem").where("l_orderkey < 400").select("l_orderkey", "l_linenumber", cents("l_extendedprice").alias("x"))
-    parts = load(spark, sf, "part").where("p_partkey < 100").select("p_partkey", cents("p_retailprice").alias("p"))
+    lines = lines.select("l_orderkey", "l_linenumber", cents("l_extendedprice").alias("x"))
+    parts = parts.select("p_partkey", cents("p_retailprice").alias("p"))
     spread = parts.withColumn("band", F.explode(F.sequence(F.floor((F.col("p") - 500) / BAND), F.floor((F.col("p") + 500) / BAND))))
     met = lines.withColumn("band", F.floor(F.col("x") / BAND)).join(spread, "band")
     return met.where(F.col("x").between(F.col("p") - 500, F.col("p") + 500)).select("l_orderkey", "l_linenumber", "p_partkey")
 
 
+@op("join_range", f"SELECT l_orderkey, l_linenumber, p_partkey FROM (SELECT * FROM lineitem WHERE l_orderkey < 400) JOIN (SELECT * FROM part WHERE p_partkey < 100) ON {CENTS.format('l_extendedprice')} BETWEEN {CENTS.format('p_retailprice')} - 500 AND {CENTS.format('p_retailprice')} + 500")
+def join_range(spark, sf):
+    """``join_range_all`` for the first orders and parts, as its SQL has it."""
+    return _in_band(load(spark, sf, "lineitem").where("l_orderkey < 400"), load(spark, sf, "part").where("p_partkey < 100"))
+
+
+@op("join_range_all")
+def join_range_all(spark, sf):
+    """All lines with all parts at prices within five of theirs."""
+    return _in_band(load(spark, sf, "lineitem"), load(spark, sf, "part"))
+
+
 @op("join_interval", "SELECT a.event_id AS first, b.event_id AS second FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_id <> b.event_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 30 MINUTE")
 def join_interval(spark, sf):
     """Events of a user within half an hour of each other, by buckets of that length."""

@@ -6,7 +6,7 @@ import pytest
 
 from subgraph_engine.functions.kernels import Piece, quasi_cliques
 from subgraph_engine.operators.graph import PropertyGraph
-from subgraph_engine.workloads import graphs
+from subgraph_engine.workloads import graphs, relational
 
 
 @pytest.mark.parametrize("name", ["quasi_maximal", "quasi_largest"])
@@ -26,3 +26,23 @@ def test_all_largest_sets_are_given():
         top = max((m.bit_count() for m in every), default=0)
         found = list(quasi_cliques(piece, root, 3, 5, 4, largest=True))
         assert {m for m in found if m.bit_count() == top} == {m for m in every if m.bit_count() == top}
+
+
+def test_range_join_of_all_lines_and_parts(spark):
+    sf = "/root/testdata/sf0.001"
+    lines = spark.read.parquet(f"{sf}/lineitem.parquet").select("l_orderkey", "l_linenumber", "l_extendedprice").collect()
+    parts = spark.read.parquet(f"{sf}/part.parquet").select("p_partkey", "p_retailprice").collect()
+    prices = [(round(float(p) * 100), k) for k, p in parts]
+    want = sorted((o, n, k) for o, n, x in lines for p, k in prices if abs(round(float(x) * 100) - p) <= 500)
+    assert sorted(map(tuple, relational.QUERIES["op_join_range_all"](spark, sf).collect())) == want
+    assert any(o >= 400 for o, _, _ in want) and any(k >= 100 for _, _, k in want)
+
+
+@pytest.mark.parametrize("how", ["left", "right", "full"])
+def test_outer_joins_of_all_customers(spark, how):
+    sf = "/root/testdata/sf0.01"
+    nations = dict(spark.read.parquet(f"{sf}/customer.parquet").select("c_custkey", "c_nationkey").collect())
+    got = relational.QUERIES[f"op_join_{how}_all"](spark, sf).collect()
+    assert any(nations.get(r["c_custkey"], 0) >= 12 for r in got)
+    assert how == "left" or any(r["c_custkey"] is None for r in got)
+    assert how == "right" or any(r["o_orderkey"] is None for r in got)
