@@ -5,10 +5,11 @@ after words whose own checksum says so, so an edit moves no cut beyond its neigh
 node is the digest of its children's digests; the root tests equality of texts. ``differing`` goes
 down where two trees' digests differ and gives the edited spans.
 
-A fingerprint is a string: the root, a level and short digests of leaves. All leaves are in it up
-to ``KEPT``; of longer texts, those whose digest is divisible by 2 to the level, the same leaves
-wherever they occur. ``likeness`` of two fingerprints is 1 for equal roots, else the shared leaves
-(with repeats) over all leaves of the longer list, at the higher of the two levels.
+A fingerprint is a string with the digest of every node: the root's, then each section's with the
+paragraphs and leaves below it, and their lengths in bytes. ``likeness`` and ``edited_spans`` of two
+fingerprints descend where branches differ, without the texts. ``likeness`` is 1 for equal roots
+only, else the shared leaves (with repeats) over all leaves of the longer list; if all are shared
+but stand elsewhere, half a leaf is taken off.
 
 Null text counts as empty. Texts of any length, repeated rows and an empty table are fine.
 """
@@ -29,15 +30,15 @@ from xxhash import xxh3_128_digest
 
 from subgraph_engine.llm.common import slices
 
-#: Leaves that a fingerprint holds at most, before it takes every second one, and so on.
-KEPT = 96
+#: Hex digits in a fingerprint of the root's digest, of another's, of a branch's length and of a leaf's.
+ROOT, DIGEST, BRANCH_BYTES, LEAF_BYTES = 32, 16, 8, 3
+#: Before a section and before a paragraph; no hex digits.
+SECTION, PARAGRAPH = "s", "p"
 #: A leaf has LEAST to MOST words, and ends after a word whose checksum CUT divides. Texts of under
 #: SHORT code points have single words as leaves, those of under TINY single bytes.
 LEAST, MOST, CUT, SHORT, TINY = 3, 8, 4, 200, 24
 #: Longer words are cut into stretches of 8 to 48 bytes, after bytes of a class if there are any.
 LONG_WORD = 64
-#: Between the digests of a leaf's repeats: an odd number near 2 to the 32 over the golden ratio.
-SPREAD = 0x9E3779B1
 _STRETCH = re.compile(rb"(?s).{7,47}?[0-3a-d\x80-\x8f]|.{1,48}")
 
 
@@ -120,38 +121,118 @@ def differing(a: Node, b: Node) -> list[tuple[int, int]]:
 
 
 def fingerprint(text: str | None) -> str:
-    """Root (32 hex digits), level (2 hex digits), then eight hex digits for each leaf kept."""
+    """Root, sections, paragraphs and leaves in the text's order, as hex digits."""
     data, grain = (text or "").encode("utf-8", "surrogatepass"), _grain(text or "")
-    leaves, sections = [], []
+    out, sections = [], []
     for section in data.split(b"\n\n"):
-        paragraphs = []
+        below, paragraphs = [], []
         for line in section.split(b"\n"):
-            own = list(map(xxh3_128_digest, _leaves(line, grain)))
-            leaves += own
+            leaves = _leaves(line, grain)
+            own = list(map(xxh3_128_digest, leaves))
             paragraphs.append(_inner(own))
+            below.append(f"{PARAGRAPH}{paragraphs[-1].hex()[:DIGEST]}{len(line):08x}")
+            below += [f"{x.hex()[:DIGEST]}{len(leaf):03x}" for x, leaf in zip(own, leaves, strict=True)]
         sections.append(_inner(paragraphs))
-    seen: dict[bytes, int] = {}
-    short, level = [], 0
-    for x in leaves:  # a repeated leaf has another digest each time, so that some of them are kept at any level
-        k = seen[x] = seen.get(x, -1) + 1
-        short.append((int.from_bytes(x[:4], "big") + k * SPREAD) & 0xFFFFFFFF)
-    while len(short) > KEPT and level < 31:
-        level += 1
-        short = [x for x in short if not x & ((1 << level) - 1)]
-    return f"{_inner(sections).hex()}{level:02x}{''.join([f'{x:08x}' for x in short])}"
+        out.append(f"{SECTION}{sections[-1].hex()[:DIGEST]}{len(section):08x}{''.join(below)}")
+    return _inner(sections).hex() + "".join(out)
+
+
+#: A node read from a fingerprint: digest, start and end in bytes, what is below it.
+Read = tuple[str, int, int, str]
+
+
+def _branches(below: str, mark: str, at: int) -> list[Read]:
+    """The sections or paragraphs of a stretch of a fingerprint that begins at byte ``at`` of the text."""
+    out, gap = [], 2 if mark == SECTION else 1
+    for x in below.split(mark)[1:]:
+        end = at + int(x[DIGEST : DIGEST + BRANCH_BYTES], 16)
+        out.append((x[:DIGEST], at, end, x[DIGEST + BRANCH_BYTES :]))
+        at = end + gap
+    return out
+
+
+def _leaf_nodes(below: str, at: int) -> list[Read]:
+    out, step = [], DIGEST + LEAF_BYTES
+    for k in range(0, len(below), step):
+        end = at + int(below[k + DIGEST : k + step], 16)
+        out.append((below[k : k + DIGEST], at, end, ""))
+        at = end
+    return out
+
+
+def _without(nodes: list[Read], others: list[Read]) -> list[Read]:
+    """Nodes that have no counterpart among the others, repeats counted."""
+    left = Counter(x[0] for x in others)
+    out = []
+    for x in nodes:
+        if left[x[0]]:
+            left[x[0]] -= 1
+        else:
+            out.append(x)
+    return out
+
+
+def _apart(a: str, b: str) -> list[Read]:
+    """Leaves of ``a`` without a counterpart in ``b``; equal branches are not entered."""
+    one, two = _branches(a[ROOT:], SECTION, 0), _branches(b[ROOT:], SECTION, 0)
+    one, two = _without(one, two), _without(two, one)
+    one, two = ([p for x in side for p in _branches(x[3], PARAGRAPH, x[1])] for side in (one, two))
+    one, two = _without(one, two), _without(two, one)
+    one, two = ([leaf for x in side for leaf in _leaf_nodes(x[3], x[1])] for side in (one, two))
+    return _without(one, two)
+
+
+def _count(print_: str) -> int:
+    """How many leaves a fingerprint has."""
+    branches = print_.count(SECTION) + print_.count(PARAGRAPH)
+    return (len(print_) - ROOT - branches * (1 + DIGEST + BRANCH_BYTES)) // (DIGEST + LEAF_BYTES)
 
 
 def likeness(a: str, b: str) -> float:
-    """0 to 1, from two fingerprints alone."""
-    if a[:32] == b[:32]:
+    """0 to 1, from two fingerprints alone; 1 for equal roots only."""
+    if a[:ROOT] == b[:ROOT]:
         return 1.0
-    level = max(int(a[32:34], 16), int(b[32:34], 16))
-    both = []
-    for x in (a, b):
-        leaves = [x[k : k + 8] for k in range(34, len(x), 8)]
-        both.append([v for v in leaves if not int(v, 16) & ((1 << level) - 1)] if int(x[32:34], 16) < level else leaves)
-    most = max(map(len, both))
-    return (Counter(both[0]) & Counter(both[1])).total() / most if most else 0.0
+    own, most = _count(a), max(_count(a), _count(b))
+    return min(own - len(_apart(a, b)), most - 0.5) / most
+
+
+def _in_line(print_: str) -> list[tuple[str, int, int]]:
+    """All leaves and the beginnings of branches in the text's order."""
+    out = []
+    for _, start, _, below in _branches(print_[ROOT:], SECTION, 0):
+        out.append((SECTION, start, start))
+        for _, first, _, leaves in _branches(below, PARAGRAPH, start):
+            out.append((PARAGRAPH, first, first))
+            out += [x[:3] for x in _leaf_nodes(leaves, first)]
+    return out
+
+
+def edited_spans(a: str, b: str) -> list[tuple[int, int]]:
+    """Byte spans of ``a``'s text that have no counterpart in ``b``'s, from the fingerprints.
+
+    If all of its leaves have one, they have moved or others are missing between them: the span
+    from the first place that differs to the last, empty where something was only taken out.
+    """
+    if a[:ROOT] == b[:ROOT]:
+        return []
+    out: list[tuple[int, int]] = []
+    for _, start, end, _ in _apart(a, b):
+        if out and out[-1][1] == start:
+            out[-1] = out[-1][0], end
+        else:
+            out.append((start, end))
+    if out:
+        return out
+    one, two = _in_line(a), _in_line(b)
+    short, k, j = min(len(one), len(two)), 0, 0
+    while k < short and one[k][0] == two[k][0]:
+        k += 1
+    while j < short - k and one[-1 - j][0] == two[-1 - j][0]:
+        j += 1
+    if k + j == len(one):
+        at = one[k][1] if k < len(one) else one[-1][2]
+        return [(at, at)]
+    return [(one[k][1], one[-1 - j][2])]
 
 
 def edited(text: str, other: str) -> str:
@@ -188,15 +269,21 @@ def in_order(docs: DataFrame, buckets: int) -> DataFrame:
     return spread.repartition(max(1, buckets // 4), "bucket").sortWithinPartitions("bucket", F.desc("own"), F.desc("key"), "text").drop("key")
 
 
-def fingerprint_edits(docs: DataFrame, buckets: int | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def fingerprint_edits(docs: DataFrame, buckets: int | None = None, id_col: str = "doc_id", text_col: str = "text", spans: bool = False) -> DataFrame:
     """Fingerprints of each text and of its edited text, and their likeness; a row for each row of ``docs``.
 
-    doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next.
+    doc_id, n_chars, edited_sha256, fingerprint, edited_fingerprint, near_edited, near_next; with
+    ``spans`` also edited_spans, the byte spans of the edited text that the text doesn't have.
     """
     if buckets is None:
         buckets = 4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     names = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"]
     kinds = (pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64())
+    schema = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
+    if spans:
+        names.append("edited_spans")
+        kinds += (pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())])),)
+        schema += ", edited_spans array<struct<start: long, end: long>>"
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         waiting = None  # bucket, id, text and fingerprint of the row whose next is still to come
@@ -211,10 +298,11 @@ def fingerprint_edits(docs: DataFrame, buckets: int | None = None, id_col: str =
                     changed = edited(before, text)
                     changed_print = fingerprint(changed)
                     sha = hashlib.sha256(changed.encode("utf-8", "surrogatepass")).hexdigest()
-                    out.append((i, len(before), sha, print_, changed_print, likeness(print_, changed_print), likeness(print_, mark)))
+                    row = (i, len(before), sha, print_, changed_print, likeness(print_, changed_print), likeness(print_, mark))
+                    out.append((*row, [{"start": a, "end": b} for a, b in edited_spans(changed_print, print_)]) if spans else row)
                 waiting = (bucket, doc, text, mark) if own else None
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=names)
 
     picked = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
-    return in_order(picked, buckets).mapInArrow(rows, "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double")
+    return in_order(picked, buckets).mapInArrow(rows, schema)

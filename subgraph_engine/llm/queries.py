@@ -51,8 +51,8 @@ def op3_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_merkle(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every document's Merkle fingerprint, beside that of an edited text."""
-    return merkle.fingerprint_edits(table(spark, sf_dir, "documents"))
+    """Every document's Merkle fingerprint, beside that of an edited text, with the edited spans."""
+    return merkle.fingerprint_edits(table(spark, sf_dir, "documents"), spans=True)
 
 
 def op5_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
