@@ -90,7 +90,7 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     model = toxicity.train(docs, table(spark, sf_dir, "labels"), ~held)
     scored = toxicity.score_documents(docs, model).withColumnRenamed("doc_id", "id")
-    return scored.select(F.col("id").alias("doc_id"), held.alias("held_out"), "score", "predicted", "passages")
+    return scored.select(F.col("id").alias("doc_id"), held.alias("held_out"), "score", "predicted", "passages", "spans")
 
 
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -5,8 +5,8 @@ of letters, a to z in lower case) its log-odds of lying in toxic rather than in
 with a Dirichlet prior in proportion to the token's share of all. The lexicon is of tokens whose
 log-odds exceed ``LEAST_Z`` of their standard deviations and whose documents are toxic more often
 than all are by a likelihood ratio over exp(``LEAST_EVIDENCE``), so that none of a million tokens
-gets in by chance. All other tokens cost ``DRIFT`` or more, so that clean text loses on average; a
-text's repeats of a token count for less each time.
+gets in by chance. All other tokens cost ``DRIFT`` or more, so that clean text loses on average. A token
+scores the same wherever it stands and whatever came before it.
 
 Along a document, one linear scan finds every maximal segment of positive score. Chance gives the
 best segment of n clean tokens an extreme-value law: P(S > x) = 1 - exp(-K n exp(-lambda x)), with
@@ -80,25 +80,27 @@ class Model:
         hit = np.flatnonzero(self.tokens[at] == hashes)
         if not len(hit):
             return []
-        # the k-th time that a text has a token, it counts for one in k
-        own = at[hit]
-        order = np.argsort(own, kind="stable")
-        first = np.flatnonzero(np.r_[True, np.diff(own[order]) != 0])
-        times = np.empty(len(own))
-        times[order] = np.arange(len(own)) - np.repeat(first, np.diff(np.r_[first, len(own)])) + 1
-        return maximal_segments(hit, self.scores[own] / times, self.drift)
+        return maximal_segments(hit, self.scores[at[hit]], self.drift)
 
-    def evidence(self, hashes: np.ndarray) -> tuple[float, int]:
-        """The best segment's excess over chance, and how many segments are significant."""
+    def judged(self, hashes: np.ndarray) -> tuple[float, list[tuple[int, int, float]]]:
+        """The best segment's excess over chance, and all significant ones (first and last token, score)."""
         found = self.segments(hashes)
         if not found:
-            return 0.0, 0
+            return 0.0, []
         chance = self.scale + np.log(max(len(hashes), 1))
         excess = np.array([self.rate * s for s, _, _ in found]) - chance
-        return float(np.clip(excess.max(), -3, 30)) + 3, int((-np.expm1(-np.exp(-excess)) < SIGNIFICANT).sum())
+        sure = -np.expm1(-np.exp(-excess)) < SIGNIFICANT
+        return float(np.clip(excess.max(), -3, 30)) + 3, [(first, last, s) for (s, first, last), x in zip(found, sure, strict=True) if x]
+
+    def evidence(self, hashes: np.ndarray) -> tuple[float, int]:
+        """The best segment's excess over chance, and how many segments are significant."""
+        best, spans = self.judged(hashes)
+        return best, len(spans)
 
     def score(self, hashes: np.ndarray) -> float:
-        best, n = self.evidence(hashes)
+        return self.probability(*self.evidence(hashes))
+
+    def probability(self, best: float, n: int) -> float:
         x = self.weights[0] + self.weights[1] * best + self.weights[2] * np.log1p(n)
         return float(1 / (1 + np.exp(-np.clip(x, -30, 30))))
 
@@ -187,16 +189,22 @@ def train(docs: DataFrame, labels: DataFrame, learn: F.Column, sample: int = SAM
 
 
 def score_documents(docs: DataFrame, model: Model, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``doc_id, score, predicted, passages``: the passages' count is that of significant segments."""
+    """``doc_id, score, predicted, passages, spans``: all significant segments and their count.
+
+    A span has the numbers of its first and last token (from 0) and its score; the document's score
+    has no say in it.
+    """
+    kind = pa.list_(pa.struct([("first", pa.int64()), ("last", pa.int64()), ("score", pa.float64())]))
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in blocks(batch, 1):
                 hashes, at = word_hashes(part.column(1), NOT_LETTERS)
-                spans = list(zip(at[:-1], at[1:], strict=True))
-                scores = np.array([model.score(hashes[a:b]) for a, b in spans])
-                passages = [model.evidence(hashes[a:b])[1] if s >= threshold else 0 for (a, b), s in zip(spans, scores, strict=True)]
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(scores, pa.float64()), pa.array((scores >= threshold).astype("<i4")), pa.array(passages, pa.int64())], names=["doc_id", "score", "predicted", "passages"])
+                judged = [model.judged(hashes[a:b]) for a, b in zip(at[:-1], at[1:], strict=True)]
+                scores = np.array([model.probability(best, len(spans)) for best, spans in judged])
+                passages = [len(spans) for _, spans in judged]
+                spans = pa.array([[{"first": a, "last": b, "score": s} for a, b, s in own] for _, own in judged], kind)
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(scores, pa.float64()), pa.array((scores >= threshold).astype("<i4")), pa.array(passages, pa.int64()), spans], names=["doc_id", "score", "predicted", "passages", "spans"])
 
     picked = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return picked.mapInArrow(rows, "doc_id long, score double, predicted int, passages long")
+    return picked.mapInArrow(rows, "doc_id long, score double, predicted int, passages long, spans array<struct<first: long, last: long, score: double>>")

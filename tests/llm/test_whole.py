@@ -6,7 +6,8 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from subgraph_engine.llm import merkle
+from subgraph_engine.llm import merkle, toxicity
+from tests.llm.test_operators import toxic_rows
 
 
 def long_text(n):
@@ -60,3 +61,22 @@ def test_spans_beside_the_fingerprints(spark):
     mine = {r["doc_id"]: r for r in rows}[1]
     assert mine["edited_spans"][0]["start"] >= len(text) - len(text) // 3 - 300
     assert len(mine["fingerprint"]) > 32 + 16 * 300 // 8
+
+
+def test_passages_count_the_same_wherever_they_stand(spark):
+    from pyspark.sql import functions as F
+
+    rows, labels = toxic_rows()
+    model = toxicity.train(spark.createDataFrame(rows, "doc_id long, text string"), spark.createDataFrame(labels, "doc_id long, toxic int"), F.lit(True))
+    plain = next(t for (_, t), (_, toxic) in zip(rows, labels) if not toxic).split()
+    passage = "vile nasty foul rotten vile nasty".split()
+    scattered = [w for k in range(60) for w in [*plain, "vile nasty foul rotten".split()[k % 4]]]
+    words = [*scattered, *plain * 2, *passage, *plain * 20, *passage, *plain]
+    frame = spark.createDataFrame([(1, " ".join(words))], "doc_id long, text string")
+    starts = [k for k in range(len(words)) if words[k : k + 6] == passage]
+    assert len(starts) == 2
+    for threshold in (0.0, 1.1):
+        (row,) = toxicity.score_documents(frame, model, threshold).collect()
+        assert row["passages"] == len(row["spans"])
+        scores = {(s["first"], s["last"]): s["score"] for s in row["spans"]}
+        assert scores[starts[0], starts[0] + 5] == pytest.approx(scores[starts[1], starts[1] + 5])
