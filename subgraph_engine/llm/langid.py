@@ -28,10 +28,8 @@ from pyspark.sql import functions as F
 from subgraph_engine.llm.common import column, written
 from subgraph_engine.llm.hashing import NOT_LETTERS, blocks
 
-#: Labelled documents of each language that the text models learn from at most, and bytes of each.
-SAMPLE, SAMPLE_BYTES = 1000, 20_000
-#: Languages that get a model at most, the most frequent ones.
-LANGUAGES = 200
+#: Labelled documents with different texts of each language that the text models learn from at most.
+SAMPLE = 1000
 SLOTS, PRIOR, TRUSTED = 1 << 16, 0.5, 60
 #: How often a declared language or a country suffix is right, and prior documents of a host and a domain.
 MARKUP_RIGHT, SUFFIX_RIGHT, HOST_PRIOR, DOMAIN_PRIOR = 0.9, 0.8, 20.0, 50.0
@@ -92,22 +90,23 @@ class TextModel:
 
 
 def train_text(docs: DataFrame, sample: int = SAMPLE, text_col: str = "text", lang_col: str = "lang") -> TextModel:
-    """The text models of the languages in ``lang_col``, of at most ``sample`` documents each.
+    """The text models of all languages in ``lang_col``, of at most ``sample`` different texts each.
 
-    Which documents is settled by hashes of their texts, wherever they are stored.
+    Which texts is settled by their hashes, wherever they are stored and however often.
     """
     text, lang = F.coalesce(F.col(text_col).cast("string"), F.lit("")), F.lower(F.trim(F.col(lang_col).cast("string")))
-    rows = docs.select(lang.alias("lang"), F.xxhash64(text).alias("h"), F.substring(text, 1, SAMPLE_BYTES).alias("text")).where("lang is not null and lang <> ''")
-    # twice the sample passes by hash, so what meets in a language's group is bounded however many rows it has
-    sizes = docs.select(lang.alias("lang")).where("lang is not null and lang <> ''").groupBy("lang").agg(F.count("*").alias("n"))
-    sizes = sizes.orderBy(F.desc("n"), "lang").limit(LANGUAGES)
+    rows = docs.select(lang.alias("lang"), F.xxhash64(text).alias("h"), text.alias("text")).where("lang is not null and lang <> ''")
+    # twice the sample passes by hash, so what meets in a language's group is bounded however many texts it has
+    sizes = rows.select("lang", "h").distinct().groupBy("lang").agg(F.count("*").alias("n"))
     share = F.pmod("h", F.lit(1 << 30)) / float(1 << 30)
     picked = rows.join(F.broadcast(sizes), "lang").where(share * F.col("n") < 2 * sample).select("lang", "h", "text").dropDuplicates(["lang", "h"])
 
     def count(table: pa.Table) -> pa.Table:
-        table = table.sort_by("h").slice(0, sample)
-        slots, _ = trigrams(table["text"].combine_chunks())
-        own = np.bincount(slots, minlength=SLOTS)
+        table = table.sort_by("h").slice(0, sample).combine_chunks()
+        own = np.zeros(SLOTS, "<i8")
+        for batch in table.to_batches():
+            for part in blocks(batch, 2):
+                own += np.bincount(trigrams(part.column(2))[0], minlength=SLOTS)
         return pa.table({"lang": table["lang"][:1], "counts": pa.array([own.tolist()], pa.list_(pa.int64()))})
 
     got = sorted((r["lang"], r["counts"]) for r in picked.groupBy("lang").applyInArrow(count, "lang string, counts array<long>").collect())

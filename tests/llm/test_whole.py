@@ -6,7 +6,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from subgraph_engine.llm import merkle, toxicity
+from subgraph_engine.llm import langid, merkle, toxicity
 from tests.llm.test_operators import toxic_rows
 
 
@@ -80,3 +80,15 @@ def test_passages_count_the_same_wherever_they_stand(spark):
         assert row["passages"] == len(row["spans"])
         scores = {(s["first"], s["last"]): s["score"] for s in row["spans"]}
         assert scores[starts[0], starts[0] + 5] == pytest.approx(scores[starts[1], starts[1] + 5])
+
+
+def test_every_language_learns_from_all_its_texts(spark):
+    rows = [("xx", "one and the same text")] * 400 + [("xx", f"other words number {chr(97 + k % 26) * (2 + k // 26)}") for k in range(60)]
+    rows += [(f"l{k:03d}", f"text of language {k}") for k in range(230)] + [("yy", "b" * 30_000 + " ccc " * 9)]
+    model = langid.train_text(spark.createDataFrame(rows, "lang string, text string"), sample=20)
+    assert len(model.languages) == 233 and {"xx", "yy", "l229"} <= set(model.languages)
+    few = langid.train_text(spark.createDataFrame([("xx", t) for t in {t for _, t in rows[:460]}], "lang string, text string"), sample=20)
+    # copies neither use up the sample nor change it
+    assert (model.logs[model.languages.index("xx")] == few.logs[0]).all()
+    ccc = langid.trigrams(langid.pa.array(["ccc"]))[0][0]
+    assert model.logs[model.languages.index("yy")][ccc] > model.logs[model.languages.index("xx")][ccc]
