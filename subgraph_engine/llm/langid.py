@@ -37,7 +37,8 @@ CERTAIN, BROADCAST_HOSTS = 0.5, 200_000
 UNKNOWN = "und"
 #: Country suffixes and the language that each speaks for.
 SUFFIXES = {"at": "de", "ca": "en", "cl": "es", "co": "es", "de": "de", "es": "es", "fr": "fr", "ie": "en", "it": "it", "jp": "ja", "mx": "es", "nl": "nl", "pl": "pl", "pt": "pt", "ru": "ru", "uk": "en", "us": "en"}
-_DECLARED = re.compile(r"<html[^>]{0,300}?\slang\s*=\s*[\"']?\s*([A-Za-z]{2,3})", re.I)
+_OPENS = re.compile(r"<!--|<html(?=[\s/>])", re.I)
+_DECLARED = re.compile(r"[\s\"'/]lang\s*=\s*[\"']?\s*([A-Za-z]{2,3})", re.I)
 
 
 _LETTER = ~NOT_LETTERS
@@ -115,9 +116,19 @@ def train_text(docs: DataFrame, sample: int = SAMPLE, text_col: str = "text", la
 
 
 def declared(text: str | None) -> str | None:
-    """The language that an ``html`` tag declares."""
-    found = _DECLARED.search(text) if text and "<" in text else None
-    return found[1].lower()[:2] if found else None
+    """The language that the first ``html`` tag outside of comments declares, wherever it stands."""
+    if not text or "<" not in text:
+        return None
+    at = 0
+    while opens := _OPENS.search(text, at):
+        if opens[0] != "<!--":
+            end = text.find(">", opens.end())
+            found = _DECLARED.search(text, opens.end(), end if end >= 0 else len(text))
+            return found[1].lower()[:2] if found else None
+        at = text.find("-->", opens.end() - 2) + 3
+        if at < 3:
+            return None
+    return None
 
 
 def suffix_language(host: Column) -> Column:
@@ -145,16 +156,17 @@ def identify(docs: DataFrame, model: TextModel, wanted: list[str] | None = None,
     """
     names = model.languages
     n = len(names)
+    page = 3 if markup_col else 1
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in blocks(batch, 1):
                 logs = model.likelihoods(part.column(1))
-                says = [declared(x) for x in part.column(3).to_pylist()]
+                says = [declared(x) for x in part.column(page).to_pylist()]
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(list(logs), pa.list_(pa.float64())), part.column(2), pa.array(says, pa.string())], names=["doc_id", "logs", "host", "says"])
 
     text = F.col(text_col).cast("string")
-    picked = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.lower(column(docs, host_col, "string")).alias("host"), F.substring(F.col(markup_col).cast("string") if markup_col else text, 1, 2000).alias("markup"))
+    picked = docs.select(F.col(id_col).cast("long").alias("doc_id"), text.alias("text"), F.lower(column(docs, host_col, "string")).alias("host"), *([F.col(markup_col).cast("string").alias("markup")] if markup_col else []))
     seen = written(picked.mapInArrow(rows, "doc_id long, logs array<double>, host string, says string"), "languages")
 
     def normal(logs: Column) -> Column:

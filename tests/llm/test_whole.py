@@ -92,3 +92,11 @@ def test_every_language_learns_from_all_its_texts(spark):
     assert (model.logs[model.languages.index("xx")] == few.logs[0]).all()
     ccc = langid.trigrams(langid.pa.array(["ccc"]))[0][0]
     assert model.logs[model.languages.index("yy")][ccc] > model.logs[model.languages.index("xx")][ccc]
+
+
+def test_declared_anywhere():
+    assert langid.declared("<!-- <html lang='de'> " + "x" * 5000 + " -->" + " " * 5000 + "<HTML " + 'data-x="y" ' * 100 + 'lang="fr">') == "fr"
+    assert langid.declared("<html class=a><div lang='fr'>") is None
+    assert langid.declared("<!-- never closed <html lang='fr'>") is None
+    assert langid.declared("<html data-lang='de' lang=en") == "en"
+    assert langid.declared(None) is None and langid.declared("text") is None
