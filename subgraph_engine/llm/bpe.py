@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from subgraph_engine.llm.common import slices
+from subgraph_engine.llm.common import slices, written
 
 #: Words kept in a worker's table before it starts anew.
 TABLE_WORDS = 400_000
@@ -191,19 +191,25 @@ def decode_partitions(encoded: DataFrame, path: str, id_col: str = "doc_id", ids
 
 
 def encode_global(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``doc_id, ids array<int>``: words made distinct over the whole corpus, encoded once each, joined back by position.
+    """``row, doc_id, ids array<int>``: words made distinct over the whole corpus, encoded once each, joined back by position.
 
-    Rows must have distinct ids here, as they are put together again by them.
+    ``row`` is each row's own key, so rows with equal or null ids stay apart. A text's repeats of a
+    word travel as one row with all positions.
     """
 
     def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(path)
         for batch in slices(batches):
-            words = []
-            for text in batch.column(1).to_pylist():
+            words, places = [], []
+            for text in batch.column(2).to_pylist():
                 parts = filter(None, own._apart.split(text)) if text and own._apart else [text or ""]
-                words.append([w for part in parts for w in ([part] if part in own.special else words_of(part))])
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(words, pa.list_(pa.string()))], names=["doc_id", "words"])
+                at: dict[str, list[int]] = {}
+                for k, w in enumerate(w for part in parts for w in ([part] if part in own.special else words_of(part))):
+                    at.setdefault(w, []).append(k)
+                words.append(list(at))
+                places.append(list(at.values()))
+            columns = [batch.column(0), batch.column(1), pa.array(words, pa.list_(pa.string())), pa.array(places, pa.list_(pa.list_(pa.int32())))]
+            yield pa.RecordBatch.from_arrays(columns, names=["row", "doc_id", "words", "places"])
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(path)
@@ -212,19 +218,41 @@ def encode_global(docs: DataFrame, path: str, id_col: str = "doc_id", text_col:
             ids = [[own.special[w]] if w in own.special else own.ids_of(w) for w in words]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.list_(pa.int32()))], names=["word", "word_ids"])
 
-    picked = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    parts = picked.mapInArrow(split, "doc_id long, words array<string>")
-    at = parts.select("doc_id", F.posexplode_outer("words").alias("pos", "word"))
+    picked = docs.select(F.monotonically_increasing_id().alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    parts = picked.mapInArrow(split, "row long, doc_id long, words array<string>, places array<array<int>>")
+    at = parts.select("row", "doc_id", F.explode_outer(F.arrays_zip("words", "places")).alias("at")).select("row", "doc_id", F.col("at.words").alias("word"), F.col("at.places").alias("places"))
     known = at.where("word is not null").select("word").distinct().mapInArrow(encode, "word string, word_ids array<int>")
     joined = at.join(known, "word", "left")
-    gathered = joined.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("pos", "word_ids"))).alias("got"))
-    return gathered.select("doc_id", F.flatten(F.transform(F.filter("got", lambda x: x["word_ids"].isNotNull()), lambda x: x["word_ids"])).alias("ids"))
+    gathered = joined.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.collect_list(F.struct("places", "word_ids")).alias("got"))
+
+    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches):
+            out = []
+            for got in batch.column(2).to_pylist():
+                line = [(k, x["word_ids"]) for x in got if x["places"] for k in x["places"]]
+                line.sort(key=lambda x: x[0])
+                out.append([i for _, ids in line for i in ids])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.list_(pa.int32()))], names=["row", "doc_id", "ids"])
+
+    return gathered.mapInArrow(place, "row long, doc_id long, ids array<int>")
 
 
 def decode_global(encoded: DataFrame, path: str) -> DataFrame:
-    """``doc_id, text``: each id joined with its piece; the vocabulary's size bounds the table."""
+    """``row, doc_id, text``: each id joined with its piece by position; the vocabulary's size bounds the table.
+
+    ``encoded`` has the columns of ``encode_global``; without ``row``, each row gets a key of its own.
+    """
     pieces = encoded.sparkSession.createDataFrame([(i, bytearray(p)) for i, p in enumerate(codec(path).pieces)], "id int, piece binary")
-    at = encoded.select("doc_id", F.posexplode_outer("ids").alias("pos", "id")).join(F.broadcast(pieces), "id", "left")
-    gathered = at.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("pos", F.hex("piece").alias("piece")))).alias("got"))
+    keyed = encoded if "row" in encoded.columns else encoded.withColumn("row", F.monotonically_increasing_id())
+    at = keyed.select("row", "doc_id", F.posexplode_outer("ids").alias("pos", "id")).join(F.broadcast(pieces), "id", "left")
+    gathered = at.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.sort_array(F.collect_list(F.struct("pos", F.hex("piece").alias("piece")))).alias("got"))
     joined = F.array_join(F.transform("got", lambda x: F.coalesce(x["piece"], F.lit(""))), "")
-    return gathered.select("doc_id", F.decode(F.unhex(joined), "UTF-8").alias("text"))
+    return gathered.select("row", "doc_id", F.decode(F.unhex(joined), "UTF-8").alias("text"))
+
+
+def global_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The rows of ``encode_partitions`` with digests, by the corpus's table of words and the table of pieces."""
+    coded = written(encode_global(docs, path, id_col, text_col), "coded")
+    back = decode_global(coded, path).select("row", F.sha2(F.encode("text", "UTF-8"), 256).alias("decoded_sha256"))
+    ids = coded.select("row", "doc_id", F.size("ids").cast("long").alias("n_tokens"), F.sha2(F.array_join(F.transform("ids", lambda x: x.cast("string")), ",").cast("binary"), 256).alias("ids_sha256"))
+    return ids.join(back, "row").select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")

@@ -1,13 +1,15 @@
 """Text operators use all of a text and of a corpus, where they once stopped or sampled."""
 
 import random
+from array import array
+from collections import Counter
 
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from subgraph_engine.llm import langid, merkle, toxicity
-from tests.llm.test_operators import toxic_rows
+from subgraph_engine.llm import bpe, langid, merkle, toxicity
+from tests.llm.test_operators import PATH, rows_of_all_kinds, toxic_rows
 
 
 def long_text(n):
@@ -33,8 +35,6 @@ def test_fingerprints_tell_what_trees_tell(a, b):
     def leaves(node):
         return [node] if node.kind == "leaf" else [x for c in node.children for x in leaves(c)]
 
-    from collections import Counter
-
     one, two = merkle.fingerprint(a), merkle.fingerprint(b)
     both = [Counter(x.digest for x in leaves(merkle.tree(t))) for t in (a, b)]
     most = max(x.total() for x in both)
@@ -100,3 +100,13 @@ def test_declared_anywhere():
     assert langid.declared("<!-- never closed <html lang='fr'>") is None
     assert langid.declared("<html data-lang='de' lang=en") == "en"
     assert langid.declared(None) is None and langid.declared("text") is None
+
+
+def test_the_global_table_keeps_every_row(spark):
+    rows = [(i, t) for i, t in rows_of_all_kinds() if t is None or len(t) < 50_000]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    coded = bpe.encode_global(docs, PATH)
+    want = Counter((r["doc_id"], tuple(array("I", bytes(r["ids"])))) for r in bpe.encode_partitions(docs, PATH).collect())
+    assert Counter((r["doc_id"], tuple(r["ids"])) for r in coded.collect()) == want
+    assert Counter((r["doc_id"], r["text"]) for r in bpe.decode_global(coded, PATH).collect()) == Counter((i, t or "") for i, t in rows)
+    assert Counter(map(tuple, bpe.global_digests(docs, PATH).collect())) == Counter(map(tuple, bpe.encode_partitions(docs, PATH, digests=True).collect()))
