@@ -1,15 +1,20 @@
 """Document fingerprints: a Merkle tree over sections, paragraphs and pieces of them.
 
 Sections end at empty lines, paragraphs at line ends; a paragraph's leaves are runs of words cut
-after words whose own checksum says so, so an edit moves no cut beyond its neighbours. Each inner
+after words whose last letter says so, so an edit moves no cut beyond its neighbours. Each inner
 node is the digest of its children's digests; the root tests equality of texts. ``differing`` goes
 down where two trees' digests differ and gives the edited spans.
 
 A fingerprint is a string with the digest of every node: the root's, then each section's with the
-paragraphs and leaves below it, and their lengths in bytes. ``likeness`` and ``edited_spans`` of two
-fingerprints descend where branches differ, without the texts. ``likeness`` is 1 for equal roots
-only, else the shared leaves (with repeats) over all leaves of the longer list; if all are shared
-but stand elsewhere, half a leaf is taken off.
+paragraphs and leaves below it, and their lengths. Where leaves are large beside the text, finer ones
+come after the tree: short texts have their words too, and tiny ones their bytes. All texts have the
+tree, so any two are compared, by the finest pieces that both have. ``likeness`` and ``edited_spans``
+of two fingerprints descend where branches differ, without the texts.
+
+``likeness`` is 1 for equal roots only, else the code points in shared leaves (with repeats, line
+breaks counted with the leaf before them) over all code points of the longer text; if all are shared
+but stand elsewhere, half a code point is taken off. A text that keeps two thirds of its code points
+as its beginning keeps a likeness of 0.4 at least, whatever its length.
 
 Null text counts as empty. Texts of any length, repeated rows and an empty table are fine.
 """
@@ -21,124 +26,95 @@ import re
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
-from zlib import crc32
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from xxhash import xxh3_128_digest
+from xxhash import xxh3_128_hexdigest
 
 from subgraph_engine.llm.common import slices
 
-#: Hex digits in a fingerprint of the root's digest, of another's, of a branch's length and of a leaf's.
-ROOT, DIGEST, BRANCH_BYTES, LEAF_BYTES = 32, 16, 8, 3
-#: Before a section and before a paragraph; no hex digits.
-SECTION, PARAGRAPH = "s", "p"
-#: A leaf has LEAST to MOST words, and ends after a word whose checksum CUT divides. Texts of under
-#: SHORT code points have single words as leaves, those of under TINY single bytes.
-LEAST, MOST, CUT, SHORT, TINY = 3, 8, 4, 200, 24
-#: Longer words are cut into stretches of 8 to 48 bytes, after bytes of a class if there are any.
-LONG_WORD = 64
-_STRETCH = re.compile(rb"(?s).{7,47}?[0-3a-d\x80-\x8f]|.{1,48}")
-
-
-def _leaves(line: bytes, grain: int) -> list[bytes]:
+#: Hex digits in a fingerprint of the root's digest, of another's, of a branch's length in bytes, and
+#: of a leaf's length in bytes and then in code points.
+ROOT, DIGEST, BRANCH_BYTES, LEAF_BYTES, LEAF_CHARS = 32, 16, 8, 2, 2
+#: Before a section, a paragraph, all words and all bytes; no hex digits.
+SECTION, PARAGRAPH, WORDS, BYTES = "s", "p", "w", "y"
+#: A leaf has MOST bytes at most. It ends after the first word with LEAST to USUAL bytes before it whose last
+#: byte is one of ENDS (a quarter of all); else after the last word that fits.
+LEAST, USUAL, MOST, ENDS = 11, 39, 56, bytes(range(1, 256, 4))
+#: Texts of fewer code points have their words as well, those of fewer than TINY their bytes.
+SHORT, TINY = 240, 40
+_LEAVES = re.compile(rb"(?s).{%d,%d}?[%s] |.{1,%d}\Z|.{1,%d} |.{1,%d}" % (LEAST - 1, USUAL - 1, re.escape(ENDS), MOST, MOST - 1, MOST))
+_WORDS = re.compile(rb"[^ \n]{1,8}[ \n]?|[ \n]")
+_HEX = [f"{k:02x}" for k in range(256)]
+#: Bytes that don't begin a character.
+_INSIDE = bytes(range(0x80, 0xC0))
+
+
+def _leaves(line: bytes) -> list[bytes]:
     """The paragraph's leaves; joined they are the paragraph."""
-    if grain == 0:
-        return [line[k : k + 1] for k in range(len(line))] or [b""]
-    words = line.split(b" ")
-    if grain == 1 and len(line) <= LONG_WORD:
-        return [w + b" " for w in words[:-1]] + words[-1:]
-    out, at = [], 0
-    for k, x in enumerate(map(crc32, words), 1):
-        if grain == 1 or (not x % CUT and k - at >= LEAST) or k - at >= MOST or k == len(words):
-            leaf = b" ".join(words[at:k]) + (b" " if k < len(words) else b"")
-            out += [leaf] if len(leaf) <= LONG_WORD * MOST // 2 and not any(len(w) > LONG_WORD for w in words[at:k]) else _STRETCH.findall(leaf)
-            at = k
-    return out or [b""]
+    return _LEAVES.findall(line) or [b""]
 
 
-def _inner(children: list[bytes]) -> bytes:
-    return hashlib.blake2b(b"".join(children), digest_size=16).digest()
+def _inner(children: list[str]) -> str:
+    return hashlib.blake2b("".join(children).encode(), digest_size=16).hexdigest()
 
 
-def _grain(text: str) -> int:
-    return 0 if len(text) < TINY else 1 if len(text) < SHORT else 2
+def _chars(data: bytes) -> int:
+    return len(data) if data.isascii() else len(data.translate(None, _INSIDE))
 
 
-@dataclass(frozen=True)
-class Node:
-    """kind: document, section, paragraph or leaf; start and end are byte positions in the text's UTF-8."""
+def _paragraph(line: bytes, breaks: bytes) -> tuple[str, str]:
+    """A paragraph's digest and its part of a fingerprint; line breaks after it count with its last leaf."""
+    leaves = _leaves(line)
+    size = _HEX[len(leaves[-1])]
+    leaves[-1] += breaks
+    own = list(map(xxh3_128_hexdigest, leaves))
+    sizes = list(map(_HEX.__getitem__, map(len, leaves)))
+    chars = sizes if line.isascii() else [_HEX[_chars(x)] for x in leaves]
+    sizes = [*sizes[:-1], size]
+    digest = _inner(own)
+    below = "".join([d[:DIGEST] + x + y for d, x, y in zip(own, sizes, chars, strict=True)])
+    return digest, f"{PARAGRAPH}{digest[:DIGEST]}{len(line):08x}{below}"
 
-    kind: str
-    digest: bytes
-    start: int
-    end: int
-    children: tuple[Node, ...] = ()
-
-
-def tree(text: str | None) -> Node:
-    """The whole tree, for locating edits."""
-    data, grain = (text or "").encode("utf-8", "surrogatepass"), _grain(text or "")
-    sections, at = [], 0
-    for section in data.split(b"\n\n"):
-        paragraphs, p = [], at
-        for line in section.split(b"\n"):
-            leaves, q = [], p
-            for leaf in _leaves(line, grain):
-                leaves.append(Node("leaf", xxh3_128_digest(leaf), q, q + len(leaf)))
-                q += len(leaf)
-            paragraphs.append(Node("paragraph", _inner([x.digest for x in leaves]), p, p + len(line), tuple(leaves)))
-            p += len(line) + 1
-        sections.append(Node("section", _inner([x.digest for x in paragraphs]), at, at + len(section), tuple(paragraphs)))
-        at += len(section) + 2
-    return Node("document", _inner([x.digest for x in sections]), 0, len(data), tuple(sections))
-
-
-def differing(a: Node, b: Node) -> list[tuple[int, int]]:
-    """Byte spans of ``a`` that have no counterpart in ``b``, found by descending into differing branches."""
-    if a.digest == b.digest:
-        return []
-    if not a.children or not b.children:
-        return [(a.start, a.end)]
-    left = Counter(x.digest for x in b.children)
-    gone, free = [], []
-    for x in a.children:
-        if left[x.digest]:
-            left[x.digest] -= 1
-        else:
-            gone.append(x)
-    matched = Counter(x.digest for x in a.children)
-    for x in b.children:
-        if matched[x.digest]:
-            matched[x.digest] -= 1
-        else:
-            free.append(x)
-    out: list[tuple[int, int]] = []
-    for k, x in enumerate(gone):
-        out += differing(x, free[k]) if k < len(free) and x.children else [(x.start, x.end)]
-    return out
 
+def fingerprint(text: str | None, known: dict[tuple[bytes, bytes], tuple[str, str]] | None = None) -> str:
+    """Root, sections, paragraphs and leaves in the text's order, as hex digits; then finer leaves.
 
-def fingerprint(text: str | None) -> str:
-    """Root, sections, paragraphs and leaves in the text's order, as hex digits."""
-    data, grain = (text or "").encode("utf-8", "surrogatepass"), _grain(text or "")
+    ``known`` keeps paragraphs that another text may have too.
+    """
+    data = (text or "").encode("utf-8", "surrogatepass")
+    known = {} if known is None else known
     out, sections = [], []
-    for section in data.split(b"\n\n"):
+    parts = data.split(b"\n\n")
+    for k, section in enumerate(parts, 1):
         below, paragraphs = [], []
-        for line in section.split(b"\n"):
-            leaves = _leaves(line, grain)
-            own = list(map(xxh3_128_digest, leaves))
-            paragraphs.append(_inner(own))
-            below.append(f"{PARAGRAPH}{paragraphs[-1].hex()[:DIGEST]}{len(line):08x}")
-            below += [f"{x.hex()[:DIGEST]}{len(leaf):03x}" for x, leaf in zip(own, leaves, strict=True)]
+        lines = section.split(b"\n")
+        for j, line in enumerate(lines, 1):
+            key = line, b"\n" if j < len(lines) else b"\n\n" if k < len(parts) else b""
+            if (found := known.get(key)) is None:
+                found = known[key] = _paragraph(*key)
+            paragraphs.append(found[0])
+            below.append(found[1])
         sections.append(_inner(paragraphs))
-        out.append(f"{SECTION}{sections[-1].hex()[:DIGEST]}{len(section):08x}{''.join(below)}")
-    return _inner(sections).hex() + "".join(out)
+        out.append(f"{SECTION}{sections[-1][:DIGEST]}{len(section):08x}{''.join(below)}")
+    n = len(text or "")
+    if n < SHORT:
+        out.append(WORDS + "".join(xxh3_128_hexdigest(x)[:DIGEST] + _HEX[len(x)] + _HEX[_chars(x)] for x in _WORDS.findall(data)))
+    if n < TINY:  # each byte with the one before it, so that letters alone say little
+        out.append(BYTES + "".join(xxh3_128_hexdigest(data[max(j - 1, 0) : j + 1])[:DIGEST] + "01" + _HEX[_chars(data[j : j + 1])] for j in range(len(data))))
+    return _inner(sections) + "".join(out)
+
+
+#: A node read from a fingerprint: digest, start and end in bytes, code points, what is below it.
+Read = tuple[str, int, int, int, str]
 
 
-#: A node read from a fingerprint: digest, start and end in bytes, what is below it.
-Read = tuple[str, int, int, str]
+def _levels(print_: str) -> tuple[str, str | None, str | None]:
+    """The tree without its root, the words, and the bytes."""
+    tree, has_words, rest = print_[ROOT:].partition(WORDS)
+    words, has_bytes, singles = rest.partition(BYTES)
+    return tree, words if has_words else None, singles if has_bytes else None
 
 
 def _branches(below: str, mark: str, at: int) -> list[Read]:
@@ -146,16 +122,16 @@ def _branches(below: str, mark: str, at: int) -> list[Read]:
     out, gap = [], 2 if mark == SECTION else 1
     for x in below.split(mark)[1:]:
         end = at + int(x[DIGEST : DIGEST + BRANCH_BYTES], 16)
-        out.append((x[:DIGEST], at, end, x[DIGEST + BRANCH_BYTES :]))
+        out.append((x[:DIGEST], at, end, 0, x[DIGEST + BRANCH_BYTES :]))
         at = end + gap
     return out
 
 
 def _leaf_nodes(below: str, at: int) -> list[Read]:
-    out, step = [], DIGEST + LEAF_BYTES
+    out, size, step = [], DIGEST + LEAF_BYTES, DIGEST + LEAF_BYTES + LEAF_CHARS
     for k in range(0, len(below), step):
-        end = at + int(below[k + DIGEST : k + step], 16)
-        out.append((below[k : k + DIGEST], at, end, ""))
+        end = at + int(below[k + DIGEST : k + size], 16)
+        out.append((below[k : k + DIGEST], at, end, int(below[k + size : k + step], 16), ""))
         at = end
     return out
 
@@ -173,37 +149,101 @@ def _without(nodes: list[Read], others: list[Read]) -> list[Read]:
 
 
 def _apart(a: str, b: str) -> list[Read]:
-    """Leaves of ``a`` without a counterpart in ``b``; equal branches are not entered."""
-    one, two = _branches(a[ROOT:], SECTION, 0), _branches(b[ROOT:], SECTION, 0)
+    """Leaves of one tree without a counterpart in another; equal branches are not entered."""
+    one, two = _branches(a, SECTION, 0), _branches(b, SECTION, 0)
     one, two = _without(one, two), _without(two, one)
-    one, two = ([p for x in side for p in _branches(x[3], PARAGRAPH, x[1])] for side in (one, two))
+    one, two = ([p for x in side for p in _branches(x[4], PARAGRAPH, x[1])] for side in (one, two))
     one, two = _without(one, two), _without(two, one)
-    one, two = ([leaf for x in side for leaf in _leaf_nodes(x[3], x[1])] for side in (one, two))
+    one, two = ([leaf for x in side for leaf in _leaf_nodes(x[4], x[1])] for side in (one, two))
     return _without(one, two)
 
 
-def _count(print_: str) -> int:
-    """How many leaves a fingerprint has."""
-    branches = print_.count(SECTION) + print_.count(PARAGRAPH)
-    return (len(print_) - ROOT - branches * (1 + DIGEST + BRANCH_BYTES)) // (DIGEST + LEAF_BYTES)
+def _size(tree: str) -> int:
+    """Code points of the leaves of a tree."""
+    step, head = DIGEST + LEAF_BYTES + LEAF_CHARS, DIGEST + BRANCH_BYTES
+    total = 0
+    for x in tree.replace(SECTION, PARAGRAPH).split(PARAGRAPH)[1:]:
+        for k in range(head + DIGEST + LEAF_BYTES, len(x), step):
+            total += int(x[k : k + LEAF_CHARS], 16)
+    return total
 
 
-def likeness(a: str, b: str) -> float:
-    """0 to 1, from two fingerprints alone; 1 for equal roots only."""
+def likeness(a: str, b: str, chars: tuple[int, int] | None = None) -> float:
+    """0 to 1, from two fingerprints alone; 1 for equal roots only. ``chars`` are the texts' code points, if known."""
     if a[:ROOT] == b[:ROOT]:
         return 1.0
-    own, most = _count(a), max(_count(a), _count(b))
-    return min(own - len(_apart(a, b)), most - 0.5) / most
+    own, other = _levels(a), _levels(b)
+    for x, y in ((own[2], other[2]), (own[1], other[1])):
+        if x is not None and y is not None:
+            one, two = _leaf_nodes(x, 0), _leaf_nodes(y, 0)
+            gone = _without(one, two)
+            break
+    else:
+        gone = _apart(own[0], other[0])
+    n, m = chars or (_size(own[0]), _size(other[0]))
+    return min(n - sum(x[3] for x in gone), max(n, m) - 0.5) / max(n, m)
+
+
+@dataclass(frozen=True)
+class Node:
+    """kind: document, section, paragraph or leaf; start and end are byte positions in the text's UTF-8."""
+
+    kind: str
+    digest: bytes
+    start: int
+    end: int
+    children: tuple[Node, ...] = ()
+
+
+def read_tree(print_: str) -> Node:
+    """The tree that a fingerprint holds."""
+    def of(kind: str, x: Read, below: list[Node]) -> Node:
+        return Node(kind, bytes.fromhex(x[0]), x[1], x[2], tuple(below))
+
+    sections = []
+    for x in _branches(_levels(print_)[0], SECTION, 0):
+        paragraphs = [of("paragraph", p, [of("leaf", leaf, []) for leaf in _leaf_nodes(p[4], p[1])]) for p in _branches(x[4], PARAGRAPH, x[1])]
+        sections.append(of("section", x, paragraphs))
+    return Node("document", bytes.fromhex(print_[:ROOT]), 0, sections[-1].end, tuple(sections))
+
+
+def tree(text: str | None) -> Node:
+    return read_tree(fingerprint(text))
+
+
+def differing(a: Node, b: Node) -> list[tuple[int, int]]:
+    """Byte spans of ``a`` that have no counterpart in ``b``, found by descending into differing branches."""
+    if a.digest == b.digest:
+        return []
+    if not a.children or not b.children:
+        return [(a.start, a.end)]
+    left = Counter(x.digest for x in b.children)
+    gone, free = [], []
+    for x in a.children:
+        if left[x.digest]:
+            left[x.digest] -= 1
+        else:
+            gone.append(x)
+    matched = Counter(x.digest for x in a.children)
+    for x in b.children:
+        if matched[x.digest]:
+            matched[x.digest] -= 1
+        else:
+            free.append(x)
+    out: list[tuple[int, int]] = []
+    for k, x in enumerate(gone):
+        out += differing(x, free[k]) if k < len(free) and x.children else [(x.start, x.end)]
+    return out
 
 
-def _in_line(print_: str) -> list[tuple[str, int, int]]:
+def _in_line(tree: str) -> list[tuple[str, int, int]]:
     """All leaves and the beginnings of branches in the text's order."""
     out = []
-    for _, start, _, below in _branches(print_[ROOT:], SECTION, 0):
-        out.append((SECTION, start, start))
-        for _, first, _, leaves in _branches(below, PARAGRAPH, start):
-            out.append((PARAGRAPH, first, first))
-            out += [x[:3] for x in _leaf_nodes(leaves, first)]
+    for x in _branches(tree, SECTION, 0):
+        out.append((SECTION, x[1], x[1]))
+        for p in _branches(x[4], PARAGRAPH, x[1]):
+            out.append((PARAGRAPH, p[1], p[1]))
+            out += [leaf[:3] for leaf in _leaf_nodes(p[4], p[1])]
     return out
 
 
@@ -215,8 +255,9 @@ def edited_spans(a: str, b: str) -> list[tuple[int, int]]:
     """
     if a[:ROOT] == b[:ROOT]:
         return []
+    a, b = _levels(a)[0], _levels(b)[0]
     out: list[tuple[int, int]] = []
-    for _, start, end, _ in _apart(a, b):
+    for _, start, end, _, _ in _apart(a, b):
         if out and out[-1][1] == start:
             out[-1] = out[-1][0], end
         else:
@@ -266,7 +307,8 @@ def in_order(docs: DataFrame, buckets: int) -> DataFrame:
         copied = F.element_at(F.create_map(*[F.lit(x) for pair in before.items() for x in pair]), F.col("key"))
         targets = F.when(F.col("key").isin(list(before)), F.concat(targets, F.array(F.struct(copied.alias("bucket"), F.lit(False).alias("own"))))).otherwise(targets)
     spread = keyed.select("doc_id", "text", "key", F.explode(targets).alias("at")).select("at.bucket", "at.own", "doc_id", "text", "key")
-    return spread.repartition(max(1, buckets // 4), "bucket").sortWithinPartitions("bucket", F.desc("own"), F.desc("key"), "text").drop("key")
+    parts = max(1, buckets // 4)  # dealt in turn, not by hash, so that all have as many buckets
+    return spread.repartitionById(parts, F.pmod("bucket", F.lit(parts))).sortWithinPartitions("bucket", F.desc("own"), F.desc("key"), "text").drop("key")
 
 
 def fingerprint_edits(docs: DataFrame, buckets: int | None = None, id_col: str = "doc_id", text_col: str = "text", spans: bool = False) -> DataFrame:
@@ -286,21 +328,23 @@ def fingerprint_edits(docs: DataFrame, buckets: int | None = None, id_col: str =
         schema += ", edited_spans array<struct<start: long, end: long>>"
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        waiting = None  # bucket, id, text and fingerprint of the row whose next is still to come
+        waiting = None  # bucket, id, text, fingerprint and paragraphs of the row whose next is still to come
         for batch in slices(batches):
             out = []
             for bucket, own, doc, text in zip(*(batch.column(k).to_pylist() for k in range(4)), strict=True):
                 if waiting is None and not own:
                     continue
-                mark = fingerprint(text)
+                paragraphs: dict = {}
+                mark = fingerprint(text, paragraphs)
                 if waiting is not None and waiting[0] == bucket:
-                    _, i, before, print_ = waiting
+                    _, i, before, print_, known = waiting
                     changed = edited(before, text)
-                    changed_print = fingerprint(changed)
+                    changed_print = fingerprint(changed, known | paragraphs)
                     sha = hashlib.sha256(changed.encode("utf-8", "surrogatepass")).hexdigest()
-                    row = (i, len(before), sha, print_, changed_print, likeness(print_, changed_print), likeness(print_, mark))
+                    near = likeness(print_, changed_print, (len(before), len(changed))), likeness(print_, mark, (len(before), len(text)))
+                    row = (i, len(before), sha, print_, changed_print, *near)
                     out.append((*row, [{"start": a, "end": b} for a, b in edited_spans(changed_print, print_)]) if spans else row)
-                waiting = (bucket, doc, text, mark) if own else None
+                waiting = (bucket, doc, text, mark, paragraphs) if own else None
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], names=names)
 

@@ -1,6 +1,7 @@
 """Text operators use all of a text and of a corpus, where they once stopped or sampled."""
 
 import random
+import re
 from array import array
 from collections import Counter
 
@@ -29,18 +30,53 @@ def test_any_single_edit_of_a_long_text_shows():
         assert any(a <= at < b for a, b in spans) and sum(b - a for a, b in spans) < 200
 
 
-@settings(max_examples=200, deadline=None)
-@given(st.text(alphabet="ab c\né", max_size=300), st.text(alphabet="ab c\né", max_size=300))
-def test_fingerprints_tell_what_trees_tell(a, b):
-    def leaves(node):
-        return [node] if node.kind == "leaf" else [x for c in node.children for x in leaves(c)]
-
-    one, two = merkle.fingerprint(a), merkle.fingerprint(b)
-    both = [Counter(x.digest for x in leaves(merkle.tree(t))) for t in (a, b)]
-    most = max(x.total() for x in both)
-    assert merkle.likeness(one, two) == pytest.approx(1.0 if a == b else min((both[0] & both[1]).total(), most - 0.5) / most)
-    assert bool(merkle.edited_spans(one, two)) == (a != b)
-    assert all(0 <= x <= y <= len(a.encode()) for x, y in merkle.edited_spans(one, two))
+def shared_share(a, b):
+    """Brute force: pieces as text, counted with the line breaks after them, none of the module's digests or sums."""
+
+    def pieces(text):
+        data = text.encode()
+        if len(a) < merkle.TINY and len(b) < merkle.TINY:
+            return Counter((data[max(k - 1, 0) : k + 1], data[k] & 0xC0 != 0x80) for k in range(len(data)))
+        if len(a) < merkle.SHORT and len(b) < merkle.SHORT:
+            found = re.findall(rb"[^ \n]{1,8}[ \n]?|[ \n]", data)
+        else:
+            spans = [x for s in merkle.tree(text).children for p in s.children for x in p.children]
+            found = [data[x.start : y] for x, y in zip(spans, [*(x.start for x in spans[1:]), len(data)], strict=True)]
+        return Counter((x, sum(c & 0xC0 != 0x80 for c in x)) for x in found)
+
+    one, two = pieces(a), pieces(b)
+    most = max(len(a), len(b))
+    return 1.0 if a == b else min(sum(size * n for (_, size), n in (one & two).items()), most - 0.5) / most
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.text(alphabet="ab c\né", max_size=500), st.text(alphabet="ab c\né", max_size=500), st.integers(0, 500))
+def test_likeness_equals_brute_force(a, other, keep):
+    for b in (other, a[:keep] + other, merkle.edited(a, other)):
+        one, two = merkle.fingerprint(a), merkle.fingerprint(b)
+        assert merkle.likeness(one, two) == pytest.approx(shared_share(a, b))
+        assert merkle.likeness(one, two, (len(a), len(b))) == merkle.likeness(one, two)
+        assert bool(merkle.edited_spans(one, two)) == (a != b)
+        assert all(0 <= x <= y <= len(a.encode()) for x, y in merkle.edited_spans(one, two))
+
+
+@pytest.mark.parametrize("kind", ["letters", "words", "lines", "wide"])
+def test_edited_texts_stay_near_at_any_length(kind):
+    rng = random.Random(kind)
+    make = {
+        "letters": lambda n: "".join(rng.choices("abcdefghij", k=n)), "words": lambda n: " ".join(f"w{rng.randint(0, 9999)}" for _ in range(n))[:n],
+        "lines": lambda n: "".join(rng.choices("ab c\n", k=n)), "wide": lambda n: "".join(rng.choices("é中😀 a\n", k=n)),
+    }[kind]
+    for n in [*range(400), *range(400, 2001, 23)]:
+        text = make(n)
+        for other in ("".join(rng.choices("x😀q \n", k=n)), "zz"):
+            assert merkle.likeness(merkle.fingerprint(text), merkle.fingerprint(merkle.edited(text, other))) >= 0.4
+
+
+def test_edited_documents_stay_near(spark):
+    rows = merkle.fingerprint_edits(spark.read.parquet("/root/testdata/sf0.01/documents.parquet")).collect()
+    assert min(r["near_edited"] for r in rows) >= 0.4
+    assert sum(r["near_next"] > 0.4 for r in rows) < 0.02 * len(rows)
 
 
 def test_edited_spans_of_moved_and_missing_parts():
