@@ -1,38 +1,44 @@
-"""Byte-pair encoding over a table of distinct words, and decoding by id.
+"""Byte-pair encoding over the corpus's table of distinct words, and decoding by id.
 
 A text is cut into words, each word with the blank before it. No token of a byte-level
 vocabulary reaches from a visible character into the white space after it, so words can be
-encoded apart. Each distinct word is encoded once, and ids go back to the texts by the
-words' positions. Decoding looks up each id's piece.
-
-The table of distinct words has one of two scopes:
-
-* ``encode_partitions`` (and the query): one table in each Python worker, filled as words
-  turn up and emptied beyond ``TABLE_WORDS`` words. Texts are not shuffled.
-* ``encode_global``: one table for the whole corpus: words are split in Spark, made distinct
-  by a shuffle, encoded once and joined back. It moves every word of every text, which is
-  several times the input; the README has figures.
-
-Null and empty texts have no ids. Repeated rows give repeated results. Any length works.
+encoded apart.
+
+1. ``build_table``: each task makes its texts' words distinct, and only these are shuffled, to
+   shards by the top bits of their 128-bit digests. A shard sorts its words, encodes each once
+   and writes digests and ids as sorted arrays to the shared folder, as a stream.
+2. ``encode_partitions`` maps the table and puts the words' ids back by their positions. Texts are
+   never shuffled. A worker looks each word up once, in blocks, and keeps up to ``TABLE_WORDS``.
+3. Decoding looks up each id's piece in the vocabulary's table, which each worker holds;
+   ``decode_global`` does it as a join for ids that lie in a frame.
+
+Without a table, ``encode_partitions`` encodes words as they turn up. Null and empty texts have no
+ids. Repeated rows give repeated results. Any length works.
 """
 
 from __future__ import annotations
 
 import hashlib
 import json
+import os
 import re
+import uuid
 from array import array
 from collections.abc import Iterator
+from dataclasses import dataclass
+from itertools import chain, pairwise
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from xxhash import xxh3_128_digest
 
-from subgraph_engine.llm.common import slices, written
+from subgraph_engine.llm.common import fresh_path, local, mapped, slices
 
-#: Words kept in a worker's table before it starts anew.
+#: Words that a worker keeps before it starts anew.
 TABLE_WORDS = 400_000
-#: Longer words are encoded, but not kept.
+#: Longer words are not kept beyond a block.
 KEPT_CHARS = 48
 #: Longer words, and words with characters from here on, go to the reference tokenizer.
 FAST_CHARS, FAST_BELOW = 1000, "ɐ"
@@ -102,28 +108,40 @@ class Codec(dict):
             return self.exact.encode(word, add_special_tokens=False).ids
         return self._fast(word)
 
-    def __missing__(self, word: str) -> tuple[bytes, bytes]:
-        ids = self.ids_of(word)
-        entry = (array("I", ids).tobytes(), (",".join(map(str, ids)) + ",").encode())
-        if len(word) <= KEPT_CHARS:
-            if len(self) >= TABLE_WORDS:
-                self.clear()
-            self[word] = entry
-        return entry
+    def entry(self, ids: np.ndarray | list[int]) -> tuple[bytes, bytes]:
+        return array("I", ids).tobytes(), (",".join(map(str, ids)) + ",").encode()
 
-    def entries(self, text: str | None) -> list[tuple[bytes, bytes]]:
+    def words(self, text: str | None) -> list[str]:
+        """The text's words; special tokens stand alone."""
         if not text:
             return []
         if self._apart and self._apart.search(text):
-            out = []
-            for part in filter(None, self._apart.split(text)):
-                if part in self.special:
-                    i = self.special[part]
-                    out.append((array("I", [i]).tobytes(), f"{i},".encode()))
-                else:
-                    out += map(self.__getitem__, words_of(part))
-            return out
-        return list(map(self.__getitem__, words_of(text)))
+            return [w for part in filter(None, self._apart.split(text)) for w in ([part] if part in self.special else words_of(part))]
+        return words_of(text)
+
+    def know(self, words: set[str], table: WordTable | None = None) -> None:
+        """Makes entries of these words, by the table where it has them."""
+        new = words.difference(self)
+        if len(self) + len(new) > TABLE_WORDS:
+            self.clear()
+            new = words
+        new = list(new)
+        found = table.ids(new) if table else [None] * len(new)
+        for w, ids in zip(new, found, strict=True):
+            self[w] = self.entry([self.special[w]] if w in self.special else self.ids_of(w) if ids is None else ids)
+
+    def forget_long(self, words: set[str]) -> None:
+        for w in words:
+            if len(w) > KEPT_CHARS:
+                self.pop(w, None)
+
+    def entries(self, text: str | None) -> list[tuple[bytes, bytes]]:
+        words = self.words(text)
+        distinct = set(words)
+        self.know(distinct)
+        out = [self[w] for w in words]
+        self.forget_long(distinct)
+        return out
 
     def encode(self, text: str | None) -> bytes:
         """The text's ids, four bytes each, past the table where a text is plain enough to go whole."""
@@ -147,19 +165,134 @@ def codec(path: str) -> Codec:
     return _CODECS[path]
 
 
-def encode_partitions(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", digests: bool = False) -> DataFrame:
+@dataclass(frozen=True)
+class WordTable:
+    """The ids of distinct words, by sorted 128-bit digests in shards by their top ``bits``.
+
+    A shard has its digests' high and low halves, where each word's ids end, and the ids.
+    """
+
+    base: str
+    bits: int
+    sizes: tuple[int, ...]  # words of each shard
+
+    def ids(self, words: list[str]) -> list[np.ndarray | None]:
+        """The ids of each word, None if it isn't in the table."""
+        out: list[np.ndarray | None] = [None] * len(words)
+        keys = np.frombuffer(b"".join([xxh3_128_digest(w.encode()) for w in words]), ">u8").reshape(-1, 2).astype("<u8")
+        order = np.argsort(keys[:, 0], kind="stable")
+        keys = keys[order]
+        tops = np.arange(1, 1 << self.bits, dtype="<u8") << np.uint64(64 - self.bits)
+        for shard, (a, b) in enumerate(pairwise([0, *np.searchsorted(keys[:, 0], tops).tolist(), len(keys)])):
+            if a == b or not self.sizes[shard]:
+                continue
+            high, low, ends, every = (mapped(f"{local(self.base)}/{shard}.{name}", kind) for name, kind in (("high", "<u8"), ("low", "<u8"), ("ends", "<u8"), ("ids", "<u4")))
+            at, last = np.searchsorted(high, keys[a:b, 0]), len(high) - 1
+            own = np.minimum(at, last)
+            while len(off := np.flatnonzero((high[own] == keys[a:b, 0]) & (low[own] != keys[a:b, 1]) & (own < last))):
+                own[off] += 1  # equal halves of different digests stand side by side
+            hit = np.flatnonzero((high[own] == keys[a:b, 0]) & (low[own] == keys[a:b, 1]))
+            stops = ends[own[hit]].tolist()
+            starts = np.where(own[hit] > 0, ends[np.maximum(own[hit], 1) - 1], 0).tolist()
+            for k, x, y in zip(order[a:b][hit].tolist(), starts, stops, strict=True):
+                out[k] = every[x:y]
+        return out
+
+
+class _ShardFiles:
+    """A shard's arrays as they grow; written beside and renamed, so that a task that runs again does no harm."""
+
+    NAMES = ("high", "low", "ends", "ids")
+
+    def __init__(self, base: str, shard: int) -> None:
+        self.base, self.shard, self.words, self.n, self.last = f"{local(base)}/{shard}", shard, 0, 0, b""
+        self.draft = f"{self.base}.{uuid.uuid4().hex}"
+        self.files = [open(f"{self.draft}.{name}", "wb") for name in self.NAMES]  # noqa: SIM115
+
+    def add(self, keys: list[bytes], ids: list[list[int]]) -> None:
+        if not keys:
+            return
+        halves = np.frombuffer(b"".join(keys), ">u8").reshape(-1, 2).astype("<u8")
+        ends = self.n + np.cumsum([len(x) for x in ids], dtype="<u8")
+        parts = (np.ascontiguousarray(halves[:, 0]), np.ascontiguousarray(halves[:, 1]), ends.astype("<u8"), np.fromiter(chain.from_iterable(ids), "<u4"))
+        for f, values in zip(self.files, parts, strict=True):
+            f.write(values.tobytes())
+        self.words, self.n, self.last = self.words + len(keys), int(ends[-1]), keys[-1]
+
+    def close(self) -> tuple[int, int]:
+        for f, name in zip(self.files, self.NAMES, strict=True):
+            f.close()
+            os.replace(f"{self.draft}.{name}", f"{self.base}.{name}")
+        return self.shard, self.words
+
+
+def build_table(docs: DataFrame, path: str, text_col: str = "text") -> WordTable:
+    """The table of all distinct words of a column; only the shards' sizes come to the driver."""
+    spark = docs.sparkSession
+    bits = max(1, (int(spark.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length())
+    base = fresh_path(spark, "words")
+    os.makedirs(local(base), exist_ok=True)
+
+    def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, seen = codec(path), set()
+        for batch in slices(batches):
+            new: set[str] = set()
+            for text in batch.column(0).to_pylist():
+                new.update(own.words(text))
+            new = new.difference(seen, own.special)
+            if len(seen) > TABLE_WORDS:
+                seen.clear()
+            seen.update(w for w in new if len(w) <= KEPT_CHARS)
+            words = list(new)
+            keys = [xxh3_128_digest(w.encode()) for w in words]
+            shards = [int.from_bytes(k[:4]) >> (32 - bits) for k in keys]
+            yield pa.RecordBatch.from_arrays([pa.array(shards, pa.int32()), pa.array(keys, pa.binary()), pa.array(words, pa.string())], names=["shard", "key", "word"])
+
+    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own, files, done = codec(path), None, []
+        for batch in slices(batches, 8192):
+            keys, ids = [], []
+            for shard, key, word in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
+                if files is None or shard != files.shard:
+                    if files is not None:
+                        files.add(keys, ids)
+                        done.append(files.close())
+                    files, keys, ids = _ShardFiles(base, shard), [], []
+                if key != (keys[-1] if keys else files.last):
+                    keys.append(key)
+                    ids.append(own.ids_of(word))
+            if files is not None:
+                files.add(keys, ids)
+        if files is not None:
+            done.append(files.close())
+        if done:
+            shards, sizes = zip(*done, strict=True)
+            yield pa.RecordBatch.from_arrays([pa.array(shards, pa.int32()), pa.array(sizes, pa.int64())], names=["shard", "words"])
+
+    words = docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(split, "shard int, key binary, word string")
+    dealt = words.repartitionById(1 << bits, F.col("shard")).sortWithinPartitions("shard", "key")
+    sizes = [0] * (1 << bits)
+    for r in dealt.mapInArrow(encode, "shard int, words long").collect():
+        sizes[r["shard"]] = r["words"]
+    return WordTable(base, bits, tuple(sizes))
+
+
+def encode_partitions(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", digests: bool = False, table: WordTable | None = None) -> DataFrame:
     """``doc_id, n_tokens`` and ``ids`` (binary, unsigned 32-bit little-endian), a row for each row of ``docs``.
 
     With ``digests``, the hex SHA-256 of the decimal ids joined by commas and of the decoded
-    text (UTF-8) instead of ``ids``.
+    text (UTF-8) instead of ``ids``. With a ``table``, words' ids come from it.
     """
 
     def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         own = codec(path)
         for batch in slices(batches):
             n, first, second = [], [], []
-            for text in batch.column(1).to_pylist():
-                entries = own.entries(text)
+            texts = list(map(own.words, batch.column(1).to_pylist()))
+            distinct = set(chain.from_iterable(texts))
+            own.know(distinct, table)
+            for words in texts:
+                entries = list(map(own.__getitem__, words))
                 ids = b"".join([a for a, _ in entries])
                 n.append(len(ids) // 4)
                 if digests:
@@ -167,6 +300,7 @@ def encode_partitions(docs: DataFrame, path: str, id_col: str = "doc_id", text_c
                     second.append(hashlib.sha256(own.decode(ids).encode()).hexdigest())
                 else:
                     first.append(ids)
+            own.forget_long(distinct)
             out = [batch.column(0), pa.array(n, pa.int64()), pa.array(first, pa.string() if digests else pa.binary())]
             names = ["doc_id", "n_tokens", "ids"]
             if digests:
@@ -191,50 +325,21 @@ def decode_partitions(encoded: DataFrame, path: str, id_col: str = "doc_id", ids
 
 
 def encode_global(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """``row, doc_id, ids array<int>``: words made distinct over the whole corpus, encoded once each, joined back by position.
-
-    ``row`` is each row's own key, so rows with equal or null ids stay apart. A text's repeats of a
-    word travel as one row with all positions.
-    """
-
-    def split(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = codec(path)
-        for batch in slices(batches):
-            words, places = [], []
-            for text in batch.column(2).to_pylist():
-                parts = filter(None, own._apart.split(text)) if text and own._apart else [text or ""]
-                at: dict[str, list[int]] = {}
-                for k, w in enumerate(w for part in parts for w in ([part] if part in own.special else words_of(part))):
-                    at.setdefault(w, []).append(k)
-                words.append(list(at))
-                places.append(list(at.values()))
-            columns = [batch.column(0), batch.column(1), pa.array(words, pa.list_(pa.string())), pa.array(places, pa.list_(pa.list_(pa.int32())))]
-            yield pa.RecordBatch.from_arrays(columns, names=["row", "doc_id", "words", "places"])
-
-    def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = codec(path)
-        for batch in batches:
-            words = batch.column(0).to_pylist()
-            ids = [[own.special[w]] if w in own.special else own.ids_of(w) for w in words]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, pa.list_(pa.int32()))], names=["word", "word_ids"])
-
+    """``row, doc_id, ids array<int>`` by the table of all words; ``row`` keeps rows with equal or null ids apart."""
+    table = build_table(docs, path, text_col)
     picked = docs.select(F.monotonically_increasing_id().alias("row"), F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    parts = picked.mapInArrow(split, "row long, doc_id long, words array<string>, places array<array<int>>")
-    at = parts.select("row", "doc_id", F.explode_outer(F.arrays_zip("words", "places")).alias("at")).select("row", "doc_id", F.col("at.words").alias("word"), F.col("at.places").alias("places"))
-    known = at.where("word is not null").select("word").distinct().mapInArrow(encode, "word string, word_ids array<int>")
-    joined = at.join(known, "word", "left")
-    gathered = joined.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.collect_list(F.struct("places", "word_ids")).alias("got"))
 
-    def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        own = codec(path)
         for batch in slices(batches):
-            out = []
-            for got in batch.column(2).to_pylist():
-                line = [(k, x["word_ids"]) for x in got if x["places"] for k in x["places"]]
-                line.sort(key=lambda x: x[0])
-                out.append([i for _, ids in line for i in ids])
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.list_(pa.int32()))], names=["row", "doc_id", "ids"])
+            texts = list(map(own.words, batch.column(2).to_pylist()))
+            distinct = set(chain.from_iterable(texts))
+            own.know(distinct, table)
+            ids = [array("I", b"".join([own[w][0] for w in words])).tolist() for words in texts]
+            own.forget_long(distinct)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(ids, pa.list_(pa.int32()))], names=["row", "doc_id", "ids"])
 
-    return gathered.mapInArrow(place, "row long, doc_id long, ids array<int>")
+    return picked.mapInArrow(rows, "row long, doc_id long, ids array<int>")
 
 
 def decode_global(encoded: DataFrame, path: str) -> DataFrame:
@@ -247,12 +352,9 @@ def decode_global(encoded: DataFrame, path: str) -> DataFrame:
     at = keyed.select("row", "doc_id", F.posexplode_outer("ids").alias("pos", "id")).join(F.broadcast(pieces), "id", "left")
     gathered = at.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.sort_array(F.collect_list(F.struct("pos", F.hex("piece").alias("piece")))).alias("got"))
     joined = F.array_join(F.transform("got", lambda x: F.coalesce(x["piece"], F.lit(""))), "")
-    return gathered.select("row", "doc_id", F.decode(F.unhex(joined), "UTF-8").alias("text"))
+    return gathered.select("row", "doc_id", F.make_valid_utf8(F.unhex(joined).cast("string")).alias("text"))
 
 
 def global_digests(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The rows of ``encode_partitions`` with digests, by the corpus's table of words and the table of pieces."""
-    coded = written(encode_global(docs, path, id_col, text_col), "coded")
-    back = decode_global(coded, path).select("row", F.sha2(F.encode("text", "UTF-8"), 256).alias("decoded_sha256"))
-    ids = coded.select("row", "doc_id", F.size("ids").cast("long").alias("n_tokens"), F.sha2(F.array_join(F.transform("ids", lambda x: x.cast("string")), ",").cast("binary"), 256).alias("ids_sha256"))
-    return ids.join(back, "row").select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
+    """``doc_id, n_tokens, ids_sha256, decoded_sha256`` by the corpus's table of words and the table of pieces."""
+    return encode_partitions(docs, path, id_col, text_col, True, build_table(docs, path, text_col))

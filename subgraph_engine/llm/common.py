@@ -2,10 +2,13 @@
 
 from __future__ import annotations
 
+import os
 import tempfile
 import uuid
 from collections.abc import Iterator
+from functools import lru_cache
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -35,6 +38,21 @@ def fresh_path(spark: SparkSession, what: str) -> str:
     return f"{shared_dir(spark)}/{what}_{uuid.uuid4().hex}"
 
 
+def local(path: str) -> str:
+    """The path as this machine opens it; shared folders are mounted, so a file scheme is dropped."""
+    if path.startswith("file:"):
+        return "/" + path[5:].lstrip("/")
+    if "://" in path:
+        raise ValueError(f"the shared folder {path} cannot be mapped into memory; mount it and name it as file://")
+    return path
+
+
+@lru_cache(maxsize=8192)
+def mapped(path: str, kind: str) -> np.ndarray:
+    """A file of numbers, mapped into memory."""
+    return np.memmap(path, kind, "r") if os.path.getsize(path) else np.zeros(0, kind)
+
+
 def written(df: DataFrame, what: str, compression: str = "zstd") -> DataFrame:
     """``df`` written to the shared folder and read again: cuts lineage, survives lost executors."""
     spark = df.sparkSession

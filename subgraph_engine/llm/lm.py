@@ -34,9 +34,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from subgraph_engine.llm.common import fresh_path, written
+from subgraph_engine.llm.common import fresh_path, local
 from subgraph_engine.llm.hashing import blocks, mix, word_hashes
-from subgraph_engine.llm.urls import local
 
 #: Tokens that a task counts before it sums up, bytes of text scored at once.
 TOKENS, SCORED = 1 << 20, 3 << 20

@@ -46,12 +46,7 @@ FROM parts LEFT JOIN fits USING (page_id) LEFT JOIN bad USING (page_id)
 
 
 def op3_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Every document encoded and decoded again; digests of both."""
-    return bpe.encode_partitions(table(spark, sf_dir, "documents"), public_tokenizers.path(VOCABULARY), digests=True)
-
-
-def op3_bpe_global(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The same rows by one table of the corpus's distinct words; takes more disk than the check tool allows."""
+    """Every document encoded by the table of the corpus's distinct words and decoded again; digests of both."""
     return bpe.global_digests(table(spark, sf_dir, "documents"), public_tokenizers.path(VOCABULARY))
 
 
@@ -129,7 +124,7 @@ def op10_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op3_bpe_global, op4_merkle, op5_chat, op6_neardup, op7_language, op8_toxicity, op9_quality, op10_lm, page_language)}
+    return {f.__name__: f for f in (op1_packing, op2_urls, op3_bpe, op4_merkle, op5_chat, op6_neardup, op7_language, op8_toxicity, op9_quality, op10_lm, page_language)}
 
 
 def oracle_sql() -> dict[str, str]:

@@ -29,22 +29,13 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from subgraph_engine.llm.common import fresh_path, slices
+from subgraph_engine.llm.common import fresh_path, local, slices
 
 #: Kinds of entries, as stored.
 RULE_BLOCK, RULE_ALLOW, LIST_BLOCK, LIST_ALLOW = 0, 1, 2, 3
 VERDICTS = ("block", "allow", "block", "allow")
 
 
-def local(path: str) -> str:
-    """The path as this machine opens it; shared folders are mounted, so a file scheme is dropped."""
-    if path.startswith("file:"):
-        return "/" + path[5:].lstrip("/")
-    if "://" in path:
-        raise ValueError(f"the shared folder {path} cannot be mapped into memory; mount it and name it as file://")
-    return path
-
-
 def digest(text: str) -> int:
     return xxhash.xxh64_intdigest(text.encode("utf-8", "surrogatepass"))
 

@@ -146,3 +146,40 @@ def test_the_global_table_keeps_every_row(spark):
     assert Counter((r["doc_id"], tuple(r["ids"])) for r in coded.collect()) == want
     assert Counter((r["doc_id"], r["text"]) for r in bpe.decode_global(coded, PATH).collect()) == Counter((i, t or "") for i, t in rows)
     assert Counter(map(tuple, bpe.global_digests(docs, PATH).collect())) == Counter(map(tuple, bpe.encode_partitions(docs, PATH, digests=True).collect()))
+
+
+def test_each_word_is_encoded_once(spark, monkeypatch):
+    """The table holds every distinct word once, in order of digests, and gives the tokenizer's ids."""
+    rows = [(i, t) for i, t in rows_of_all_kinds() if t is None or len(t) < 50_000]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    table, own = bpe.build_table(docs, PATH), bpe.Codec(PATH)
+    words = {w for _, t in rows for w in own.words(t)} - set(own.special)
+    assert sum(table.sizes) == len(words)
+    found = table.ids([*words, "never seen"])
+    assert found[-1] is None and all(x.tolist() == own.ids_of(w) for w, x in zip(words, found))
+    # with a table, a worker never encodes a word of the corpus by itself
+    monkeypatch.setattr(bpe.Codec, "ids_of", lambda *_: 1 / 0)
+    own.know(words, table)
+    assert words <= own.keys()
+
+
+def test_a_worker_that_forgets_still_finds_its_words(spark, monkeypatch):
+    monkeypatch.setattr(bpe, "TABLE_WORDS", 5)
+    own = bpe.Codec(PATH)
+    for text in ("a b c d e f g h", "i j k <|endoftext|> l", "a b i j " + "x" * 60):
+        assert b"".join(a for a, _ in own.entries(text)) == own.encode(text)
+    assert not any(len(w) > bpe.KEPT_CHARS for w in own)
+
+
+def test_documents_come_back_from_the_table(spark):
+    from tokenizers import Tokenizer
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    reference = Tokenizer.from_file(PATH)
+    want = {r["doc_id"]: reference.encode(r["text"] or "", add_special_tokens=False).ids for r in docs.collect()}
+    coded = bpe.encode_global(docs, PATH)
+    assert {r["doc_id"]: r["ids"] for r in coded.collect()} == want
+    assert {r["doc_id"]: r["text"] for r in bpe.decode_global(coded, PATH).collect()} == {k: reference.decode(x, skip_special_tokens=False) for k, x in want.items()}
+    broken = spark.createDataFrame([(1, [x for x in want[min(want)][:3]] + [reference.encode("é", add_special_tokens=False).ids[0], 162])], "doc_id long, ids array<int>")
+    (row,) = bpe.decode_global(broken, PATH).collect()
+    assert row["text"] == reference.decode(broken.first()["ids"], skip_special_tokens=False)
