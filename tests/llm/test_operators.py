@@ -410,31 +410,39 @@ def test_quality_runs_no_python(docs):
 def brute_model(texts):
     import math
 
-    tokens = [[*t.encode().lower().split(), "</s>"] for t in texts]
-    one, two = Counter(w for t in tokens for w in t), Counter(p for t in tokens for p in zip(["<s>", *t[:-1]], t, strict=True))
-    n, v = sum(one.values()), len(one)
-    follow, before = {}, Counter()
-    for (u, w), c in two.items():
-        own = follow.setdefault(u, [0, 0, 0, 0])
+    def padded(text):
+        return ["<s>", "<s>", *text.encode().lower().split(), "</s>"]
+
+    def grams(own):
+        return zip(own, own[1:], own[2:], strict=False)
+
+    one, three = Counter(w for t in texts for w in padded(t)[2:]), Counter(g for t in texts for g in grams(padded(t)))
+    two = Counter((v, w) for _, v, w in three)  # different words before a pair
+    before = Counter(w for _, w in two)
+    n, v, total = sum(one.values()), len(one), len(two)
+    d1, d2, d3 = (lm._discounts([sum(c == k for c in x.values()) for k in range(1, 5)]) for x in (before, two, three))
+    g1 = sum(d * sum(min(c, 3) == k for c in before.values()) for k, d in enumerate(d1, 1)) / total if total else 1
+    follow = {}
+    for *context, w, c in [(*g, c) for table in (two, three) for g, c in table.items()]:
+        own = follow.setdefault(tuple(context), [0, 0, 0, 0])
         own[0] += c
         own[min(c, 3)] += 1
-        before[w] += 1
-    d2, d1 = (lm._discounts([sum(c == k for c in x.values()) for k in range(1, 5)]) for x in (two, before))
-    total = sum(before.values())
-    g1 = sum(d * sum(min(c, 3) == k for c in before.values()) for k, d in enumerate(d1, 1)) / total if total else 1
 
-    def p(u, w):
+    def mixed(c, d, own, below):
+        return max(c - [0, *d][min(c, 3)], 0) / own[0] + sum(x * k for x, k in zip(d, own[1:], strict=True)) / own[0] * below
+
+    def p(u, v_, w):
         a = before.get(w, 0)
         lone = (max(a - [0, *d1][min(a, 3)], 0) / total if total else 0) + g1 / (v + 1)
-        own = follow.get(u)
-        if not own:
-            return lone
-        c = two.get((u, w), 0)
-        return max(c - [0, *d2][min(c, 3)], 0) / own[0] + sum(d * k for d, k in zip(d2, own[1:], strict=True)) / own[0] * lone
+        if (v_,) in follow:
+            lone = mixed(two.get((v_, w), 0), d2, follow[v_,], lone)
+        if (u, v_) in follow:
+            lone = mixed(three.get((u, v_, w), 0), d3, follow[u, v_], lone)
+        return lone
 
     def score(text):
-        own = [*text.encode().lower().split(), "</s>"]
-        return len(own), sum(w in one for w in own), n, sum(math.log10((one.get(w, 0) + 1) / (n + v + 1)) for w in own), sum(math.log10(p(u, w)) for u, w in zip(["<s>", *own[:-1]], own, strict=True))
+        own = padded(text)
+        return len(own) - 2, sum(w in one for w in own[2:]), n, sum(math.log10((one.get(w, 0) + 1) / (n + v + 1)) for w in own[2:]), sum(math.log10(p(*g)) for g in grams(own))
 
     return score, p, one, v
 
@@ -450,8 +458,8 @@ def test_language_model_of_all_kinds(spark, docs, empty):
     assert [(g[0], *g[1:4], g[6]) for g in got] == [(w[0], *w[1:4], w[6]) for w in want]
     for g, w in zip(got, want, strict=True):
         assert g[4:6] == pytest.approx(w[4:6], rel=1e-9)
-    unseen = p("a".encode(), "nothing")
-    assert sum(p(b"a", w) for w in one) + unseen == pytest.approx(1)
+    for context in ((b"a", b"b"), ("<s>", "<s>"), ("<s>", b"a"), (b"never", b"a"), (b"never", b"seen")):
+        assert sum(p(*context, w) for w in one) + p(*context, "nothing") == pytest.approx(1)
     assert lm.train_and_score(empty).count() == 0
     uniform = lm.score_documents(docs, lm.train(empty.select("text"))).where("doc_id = 0").first()
     assert uniform["score"] == uniform["base_score"] == 0

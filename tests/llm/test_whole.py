@@ -9,8 +9,8 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from subgraph_engine.llm import bpe, langid, merkle, toxicity
-from tests.llm.test_operators import PATH, rows_of_all_kinds, toxic_rows
+from subgraph_engine.llm import bpe, langid, lm, merkle, toxicity
+from tests.llm.test_operators import PATH, brute_model, rows_of_all_kinds, toxic_rows
 
 
 def long_text(n):
@@ -183,3 +183,32 @@ def test_documents_come_back_from_the_table(spark):
     broken = spark.createDataFrame([(1, [x for x in want[min(want)][:3]] + [reference.encode("é", add_special_tokens=False).ids[0], 162])], "doc_id long, ids array<int>")
     (row,) = bpe.decode_global(broken, PATH).collect()
     assert row["text"] == reference.decode(broken.first()["ids"], skip_special_tokens=False)
+
+
+@pytest.mark.parametrize("crowded", [1, 3, 32])
+def test_language_model_in_small_portions(spark, monkeypatch, crowded):
+    """Counts of any size, hot pairs, many parts and shards: as brute force has it."""
+    monkeypatch.setattr(lm, "TOKENS", 50)
+    monkeypatch.setattr(lm, "CROWDED", crowded)
+    monkeypatch.setattr(lm, "SHARD_TOKENS", 100)
+    rng = random.Random(crowded)
+    texts = [" ".join(rng.choices("a b c d".split(), k=rng.randint(0, 12))) for _ in range(150)]
+    texts += ["hot pair " + f"w{k}" for k in range(300)] + ["same words again"] * 400
+    score, *_ = brute_model(texts)
+    frame = spark.createDataFrame([(k, t) for k, t in enumerate([*texts, "hot pair never", "Same WORDS again", "x y z"])], "doc_id long, text string")
+    model = lm.train(frame.where(f"doc_id < {len(texts)}").repartition(3))
+    got = {r["doc_id"]: r for r in lm.score_documents(frame, model).collect()}
+    for r in frame.collect():
+        n, known, tokens, base, own = score(r["text"])
+        assert tuple(got[r["doc_id"]])[1:4] == (n, known, tokens)
+        assert tuple(got[r["doc_id"]])[4:] == pytest.approx((base, own), rel=1e-9)
+
+
+def test_repeated_documents_stand_apart(spark):
+    """A text that occurs twice is likelier than those that occur once."""
+    rng = random.Random(3)
+    words, weights = [f"w{k}" for k in range(2000)], [1 / (k + 1) for k in range(2000)]
+    texts = [" ".join(rng.choices(words, weights, k=80)) for _ in range(600)]
+    frame = spark.createDataFrame([(k, t) for k, t in enumerate(texts + texts[:20])], "doc_id long, text string")
+    got = {r["doc_id"]: r["score"] / r["n_tokens"] for r in lm.score_documents(frame, lm.train(frame)).collect()}
+    assert min(got[k] for k in range(20)) > max(got[k] for k in range(20, 600))
