@@ -28,7 +28,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from subgraph_engine.llm.common import slices, written
@@ -167,10 +167,15 @@ def _agreeing(pairs: DataFrame, classes: DataFrame, needed: int) -> DataFrame:
     return joined.select("a", "b", "x", "y").mapInArrow(rows, "a long, b long, near boolean")
 
 
-def _blocked(rows: DataFrame, group: str, weight: F.Column, size: int) -> DataFrame:
-    """Adds ``block``: stretches of a group with about ``size`` of weight."""
-    before = Window.partitionBy(group).orderBy("class").rowsBetween(Window.unboundedPreceding, -1)
-    return rows.withColumn("block", F.floor(F.coalesce(F.sum(weight).over(before), F.lit(0)) / size).cast("int"))
+def _looked_up(table: DataFrame, what: str) -> DataFrame:
+    """A table of groups, stored; broadcast if its rows are few, so that hot groups aren't gathered to join it."""
+    table = written(table, what)
+    return F.broadcast(table) if table.count() <= BROADCAST_ROWS else table
+
+
+def _block(blocks: F.Column) -> F.Column:
+    """One of a group's blocks by the class's hash, alike in size and without an order over the group."""
+    return F.pmod(F.xxhash64("class"), blocks).cast("int")
 
 
 def _dealt(rows: DataFrame, every: F.Column, asking: F.Column) -> DataFrame:
@@ -189,12 +194,13 @@ def _across_regions(broken: DataFrame, classes: DataFrame, needed: int) -> DataF
     ``broken`` has ``run, class, region``; members of the run's smaller regions are compared with all.
     """
     sizes = broken.groupBy("run", "region").agg(F.count("*").alias("n"))
-    most = sizes.groupBy("run").agg(F.max(F.struct("n", "region"))["region"].alias("main"), F.count("*").alias("regions")).where("regions > 1")
-    rows = broken.join(most.select("run", "main"), "run").withColumn("asks", F.col("region") != F.col("main"))
-    rows = written(_blocked(rows, "run", F.lit(1), RUN_BLOCK), "runs")
-    spans = rows.groupBy("run").agg(F.array_distinct(F.collect_set("block")).alias("all"), F.array_distinct(F.collect_set(F.when(F.col("asks"), F.col("block")))).alias("asking"))
-    rows = rows.join(spans, "run").join(classes.select("class", "data"), "class")
-    rows = _dealt(rows, F.col("all"), F.col("asking")).select("run", "i", "j", "asks", "class", "region", "data")
+    most = sizes.groupBy("run").agg(F.max(F.struct("n", "region"))["region"].alias("main"), F.count("*").alias("regions"), F.ceil(F.sum("n") / RUN_BLOCK).cast("int").alias("blocks"))
+    most = most.where("regions > 1").drop("regions")
+    rows = broken.join(_looked_up(most, "main_regions"), "run").withColumn("asks", F.col("region") != F.col("main"))
+    rows = written(rows.withColumn("block", _block(F.col("blocks"))), "runs")
+    asking = rows.where("asks").groupBy("run").agg(F.collect_set("block").alias("asking"))
+    rows = rows.join(_looked_up(asking, "asking"), "run").join(classes.select("class", "data"), "class")
+    rows = _dealt(rows, F.sequence(F.lit(0), F.col("blocks") - 1), F.col("asking")).select("run", "i", "j", "asks", "class", "region", "data")
 
     def compare(table: pa.Table) -> pa.Table:
         x, y = table.filter(table["asks"]), table.filter(pc.invert(table["asks"]))
@@ -240,15 +246,20 @@ def _read(column: pa.ChunkedArray) -> list[np.ndarray]:
     return [np.frombuffer(x, "<u8") for x in column.to_pylist()]
 
 
-def region_links(members: DataFrame, num: int, den: int) -> DataFrame:
+def region_links(members: DataFrame, regions: DataFrame, num: int, den: int) -> DataFrame:
     """``a, b``: links that connect all classes of a region that are linked, directly or by others.
 
-    ``members`` has ``region, class, n_shingles, data``; a region's sets go in blocks of SET_BLOCK shingles.
+    ``members`` has ``class, region, data``, ``regions`` the same classes with ``n_shingles``; sets of a region
+    with more than SET_BLOCK shingles go in blocks.
     """
-    first = members.groupBy("region").agg(F.min("class").alias("leader"))
-    rows = written(_blocked(members.join(first, "region"), "region", F.col("n_shingles"), SET_BLOCK), "regions")
-    last = rows.groupBy("region").agg(F.max("block").alias("last"))
-    large = last.where("last > 0")
+    sums = regions.groupBy("region").agg(F.min("class").alias("leader"), F.sum("n_shingles").alias("n"))
+    large = written(sums.where(F.col("n") > SET_BLOCK).select("region", "leader", F.ceil(F.col("n") / SET_BLOCK).cast("int").alias("blocks")), "large_regions")
+    if any_large := not large.isEmpty():
+        known = F.broadcast(large) if large.count() <= BROADCAST_ROWS else large
+        rows = members.join(known, "region", "left")
+    else:
+        rows = members.select("*", F.lit(None).cast("long").alias("leader"), F.lit(None).cast("int").alias("blocks"))
+    rows = rows.withColumn("block", F.coalesce(_block(F.col("blocks")), F.lit(0)))
 
     def within(table: pa.Table) -> pa.Table:
         names, own, leader = table["class"].to_pylist(), _read(table["data"]), table["leader"][0].as_py()
@@ -272,18 +283,19 @@ def region_links(members: DataFrame, num: int, den: int) -> DataFrame:
         return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
 
     # the leader joins every block, so that what it links is one component throughout
-    at = F.when(F.col("class") == F.col("leader"), F.sequence(F.lit(0), "last")).otherwise(F.array("block"))
-    spread = rows.join(last, "region").withColumn("block", F.explode(at)).select("region", "block", "class", "data", "leader")
+    at = F.when(F.col("class") == F.col("leader"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array("block"))
+    spread = rows.withColumn("block", F.explode(at)).select("region", "block", "class", "data", "leader")
     links = written(spread.groupBy("region", "block").applyInArrow(within, "a long, b long"), "links_within")
-    if large.isEmpty():
+    if not any_large:
         return links
 
     roots = components(links)
-    rows = rows.join(F.broadcast(large), "region").join(roots.withColumnRenamed("v", "class"), "class", "left").withColumn("root", F.coalesce("root", "class"))
+    rows = rows.where("leader is not null").join(roots.withColumnRenamed("v", "class"), "class", "left").withColumn("root", F.coalesce("root", "class"))
+    rows = written(rows, "regions")
     main = rows.groupBy("region", "root").agg(F.count("*").alias("n")).groupBy("region").agg(F.max(F.struct("n", "root"))["root"].alias("main"))
-    rows = rows.join(main, "region").withColumn("asks", F.col("root") != F.col("main"))
+    rows = rows.join(_looked_up(main, "main_components"), "region").withColumn("asks", F.col("root") != F.col("main"))
     asking = rows.where("asks").groupBy("region").agg(F.collect_set("block").alias("asking"))
-    rows = _dealt(rows.join(asking, "region"), F.sequence(F.lit(0), "last"), F.col("asking")).where("i <> j")
+    rows = _dealt(rows.join(_looked_up(asking, "asking"), "region"), F.sequence(F.lit(0), F.col("blocks") - 1), F.col("asking")).where("i <> j")
     rows = rows.select("region", "i", "j", "asks", "class", "data", "root")
 
     def between(table: pa.Table) -> pa.Table:
@@ -321,7 +333,7 @@ def near_duplicates(docs: DataFrame, num: int = 75, den: int = 100, id_col: str
     far = judged.where("not near").select("a", "b")
     split = runs.select("run", F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).join(far, ["a", "b"], "left_semi").select("run").distinct()
     long_runs = runs.groupBy("run").agg(F.count("*").alias("n")).where("n > 1").join(split, "run", "left_semi").select("run")
-    members = runs.join(long_runs, "run", "left_semi")
+    members = runs.join(_looked_up(long_runs, "split_runs"), "run", "left_semi")
     members = members.select("run", F.explode(F.array("a", "b")).alias("class")).distinct()
     broken = members.join(regions.toDF("class", "region"), "class", "left").withColumn("region", F.coalesce("region", "class"))
     near = near.union(written(_across_regions(broken, classes, needed), "across"))
@@ -333,8 +345,8 @@ def near_duplicates(docs: DataFrame, num: int = 75, den: int = 100, id_col: str
         texts = picked.join(F.broadcast(wanted.select("doc_id").distinct()), "doc_id", "left_semi")
     else:
         texts = picked.join(wanted.select("doc_id").distinct(), "doc_id", "left_semi")
-    members = sets(texts, False).select("class", "data").dropDuplicates(["class"]).join(wanted.select("class", "region", "n_shingles"), "class")
-    roots = components(region_links(members, num, den))
+    members = sets(texts, False).select("class", "data").dropDuplicates(["class"]).join(wanted.select("class", "region"), "class")
+    roots = components(region_links(members, wanted.select("class", "region", "n_shingles"), num, den))
     firsts = roots.toDF("class", "root").join(classes.select("class", "doc_id"), "class")
     firsts = firsts.join(firsts.groupBy("root").agg(F.min("doc_id").alias("component")), "root").select("class", "component")
     known = classes.select("class", "doc_id").join(firsts, "class", "left").select("class", F.coalesce("component", "doc_id").alias("component"))
