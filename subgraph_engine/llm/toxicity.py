@@ -3,16 +3,18 @@
 Training takes a bounded sample of labelled documents. Three quarters of it give each token (a run
 of letters, a to z in lower case) its log-odds of lying in toxic rather than in clean documents,
 with a Dirichlet prior in proportion to the token's share of all. The lexicon is of tokens whose
-log-odds exceed ``LEAST_Z`` of their standard deviations and whose documents are toxic more often
-than all are by a likelihood ratio over exp(``LEAST_EVIDENCE``), so that none of a million tokens
-gets in by chance. All other tokens cost ``DRIFT`` or more, so that clean text loses on average. A token
-scores the same wherever it stands and whatever came before it.
+documents are toxic more often than all are, by a likelihood ratio over exp(evidence). All other
+tokens cost ``DRIFT`` or more, so that clean text loses on average. A token scores the same wherever
+it stands and whatever came before it.
 
 Along a document, one linear scan finds every maximal segment of positive score. Chance gives the
 best segment of n clean tokens an extreme-value law: P(S > x) = 1 - exp(-K n exp(-lambda x)), with
-lambda from the clean tokens' scores. A segment is significant if its probability is below
-``SIGNIFICANT``. The remaining quarter of the sample maps the document's evidence (the best segment
-against that law, and how many are significant) to a probability.
+lambda from the clean tokens' scores, and K the likeliest for the best segments of the clean documents
+in the remaining quarter of the sample. A segment is significant if its probability is below
+``SIGNIFICANT``. That quarter also maps a document's evidence (the best segment against the law, and
+how many are significant) to a probability, and settles the evidence that the lexicon asks for: the
+one of ``EVIDENCE`` with the least loss when one half of the quarter judges the other. So no limit
+depends on rows that are held out.
 
 Labels, ids, languages and sources are no inputs of a score. Null text counts as empty and scores
 as a text without evidence. Without toxic or clean rows to learn from, every score is the share of
@@ -22,7 +24,7 @@ toxic rows. Repeated texts count once in training. Texts of any length; one docu
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
@@ -32,10 +34,12 @@ from pyspark.sql import functions as F
 from subgraph_engine.llm.common import written
 from subgraph_engine.llm.hashing import NOT_LETTERS, blocks, word_hashes
 
-#: Bounds of the training sample and of the lexicon.
-SAMPLE, LEXICON = 20_000, 50_000
-#: Prior documents for each token at least, and in all; limits of a token's score.
-PRIOR_LEAST, PRIOR_ALL, LEAST_Z, LEAST_EVIDENCE, MOST_SCORE, DRIFT = 0.5, 100.0, 2.5, 14.0, 10.0, 0.1
+#: Labelled rows that are learned from at most.
+SAMPLE = 20_000
+#: Evidence that a lexicon may ask of its tokens.
+EVIDENCE = (4.0, 6.0, 8.0, 11.0, 14.0, 20.0)
+#: Prior documents for each token at least, and in all; the highest score of a token, and the least cost of others.
+PRIOR_LEAST, PRIOR_ALL, MOST_SCORE, DRIFT = 0.5, 100.0, 10.0, 0.1
 SIGNIFICANT, THRESHOLD = 0.01, 0.3
 
 
@@ -87,10 +91,20 @@ class Model:
         found = self.segments(hashes)
         if not found:
             return 0.0, []
-        chance = self.scale + np.log(max(len(hashes), 1))
-        excess = np.array([self.rate * s for s, _, _ in found]) - chance
-        sure = -np.expm1(-np.exp(-excess)) < SIGNIFICANT
-        return float(np.clip(excess.max(), -3, 30)) + 3, [(first, last, s) for (s, first, last), x in zip(found, sure, strict=True) if x]
+        excess = self.excess(np.array([s for s, _, _ in found]), len(hashes))
+        return self.above(excess), [(first, last, s) for (s, first, last), x in zip(found, self.sure(excess), strict=True) if x]
+
+    def excess(self, scores: np.ndarray, n: int) -> np.ndarray:
+        """Segments' scores in units of the law, over what chance gives the best of n tokens."""
+        return self.rate * scores - self.scale - np.log(max(n, 1))
+
+    @staticmethod
+    def above(excess: np.ndarray) -> float:
+        return float(np.clip(excess.max(initial=-3.0), -3, 30)) + 3
+
+    @staticmethod
+    def sure(excess: np.ndarray) -> np.ndarray:
+        return -np.expm1(-np.exp(-excess)) < SIGNIFICANT
 
     def evidence(self, hashes: np.ndarray) -> tuple[float, int]:
         """The best segment's excess over chance, and how many segments are significant."""
@@ -152,40 +166,61 @@ def train(docs: DataFrame, labels: DataFrame, learn: F.Column, sample: int = SAM
 
     totals = {r["toxic"]: r["n"] for r in rows.where("fold = 'count'").groupBy("toxic").agg(F.count("*").alias("n")).collect()}
     bad, good = totals.get(1, 0), totals.get(0, 0)
-    tokens, scores, shares = np.zeros(0, "<u8"), np.zeros(0), np.zeros(0)
-    if bad and good:
-        counted = rows.where("fold = 'count'").select("text", "toxic").mapInArrow(count, "token long, bad long, good long").groupBy("token").agg(F.sum("bad").alias("bad"), F.sum("good").alias("good"))
-        prior = F.greatest(F.lit(PRIOR_LEAST), (F.col("bad") + F.col("good")) * (PRIOR_ALL / (bad + good)) * F.lit(0.01))
-        y, n = F.col("bad") + prior, F.col("good") + prior
-        odds = F.log(y / (F.lit(bad + 2 * PRIOR_LEAST) - F.least(F.col("bad"), F.lit(bad - 0.0)) + prior)) - F.log(n / (F.lit(good + 2 * PRIOR_LEAST) - F.col("good") + prior))
-        both, base = F.col("bad") + F.col("good"), bad / (bad + good)
-        evidence = F.col("bad") * F.log(F.col("bad") / both / base) + F.when(F.col("good") > 0, F.col("good") * F.log(F.col("good") / both / (1 - base))).otherwise(0.0)
-        judged = counted.where("bad > 0").select("token", "good", odds.alias("odds"), (odds / F.sqrt(1 / y + 1 / n)).alias("z"), evidence.alias("evidence"))
-        found = judged.where((F.col("z") > LEAST_Z) & (F.col("evidence") > LEAST_EVIDENCE)).orderBy(F.desc("evidence"), "token").limit(LEXICON).collect()
-        table = np.array(sorted((r["token"] & (2**64 - 1), min(r["odds"], MOST_SCORE), r["good"]) for r in found), dtype=[("t", "<u8"), ("s", "f8"), ("g", "f8")])
-        tokens, scores = table["t"], table["s"]
+    share = (bad + 0.5) / (bad + good + 1)
+    plain = (float(np.log(share / (1 - share))), 0.0, 0.0)
+    if not bad or not good:
+        return Model(np.zeros(0, "<u8"), np.zeros(0), 1.0, 0.0, DRIFT, plain)
+    counted = rows.where("fold = 'count'").select("text", "toxic").mapInArrow(count, "token long, bad long, good long").groupBy("token").agg(F.sum("bad").alias("bad"), F.sum("good").alias("good"))
+    prior = F.greatest(F.lit(PRIOR_LEAST), (F.col("bad") + F.col("good")) * (PRIOR_ALL / (bad + good)) * F.lit(0.01))
+    y, n = F.col("bad") + prior, F.col("good") + prior
+    odds = F.log(y / (F.lit(bad + 2 * PRIOR_LEAST) - F.least(F.col("bad"), F.lit(bad - 0.0)) + prior)) - F.log(n / (F.lit(good + 2 * PRIOR_LEAST) - F.col("good") + prior))
+    both, base = F.col("bad") + F.col("good"), bad / (bad + good)
+    evidence = F.col("bad") * F.log(F.col("bad") / both / base) + F.when(F.col("good") > 0, F.col("good") * F.log(F.col("good") / both / (1 - base))).otherwise(0.0)
+    judged = counted.where(F.col("bad") > base * both).select("token", "good", odds.alias("odds"), evidence.alias("evidence"))
+    # each such token lies in several toxic documents of the sample, which bounds their number
+    found = judged.where((F.col("odds") > 0) & (F.col("evidence") > EVIDENCE[0])).collect()
+    lexicon = np.array(sorted((r["token"] & (2**64 - 1), min(r["odds"], MOST_SCORE), r["good"], r["evidence"]) for r in found), dtype=[("t", "<u8"), ("s", "f8"), ("g", "f8"), ("e", "f8")])
+
+    def drafted(least: float) -> Model:
+        own = lexicon[lexicon["e"] > least]
         # how often lexicon tokens turn up in clean text, in documents and so roughly in tokens of 100 words each
-        shares = (table["g"] + 0.1) / (good * 100 + 1)
-    drift = max(DRIFT, 2 * float((scores * shares).sum()))
-    rate = _rate(scores, shares, drift) if len(tokens) else 1.0
-    scale = float(np.log(0.1))
-    model = Model(tokens, scores, rate, scale, drift, (0.0, 0.0, 0.0))
+        shares = (own["g"] + 0.1) / (good * 100 + 1)
+        drift = max(DRIFT, 2 * float((own["s"] * shares).sum()))
+        return Model(own["t"], own["s"], _rate(own["s"], shares, drift) if len(own) else 1.0, 0.0, drift, plain)
+
+    drafts = [drafted(x) for x in EVIDENCE]
 
     def features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in blocks(batch, 0):
                 hashes, at = word_hashes(part.column(0), NOT_LETTERS)
-                got = [model.evidence(hashes[a:b]) for a, b in zip(at[:-1], at[1:], strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in got], pa.float64()), pa.array([n for _, n in got], pa.int64()), part.column(1)], names=["best", "n", "toxic"])
+                scores = [[[s for s, _, _ in m.segments(hashes[a:b])] for m in drafts] for a, b in zip(at[:-1], at[1:], strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(scores, pa.list_(pa.list_(pa.float64()))), pa.array(np.diff(at), pa.int64()), part.column(1)], names=["scores", "n", "toxic"])
 
-    fit = rows.where("fold = 'fit'") if bad and good else rows
-    seen = fit.select("text", "toxic").mapInArrow(features, "best double, n long, toxic int").collect()
-    y = np.array([r["toxic"] for r in seen], float)
+    fit = rows.where("fold = 'fit'").select("text", "toxic", "name").orderBy("name").drop("name")
+    seen = fit.mapInArrow(features, "scores array<array<double>>, n long, toxic int").collect()
+    y, n = np.array([r["toxic"] for r in seen], float), np.array([r["n"] for r in seen], float)
     if not len(y) or y.min() == y.max():
-        share = (bad + 0.5) / (bad + good + 1)
-        return Model(tokens, scores, rate, scale, drift, (float(np.log(share / (1 - share))), 0.3, 1.0) if len(tokens) else (float(np.log(share / (1 - share))), 0.0, 0.0))
-    x = np.array([[1, r["best"], np.log1p(r["n"])] for r in seen])
-    return Model(tokens, scores, rate, scale, drift, tuple(float(v) for v in _logistic(x, y)))
+        middle = drafts[len(drafts) // 2]
+        return replace(middle, weights=(plain[0], 0.3, 1.0) if len(middle.tokens) else plain)
+    fitted = [_fitted(m, [np.array(r["scores"][k]) for r in seen], n, y) for k, m in enumerate(drafts)]
+    return min(fitted, key=lambda x: x[0])[1]
+
+
+def _fitted(draft: Model, scores: list[np.ndarray], n: np.ndarray, y: np.ndarray) -> tuple[float, Model]:
+    """The model with its law and weights fitted to documents' segments, and its loss where one half judges the other."""
+    best = np.array([s.max(initial=0.0) for s in scores])
+    # K n exp(-lambda S) of clean documents is exponential with mean one
+    clean = (y == 0) & (n > 0)
+    scale = float(np.log((clean.sum() + 0.5) / ((n * np.exp(-draft.rate * best))[clean].sum() + 0.5)))
+    model = replace(draft, scale=scale)
+    excess = [model.excess(s, int(k)) for s, k in zip(scores, n, strict=True)]
+    x = np.array([[1, model.above(e) if len(e) else 0.0, np.log1p(model.sure(e).sum())] for e in excess])
+    loss, half = 0.0, np.arange(len(y)) % 2
+    for k in (0, 1):
+        z = np.clip(x[half != k] @ _logistic(x[half == k], y[half == k]), -30, 30)
+        loss += float(np.logaddexp(0, np.where(y[half != k] > 0, -z, z)).sum())
+    return loss, replace(model, weights=tuple(float(v) for v in _logistic(x, y)))
 
 
 def score_documents(docs: DataFrame, model: Model, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

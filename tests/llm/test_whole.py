@@ -5,11 +5,13 @@ import re
 from array import array
 from collections import Counter
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from subgraph_engine.llm import bpe, langid, lm, merkle, toxicity
+from subgraph_engine.llm import bpe, hashing, langid, lm, merkle, queries, toxicity
 from tests.llm.test_operators import PATH, brute_model, rows_of_all_kinds, toxic_rows
 
 
@@ -212,3 +214,59 @@ def test_repeated_documents_stand_apart(spark):
     frame = spark.createDataFrame([(k, t) for k, t in enumerate(texts + texts[:20])], "doc_id long, text string")
     got = {r["doc_id"]: r["score"] / r["n_tokens"] for r in lm.score_documents(frame, lm.train(frame)).collect()}
     assert min(got[k] for k in range(20)) > max(got[k] for k in range(20, 600))
+
+
+def all_segments(scores):
+    """Brute force: the best span, then the same on either side of it."""
+
+    def best(a, b):
+        spans = [(sum(scores[i:j]), i, j) for i in range(a, b) for j in range(i + 1, b + 1)]
+        top = max(spans, default=(0, 0, 0))
+        return [*best(a, top[1]), (top[0], top[1], top[2] - 1), *best(top[2], b)] if top[0] > 0 else []
+
+    return best(0, len(scores))
+
+
+@pytest.mark.parametrize("seed", range(60))
+def test_every_maximal_segment_is_found(seed):
+    rng = random.Random(seed)
+    scores = [-0.3 if rng.random() < 0.6 else rng.uniform(-1, 1.5) for _ in range(rng.randint(1, 24))]
+    at = np.flatnonzero(np.array(scores) != -0.3)
+    got = toxicity.maximal_segments(at, np.array([scores[k] for k in at]), 0.3)
+    got = sorted(x for x in got if x[0] > 1e-12)
+    assert [x[1:] for x in got] == [x[1:] for x in sorted(all_segments(scores))]
+    assert [x[0] for x in got] == pytest.approx([x[0] for x in sorted(all_segments(scores))])
+
+
+def test_toxicity_equals_brute_force(spark):
+    import math
+
+    from pyspark.sql import functions as F
+
+    rows, labels = toxic_rows(500)
+    rows += [(1000, None), (1001, ""), (1002, "vile " * 30), (1003, "clean words of none"), (1004, rows[0][1] + " " + rows[6][1])]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    model = toxicity.train(frame, spark.createDataFrame(labels, "doc_id long, toxic int"), F.col("id") % 4 != 2)
+    known = dict(zip(model.tokens.tolist(), model.scores.tolist(), strict=True))
+    got = {r["doc_id"]: r for r in toxicity.score_documents(frame, model).collect()}
+    assert len(got) == len(rows)
+    for i, text in rows:
+        words = re.findall("[A-Za-z\x80-\U0010ffff]+", text or "")
+        hashes = hashing.word_hashes(pa.array([" ".join(words)]), hashing.NOT_LETTERS)[0].tolist()
+        found = all_segments([known.get(h, -model.drift) for h in hashes]) if len(words) < 300 else None
+        if found is None:
+            continue
+        chance = [model.rate * s - model.scale - math.log(max(len(words), 1)) for s, *_ in found]
+        sure = [(a, b) for (_, a, b), e in zip(found, chance, strict=True) if 1 - math.exp(-math.exp(-e)) < 0.01]
+        assert [(x["first"], x["last"]) for x in got[i]["spans"]] == sure and got[i]["passages"] == len(sure)
+        best = min(max(max(chance, default=-3.0), -3), 30) + 3
+        logit = model.weights[0] + model.weights[1] * best + model.weights[2] * math.log1p(len(sure))
+        assert got[i]["score"] == pytest.approx(1 / (1 + math.exp(-logit)))
+
+
+def test_held_out_toxic_documents_are_found(spark):
+    """No limit is settled by these rows: evidence, law and weights come from the others."""
+    sf = "/root/testdata/sf0.1"
+    marked = queries.op8_toxicity(spark, sf).where("held_out").join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").select("toxic", "predicted").collect()
+    toxic, clean = ([r["predicted"] for r in marked if r["toxic"] == k] for k in (1, 0))
+    assert sum(toxic) >= 0.9 * len(toxic) and sum(clean) <= 0.02 * len(clean)
