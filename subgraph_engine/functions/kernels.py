@@ -98,6 +98,16 @@ def largest_clique(piece: Piece, within: int, floor: int = 0, bound: str = "colo
     return best[0]
 
 
+def greedy_clique(piece: Piece, within: int) -> int:
+    """Some clique inside ``within``: always the candidate with most candidates beside it, then the lowest."""
+    clique = 0
+    while within:
+        k = max(bits(within), key=lambda j: ((piece.rows[j] & within).bit_count(), -j))
+        clique |= 1 << k
+        within &= piece.rows[k]
+    return clique
+
+
 def cliques_of_size(piece: Piece, within: int, size: int) -> Iterator[int]:
     """Every clique of exactly ``size`` vertices inside ``within``, once."""
 

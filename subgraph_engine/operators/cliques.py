@@ -9,11 +9,10 @@ from typing import Any
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from subgraph_engine.functions.kernels import Piece, bits, cliques_of_size, largest_clique, maximal_cliques
+from subgraph_engine.functions.kernels import Piece, bits, cliques_of_size, greedy_clique, largest_clique, maximal_cliques
 from subgraph_engine.operators.graph import PropertyGraph, adjacency, forward_adjacency
 from subgraph_engine.plans.program import StepOutcome, Task, TaskProgram
-from subgraph_engine.plans.runtime import RunConfig, RunResult, run_program
-from subgraph_engine.plans.store import written
+from subgraph_engine.plans.runtime import RunConfig, RunResult, run_program, stored
 
 
 def _piece(root: int, own: list[int], frontier: list[tuple[int, list[int]]]) -> Piece:
@@ -55,41 +54,48 @@ class MaxCliqueProgram(TaskProgram):
         found = largest_clique(piece, within, floor, self.bound)
         size = len(fixed) + found.bit_count()
         if found and self.sync:
-            shared["best"] = max(best, size)  # tasks that follow in this process prune by it
+            shared["best"] = max(best, size)  # tasks that follow in this batch prune by it
         return StepOutcome(value=size, nodes=piece.nodes)
 
 
-def maximum_clique(g: PropertyGraph, sync: str = "periodic", bound: str = "color", waves: tuple[float, ...] = (0.01, 0.05, 0.2, 1.0), config: RunConfig = RunConfig(), max_piece: int | None = None, max_depth: int = 1) -> RunResult:
+#: Roots that are searched first, greedily, for a bound.
+FIRST_ROOTS = 64
+
+
+class GreedyCliqueProgram(MaxCliqueProgram):
+    """One clique of each root: always the candidate with most candidates beside it."""
+
+    def step(self, task, frontier, shared) -> StepOutcome:
+        piece = _piece(task.root, task.own, frontier)
+        return StepOutcome(value=1 + greedy_clique(piece, piece.mask(task.own)).bit_count(), nodes=1)
+
+
+def greedy_bound(forward: DataFrame, roots: int = FIRST_ROOTS, config: RunConfig = RunConfig()) -> RunResult:
+    """The size of the largest of some greedy cliques, of the roots with most larger neighbours."""
+    first = lambda lists: GreedyCliqueProgram().seed(lists.orderBy(F.desc(F.size("nbrs")), "id").limit(roots))
+    return run_program(forward, GreedyCliqueProgram(), config, seeds=first)
+
+
+def maximum_clique(g: PropertyGraph, sync: str = "periodic", bound: str = "color", config: RunConfig = RunConfig(), max_piece: int | None = None, max_depth: int = 1, orient: str = "id") -> RunResult:
     """The size of a largest clique (``value``).
 
-    ``sync``: ``periodic`` runs waves of roots, those with most larger neighbours first, and hands
-    each wave the best size so far, which also drops roots before they pull; ``final`` shares the
-    best size only among the tasks of a process; ``none`` not at all.
+    ``sync``: ``periodic`` starts from a greedy bound, then searches the roots with most larger neighbours and
+    hands what it finds to the rest, of which roots that can't beat it are dropped before they pull; ``final``
+    shares the best size only among the tasks of a batch; ``none`` not at all.
     """
-    forward = written(forward_adjacency(g), "forward")
+    forward = stored(forward_adjacency(g, orient), config.parts)
     program = MaxCliqueProgram(max_piece, max_depth, bound, sync != "none")
-    start = 1 if not forward.isEmpty() else 0
+    if forward.isEmpty():
+        return RunResult(g.edges.sparkSession.createDataFrame([], "root long, members array<long>"), 0, {"waves": 0})
     if sync != "periodic":
         got = run_program(forward, program, config, {"best": 0})
-        got.value = max(got.value or 0, start)
+        got.value = max(got.value or 0, 1)
         return got
-    best, metrics, n = start, {}, 0
-    limits = [*forward.select(F.size("nbrs").alias("n")).approxQuantile("n", [1 - w for w in waves], 0.002), 0] if start else []
-    upper = None
-    for wave, low in enumerate(limits):
-        rows = forward.where((F.size("nbrs") >= low) & (F.size("nbrs") + 1 > best))
-        if upper is not None:
-            rows = rows.where(F.size("nbrs") < upper)
-        upper = low if upper is None else min(upper, low)
-        seeds = program.seed(rows)
-        if seeds.isEmpty():
-            continue
-        got = run_program(forward, program, config, {"best": best}, seeds)
-        best = max(best, got.value or 0)
-        metrics = {k: metrics.get(k, 0) + v for k, v in got.metrics.items()}
-        n = wave + 1
-    empty = g.edges.sparkSession.createDataFrame([], "root long, members array<long>")
-    return RunResult(empty, best, metrics | {"waves": n})
+    runs = [greedy_bound(forward, config=config)]
+    best = max(1, runs[0].value or 0)
+    runs.append(run_program(forward, program, config, {"best": best}, lambda lists: program.seed(lists.where(F.size("nbrs") + 1 > best))))
+    best = max(best, runs[1].value or 0)
+    return RunResult(runs[1].results, best, {k: sum(r.metrics.get(k, 0) for r in runs) for k in runs[1].metrics} | {"waves": 2, "greedy": runs[0].value or 0})
 
 
 class CliqueListProgram(TaskProgram):

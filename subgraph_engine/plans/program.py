@@ -36,7 +36,8 @@ class TaskProgram:
 
     ``seed`` gives ``root, own, pulls`` from an adjacency frame; ``reply`` cuts the lists before
     they travel; ``step`` gets the task, its frontier (pulled lists in the order asked for), and the
-    values shared by the driver. ``aggregate`` is how values fold: sum or max.
+    values shared by the driver, where it may leave bounds for the tasks that follow in its batch.
+    ``aggregate`` is how values fold: sum or max.
     """
 
     aggregate = "sum"

@@ -6,9 +6,11 @@ overlapping requests come to stand beside each other and a batch fetches fewer d
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
+from dataclasses import dataclass, field
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -57,27 +59,58 @@ def queued(tasks: DataFrame, workers: int, kind: str = "lsh", values: int = 4, a
     return keyed.withColumn("batch_no", F.floor((place - 1) / batch).cast("long"))
 
 
-def plan_batches(tasks: DataFrame, parts: int, kind: str = "lsh", values: int = 4, batch_capacity: int = 1000, cache_capacity: int = 1_000_000) -> DataFrame:
-    """Adds ``batch``: stretches of the ordered tasks, bounded in tasks and in distinct ids to fetch.
+@dataclass(frozen=True)
+class Weights:
+    """How long lists are: those of ids with the longest, and the mean of the others."""
 
-    A task that alone wants more than ``cache_capacity`` ids has a batch to itself. Tasks are range
-    partitioned by key, so no worker sorts more than its share.
+    heavy: dict[int, int] = field(default_factory=dict)
+    mean: float = 1.0
+
+    def of(self, ids: Iterable[int]) -> float:
+        return sum(self.heavy.get(u, self.mean) for u in ids)
+
+
+#: Ids whose list has more than a share of one in so many of all items are heavy; there are no more of them.
+HEAVY = 100_000
+
+
+def weights(adjacency: DataFrame) -> tuple[Weights, int]:
+    """The weights of an adjacency frame, and all its items; at most HEAVY ids come to the driver."""
+    n, items = adjacency.agg(F.count("*"), F.sum(F.size("nbrs").cast("long"))).first()
+    items = items or 0
+    mean = items / max(n, 1)
+    least = max(items / HEAVY, 4 * mean, 1000)
+    return Weights({r["id"]: r["n"] for r in adjacency.select("id", F.size("nbrs").alias("n")).where(F.col("n") > least).collect()}, mean), items
+
+
+def plan_batches(tasks: DataFrame, parts: int, kind: str = "lsh", values: int = 4, batch_capacity: int = 1000, cache_capacity: int = 1_000_000, item_capacity: int | None = None, cost_capacity: float | None = None, lists: Weights | None = None) -> DataFrame:
+    """Adds ``batch``: stretches of the ordered tasks, bounded in tasks and in what they fetch.
+
+    Bounds are on distinct ids, on the items of their lists (by ``lists``), and on the tasks' estimated
+    cost: the items that a task pulls and the pairs of its own list. A task that alone goes beyond has a
+    batch to itself. Tasks are range partitioned by key, so no worker sorts more than its share.
     """
     keyed = tasks.select("*", *minhash_key(F.col("pulls"), values)) if kind == "lsh" else tasks
     columns = [F.col(f"k{k + 1}") for k in range(values)] if kind == "lsh" else []
     ordered = keyed.repartitionByRange(parts, *columns, "root", "task_id").sortWithinPartitions(*columns, "root", "task_id").select(*tasks.columns)
-    pulls_at = tasks.columns.index("pulls")
+    pulls_at, own_at = tasks.columns.index("pulls"), tasks.columns.index("own")
+    sizes = lists or Weights()
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, number, n, wanted = TaskContext.get().partitionId(), 0, 0, set()
+        part, number, n, items, cost, wanted = TaskContext.get().partitionId(), 0, 0, 0.0, 0.0, set()
         for rows in batches:
             numbers = []
-            for pulls in rows.column(pulls_at).to_pylist():
+            owned = pc.fill_null(pc.list_value_length(rows.column(own_at)), 0).to_pylist()
+            for pulls, own in zip(rows.column(pulls_at).to_pylist(), owned, strict=True):
                 pulls = pulls or []
-                if n and (n == batch_capacity or len(wanted.union(pulls)) > cache_capacity):
-                    number, n, wanted = number + 1, 0, set()
-                wanted.update(pulls)
-                n += 1
+                new = [u for u in pulls if u not in wanted]
+                more, work = sizes.of(new), sizes.of(pulls) + own * (own - 1) / 2
+                full = n == batch_capacity or len(wanted) + len(new) > cache_capacity
+                if n and (full or (item_capacity and items + more > item_capacity) or (cost_capacity and cost + work > cost_capacity)):
+                    number, n, items, cost, wanted = number + 1, 0, 0.0, 0.0, set()
+                    new, more = pulls, sizes.of(pulls)
+                wanted.update(new)
+                n, items, cost = n + 1, items + more, cost + work
                 numbers.append(part << 32 | number)
             yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(numbers, pa.int64())], names=[*rows.schema.names, "batch"])
 

@@ -288,7 +288,7 @@ def kg_cycle(spark: SparkSession, sf: str) -> DataFrame:
     edges = written(builders.typed_graph(spark, sf).where("elabel in ('order-customer', 'customer-nation', 'supplier-nation', 'order-supplier')"), "typed")
     ids = edges.select(F.explode(F.array("src", "dst")).alias("id")).distinct()
     g = PropertyGraph(edges, ids.select("id", builders.kind_of("id").alias("label")))
-    return one_row(spark, matches=matching.match_run(g, KG_CYCLE, root=1, count=True).value or 0)
+    return one_row(spark, matches=matching.match_run(g, KG_CYCLE, root=2, count=True).value or 0)
 
 
 # helpers -----------------------------------------------------------------------------------------
