@@ -123,7 +123,7 @@ def balance(costs: DataFrame, bins: int) -> DataFrame:
     stay equal up to the largest task. The order is by range, so no worker sorts all.
     """
     level = F.floor(F.log2(F.col("cost") + 1)).cast("int").alias("level")
-    rows = costs.select("root", "cost", level, F.pmod(F.xxhash64("root"), F.lit(64)).alias("lane"))
+    rows = costs.select("root", "cost", level, (F.conv(F.substring(F.md5(F.col("root").cast("string").cast("binary")), 1, 2), 16, 10).cast("int") % 64).alias("lane"))
     place = F.row_number().over(Window.partitionBy("level", "lane").orderBy(F.desc("cost"), "root"))
     turn = F.pmod(place - 1 + F.col("lane") + F.col("level"), F.lit(2 * bins))
     return rows.select("root", "cost", F.when(turn < bins, turn).otherwise(2 * bins - 1 - turn).cast("int").alias("bin"))

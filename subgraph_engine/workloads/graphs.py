@@ -207,7 +207,9 @@ entry("maxclique_co_user_nosync", with_edges("co_user", _LARGEST, True))(_max_qu
 entry("maxclique_co_user_split", with_edges("co_user", _LARGEST, True))(_max_query("co_user", max_piece=6, max_depth=2))
 entry("maxclique_co_part_w2", with_edges("co_part_w2", _LARGEST, True))(_max_query("co_part_w2"))
 entry("maxclique_co_supplier", with_edges("co_supplier", _FULL))(_max_query("co_supplier"))
-entry("maxclique_co_part")(_max_query("co_part"))
+#: Cliques with the vertices that may come next, kept as lists.
+_LARGEST_BY_LISTS = "f AS (SELECT src AS id, list(dst) AS nbrs FROM e GROUP BY src), c(size, next) AS (SELECT 1::BIGINT, nbrs FROM f UNION ALL SELECT size + 1, coalesce(list_intersect(next, f.nbrs), []) FROM (SELECT size, next, unnest(next) AS v FROM c) LEFT JOIN f ON f.id = v) SELECT max(size) AS size FROM c"
+entry("maxclique_co_part", with_edges("co_part", _LARGEST_BY_LISTS, True))(_max_query("co_part"))
 entry("maxclique_doc_line", f"WITH {BEFORE['doc_line']}g AS (SELECT line, count(*) AS n FROM shared GROUP BY line) SELECT max(n) AS size FROM g")(_max_query("doc_line"))
 
 
@@ -292,10 +294,14 @@ def kg_cycle(spark: SparkSession, sf: str) -> DataFrame:
 
 
 # helpers -----------------------------------------------------------------------------------------
-@entry("densest")
+#: Passes that drop all vertices of degree up to 2.2 times the density; the first densest graph counts.
+_DENSEST = "r(k, src, dst) AS (SELECT 0, src, dst FROM e UNION ALL SELECT k + 1, src, dst FROM (SELECT k, src, dst, (SELECT count(*) FROM r) / (SELECT count(DISTINCT v) FROM (SELECT src AS v FROM r UNION ALL SELECT dst FROM r)) AS density, (SELECT count(*) FROM r x WHERE x.src = r.src OR x.dst = r.src) AS a, (SELECT count(*) FROM r x WHERE x.src = r.dst OR x.dst = r.dst) AS b FROM r) WHERE a > 2.2 * density AND b > 2.2 * density), m AS (SELECT k, count(*) AS n FROM r GROUP BY k), u AS (SELECT DISTINCT k, unnest([src, dst]) AS id FROM r), w AS (SELECT k, any_value(n) / count(*) AS density FROM u JOIN m USING (k) GROUP BY k) SELECT id, round(density, 6) AS density FROM u JOIN w USING (k) WHERE k = (SELECT k FROM w ORDER BY density DESC, k LIMIT 1)"
+
+
+@entry("densest", with_edges("co_user", _DENSEST, True))
 def densest(spark: SparkSession, sf: str) -> DataFrame:
     density, kept = densest_subgraph(graph(spark, sf, "co_user"))
-    return kept.select("id", F.lit(density).alias("density"))
+    return kept.select("id", F.round(F.lit(density), 6).alias("density"))
 
 
 @entry("rec_components", with_edges("doc_line", "r(id, seen) AS (SELECT id, id FROM (SELECT DISTINCT id FROM s) UNION SELECT s.nbr, r.seen FROM r JOIN s ON s.id = r.id WHERE r.seen < s.nbr) SELECT id, min(seen) AS component FROM r GROUP BY id", True))
@@ -308,7 +314,10 @@ def rec_khop(spark: SparkSession, sf: str) -> DataFrame:
     return k_hop(graph(spark, sf, "co_user"), 0, 3)
 
 
-@entry("kcore")
+_CORE = "r(k, src, dst) AS (SELECT 0, src, dst FROM e UNION ALL SELECT k + 1, src, dst FROM (SELECT k, src, dst, n, count(*) OVER () AS m FROM (SELECT k, src, dst, count(*) OVER () AS n, (SELECT count(*) FROM r x WHERE x.src = r.src OR x.dst = r.src) AS a, (SELECT count(*) FROM r x WHERE x.src = r.dst OR x.dst = r.dst) AS b FROM r) WHERE a >= 3 AND b >= 3) WHERE m < n) SELECT src, dst FROM r WHERE k = (SELECT max(k) FROM r)"
+
+
+@entry("kcore", with_edges("co_part_w2", _CORE, True))
 def kcore(spark: SparkSession, sf: str) -> DataFrame:
     return k_core(graph(spark, sf, "co_part_w2"), 3)
 
@@ -321,8 +330,12 @@ _QUEUE = f"{_REQUESTS}, roots AS (SELECT DISTINCT root FROM req), rem AS (SELECT
 _ORDER = {"lsh": "k1 NULLS FIRST, k2 NULLS FIRST, k3 NULLS FIRST, k4 NULLS FIRST, root", "stream": "root", "hash": "md5(root::VARCHAR), root"}
 
 
+def _batches_sql(order: str, batch: int = BATCH) -> str:
+    return f"SELECT root, worker, (row_number() OVER (PARTITION BY worker ORDER BY {_ORDER[order]}) - 1) // {batch} AS batch_no FROM tasks"
+
+
 def _fetched_sql(name: str, order: str) -> str:
-    return with_edges(name, f"{_QUEUE}, b AS (SELECT root, worker, (row_number() OVER (PARTITION BY worker ORDER BY {_ORDER[order]}) - 1) // {BATCH} AS batch_no FROM tasks) SELECT (SELECT count(*) FROM req) AS total, (SELECT count(*) FROM rem) AS remote, (SELECT count(*) FROM (SELECT DISTINCT worker, batch_no, want FROM rem JOIN b USING (root))) AS fetched")
+    return with_edges(name, f"{_QUEUE}, b AS ({_batches_sql(order)}) SELECT (SELECT count(*) FROM req) AS total, (SELECT count(*) FROM rem) AS remote, (SELECT count(*) FROM (SELECT DISTINCT worker, batch_no, want FROM rem JOIN b USING (root))) AS fetched")
 
 
 for _name in ("co_part", "doc_line"):
@@ -376,17 +389,23 @@ def queue_io_stream(spark: SparkSession, sf: str) -> DataFrame:
     return costs.queue_io(costs.triangle_requests(graph(spark, sf, "co_part")), W, "stream", 25, 100)
 
 
-@entry("memory_peaks")
+_DEGREES = "deg AS (SELECT id, count(*) AS degree FROM s GROUP BY id)"
+
+
+@entry("memory_peaks", with_edges("co_part", f"{_QUEUE}, {_DEGREES}, b AS ({_batches_sql('lsh')}), w AS (SELECT DISTINCT worker, batch_no, want FROM req JOIN b USING (root)), m AS (SELECT worker, batch_no, count(*) AS vertices, sum(degree)::BIGINT AS items FROM w JOIN deg ON id = want GROUP BY ALL) SELECT worker, max(vertices) AS peak_vertices, max(items) AS peak_items, (SELECT 2.0 * count(*) / {W} FROM e)::DOUBLE AS share FROM m GROUP BY worker"))
 def memory_peaks(spark: SparkSession, sf: str) -> DataFrame:
-    return costs.memory_stats(graph(spark, sf, "co_part"), W, BATCH)
+    return costs.memory_stats(graph(spark, sf, "co_part"), W, BATCH).withColumn("worker", F.col("worker").cast("long")).withColumn("share", F.col("share").cast("double"))
 
 
-@entry("skew")
+_COSTS = "d AS (SELECT src AS id, count(*) AS n FROM e GROUP BY src), j AS (SELECT e.src AS root, a.n AS size, coalesce(b.n, 0) AS c FROM e JOIN d a ON a.id = e.src LEFT JOIN d b ON b.id = e.dst), t AS (SELECT root, (sum(c) + any_value(size) * (any_value(size) - 1) / 2.0)::DOUBLE AS cost FROM j GROUP BY root)"
+
+
+@entry("skew", with_edges("co_part", f"{_COSTS} SELECT count(*) AS tasks, max(cost) AS most, round(avg(cost), 6) AS mean, (SELECT cost FROM t ORDER BY cost LIMIT 1 OFFSET (SELECT greatest(ceil(0.99 * count(*)) - 1, 0)::BIGINT FROM t)) AS p99 FROM t"))
 def skew(spark: SparkSession, sf: str) -> DataFrame:
-    return costs.skew_stats(graph(spark, sf, "co_part"))
+    return costs.skew_stats(graph(spark, sf, "co_part")).withColumn("mean", F.round("mean", 6))
 
 
-@entry("balance_bins")
+@entry("balance_bins", with_edges("co_part", f"{_COSTS}, l AS (SELECT cost, root, floor(log2(cost + 1))::INT AS level, ('0x' || substr(md5(root::VARCHAR), 1, 2))::INT % 64 AS lane FROM t), p AS (SELECT cost, (row_number() OVER (PARTITION BY level, lane ORDER BY cost DESC, root) - 1 + lane + level) % 32 AS turn FROM l) SELECT (CASE WHEN turn < 16 THEN turn ELSE 31 - turn END)::INT AS bin, sum(cost) AS cost, count(*) AS tasks FROM p GROUP BY 1"))
 def balance_bins(spark: SparkSession, sf: str) -> DataFrame:
     return costs.balance(costs.task_costs(graph(spark, sf, "co_part")), 16).groupBy("bin").agg(F.sum("cost").alias("cost"), F.count("*").alias("tasks"))
 
@@ -397,7 +416,18 @@ def run_metrics(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([*got.metrics.items(), ("value", got.value or 0)], "name string, value long")
 
 
-@entry("sweep_batches")
+def _sweep_sql(rows: str, each: list[str]) -> str:
+    return with_edges("co_part", f"{rows}, {', '.join(f'x{k} AS ({x})' for k, x in enumerate(each))} " + " UNION ALL ".join(f"SELECT * FROM x{k}" for k in range(len(each))))
+
+
+@entry("run_totals", with_edges("co_part", f"{_REQUESTS}, {TRIANGLES} SELECT 'done' AS name, count(DISTINCT root)::BIGINT AS value FROM req UNION ALL SELECT 'nodes', count(*) FROM req UNION ALL SELECT 'rounds', 1 UNION ALL SELECT 'value', (SELECT count(*) FROM t)"))
+def run_totals(spark: SparkSession, sf: str) -> DataFrame:
+    """What a run counts wherever its tasks are placed: tasks done, lists searched, rounds and the answer."""
+    got = triangles.triangle_tasks(graph(spark, sf, "co_part"))
+    return spark.createDataFrame([*((k, got.metrics[k]) for k in ("done", "nodes", "rounds")), ("value", got.value or 0)], "name string, value long")
+
+
+@entry("sweep_batches", _sweep_sql(_QUEUE, [f"SELECT {b}::INT AS batch, '{kind}' AS queue, (SELECT count(*) FROM (SELECT DISTINCT worker, batch_no, want FROM rem JOIN ({_batches_sql(kind, b)}) USING (root))) AS fetched" for b in (10, 100, 1000, 10000) for kind in ("lsh", "stream")]))
 def sweep_batches(spark: SparkSession, sf: str) -> DataFrame:
     """Vertices fetched as batches grow."""
     tasks = written(costs.triangle_requests(graph(spark, sf, "co_part")), "requests")
@@ -414,7 +444,13 @@ def sweep_cache(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(rows, "share double, misses long")
 
 
-@entry("sweep_workers")
+def _workers_sql(w: int) -> str:
+    rem = f"rem AS (SELECT root, want FROM req WHERE root % {w} <> want % {w})"
+    tasks = f"tasks AS (SELECT root, root % {w} AS worker, k1, k2, k3, k4 FROM (SELECT DISTINCT root FROM req) LEFT JOIN (SELECT root, {_KEYS} FROM rem GROUP BY root) USING (root))"
+    return f"WITH {rem}, {tasks} SELECT {w}::INT AS workers, (SELECT count(*) FROM req) AS total, (SELECT count(*) FROM rem) AS remote, (SELECT count(*) FROM (SELECT DISTINCT worker, batch_no, want FROM rem JOIN ({_batches_sql('lsh')}) USING (root))) AS fetched"
+
+
+@entry("sweep_workers", _sweep_sql(_REQUESTS, [_workers_sql(w) for w in (1, 2, 4, 8, 40, 80, 120)]))
 def sweep_workers(spark: SparkSession, sf: str) -> DataFrame:
     """Remote requests and fetches as workers grow."""
     tasks = written(costs.triangle_requests(graph(spark, sf, "co_part")), "requests")
