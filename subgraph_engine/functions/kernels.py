@@ -146,59 +146,82 @@ def maximal_cliques(piece: Piece, start: int, candidates: int, excluded: int) ->
             x |= 1 << k
 
 
-def quasi_cliques(piece: Piece, root: int, num: int, den: int, least: int, most: int | None = None, largest: bool = False) -> Iterator[int]:
+def quasi_cliques(piece: Piece, root: int, num: int, den: int, least: int, most: int | None = None, largest: bool = False, maximal: bool = False, restart: tuple[int, int] | None = None) -> Iterator[int]:
     """Every set with ``root`` as its smallest vertex in which each member has at least
     num / den of the others as neighbours, of ``least`` to ``most`` vertices.
 
     For num / den of a half or more, any two members are at most two steps apart. With ``largest``,
-    sets smaller than one given before may be left out; all of the largest size are given.
-    """
-    top = most or len(piece.ids)
-    two = [0] * len(piece.ids)
-    for k, row in enumerate(piece.rows):
-        reach = row
-        for j in bits(row):
-            reach |= piece.rows[j]
-        two[k] = reach & ~(1 << k)
+    sets smaller than one given before may be left out; all of the largest size are given. With ``maximal``,
+    sets inside another one may be left out. ``restart`` gives members and candidates to go on from.
 
-    def needed(size: int) -> int:
-        return -(-num * (size - 1) // den)
+    At each node, the edges that members have and can get bound how many vertices may still come; members
+    that need all of these as neighbours cut the candidates to their own, and so do candidates' degrees.
+    """
+    rows, top = piece.rows, most or len(piece.ids)
+    need = [0, *(-(-num * k // den) for k in range(len(piece.ids) + 1))]  # by size
+    two = reach_two(piece)
 
     def grow(members: int, size: int, candidates: int) -> Iterator[int]:
         nonlocal least
         piece.nodes += 1
-        # drop candidates that can't have enough neighbours in any set reachable from here
         while True:
-            room = min(top, size + candidates.bit_count())
-            if room < least:
+            inside = [(k, (rows[k] & members).bit_count()) for k in bits(members)]
+            edges, low, high = sum(d for _, d in inside), -1, -1
+            ahead = sorted(((rows[k] & members).bit_count() for k in bits(candidates)), reverse=True)
+            for t in range(min(len(ahead), top - size) + 1):
+                edges += ahead[t - 1] if t else 0
+                if size + t >= least and edges >= size * need[size + t]:
+                    low, high = t if low < 0 else low, t
+            if low < 0:
                 return
-            want = needed(max(size + 1, least))
-            kept = candidates
-            for k in bits(candidates):
-                if (piece.rows[k] & (members | candidates)).bit_count() < want:
+            short, kept = need[size + high] - high, candidates  # neighbours inside that each member has at least
+            for k, d in inside:
+                if d < short or d + (rows[k] & candidates).bit_count() < need[size + low]:
+                    return
+                if d == short:
+                    kept &= rows[k]
+            every, want = members | kept, need[size + max(low, 1)]
+            for k in bits(kept):
+                if (rows[k] & every).bit_count() < want or (rows[k] & members).bit_count() <= short - 1 - (high == 0):
                     kept ^= 1 << k
             if kept == candidates:
                 break
             candidates = kept
-        if size >= least and all((piece.rows[k] & members).bit_count() >= needed(size) for k in bits(members)):
+        n = candidates.bit_count()
+        if n and (largest or maximal) and least <= size + n <= top:
+            whole = members | candidates
+            if all((rows[k] & whole).bit_count() >= need[size + n] for k in bits(whole)):
+                least = size + n if largest else least
+                yield whole
+                return
+        if size >= least and all(d >= need[size] for _, d in inside):
             least = size if largest else least
             yield members
         if size == top:
             return
-        for k in bits(members):
-            inside = (piece.rows[k] & members).bit_count()
-            possible = inside + (piece.rows[k] & candidates).bit_count()
-            if possible < needed(max(size + 1, least)):
+        order = sorted(bits(candidates), key=lambda j: -(rows[j] & (members | candidates)).bit_count()) if largest else list(bits(candidates))
+        for k in order:
+            if size + candidates.bit_count() < least:
                 return
-        while candidates:
-            low = candidates & -candidates
-            candidates ^= low
-            k = low.bit_length() - 1
-            yield from grow(members | low, size + 1, candidates & two[k])
+            candidates ^= 1 << k
+            yield from grow(members | 1 << k, size + 1, candidates & two[k])
 
+    if restart:
+        yield from grow(restart[0], restart[0].bit_count(), restart[1])
+        return
     k = piece.place[root]
-    larger = -1 << (k + 1)
-    yield from grow(1 << k, 1, two[k] & larger)
+    yield from grow(1 << k, 1, two[k] & (-1 << (k + 1)))
+
+
+def reach_two(piece: Piece) -> list[int]:
+    """The vertices within two steps of each."""
+    out = []
+    for k, row in enumerate(piece.rows):
+        reach = row
+        for j in bits(row):
+            reach |= piece.rows[j]
+        out.append(reach & ~(1 << k))
+    return out
 
 
 @dataclass(frozen=True)

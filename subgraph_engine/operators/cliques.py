@@ -133,18 +133,25 @@ class MaximalCliqueProgram(TaskProgram):
     clique, so lists come whole: a forward list would hide the edges to them.
     """
 
-    def __init__(self, least: int = 1, mode: str = "list", top: int = 0, score: Callable[[list[int]], float] | None = None) -> None:
-        self.least, self.mode, self.top, self.score = least, mode, top, score
+    def __init__(self, least: int = 1, mode: str = "list", top: int = 0, score: Callable[[list[int]], float] | None = None, max_piece: int | None = None) -> None:
+        self.least, self.mode, self.top, self.score, self.max_piece = least, mode, top, score, max_piece
 
     def seed(self, adjacency: DataFrame) -> DataFrame:
         return adjacency.select(F.col("id").alias("root"), F.col("nbrs").alias("own"), F.filter("nbrs", lambda u: u > F.col("id")).alias("pulls"))
 
     def step(self, task, frontier, shared: dict[str, Any]) -> StepOutcome:
-        near = set(task.own)
-        piece = Piece.of({task.root: task.own, **{u: [] for u in task.own}, **{u: [w for w in nbrs if w in near] for u, nbrs in frontier}})
-        larger = piece.mask(u for u in task.own if u > task.root)
-        smaller = piece.mask(u for u in task.own if u < task.root)
-        got = (c for c in maximal_cliques(piece, 1 << piece.place[task.root], larger, smaller) if c.bit_count() >= self.least)
+        if task.state is None:
+            near = set(task.own)
+            piece = Piece.of({task.root: task.own, **{u: [] for u in task.own}, **{u: [w for w in nbrs if w in near] for u, nbrs in frontier}})
+            start = 1 << piece.place[task.root]
+            larger, smaller = piece.mask(u for u in task.own if u > task.root), piece.mask(u for u in task.own if u < task.root)
+            if self.max_piece and larger.bit_count() > self.max_piece:
+                return StepOutcome(spawned=self._split(task.root, piece, larger, smaller), nodes=1)
+        else:
+            lists, clique, some, others = task.state
+            piece = Piece.of(lists)
+            start, larger, smaller = piece.mask(clique), piece.mask(some), piece.mask(others)
+        got = (c for c in maximal_cliques(piece, start, larger, smaller) if c.bit_count() >= self.least)
         if self.mode == "count":
             return StepOutcome(value=sum(1 for _ in got), nodes=piece.nodes)
         if self.mode == "histogram":
@@ -158,6 +165,21 @@ class MaximalCliqueProgram(TaskProgram):
         return StepOutcome(results=found, nodes=piece.nodes)
 
 
+    @staticmethod
+    def _split(root: int, piece: Piece, larger: int, smaller: int) -> list[Task]:
+        """The first level of the search as tasks of their own, each with its part of the piece."""
+        out = []
+        pivot = max(bits(larger | smaller), key=lambda k: (larger & piece.rows[k]).bit_count())
+        for k in bits(larger & ~piece.rows[pivot]):
+            row = piece.rows[k]
+            some, others = larger & row, smaller & row
+            inside = some | others | 1 << k | 1 << piece.place[root]
+            lists = {piece.ids[a]: piece.members(piece.rows[a] & inside & (-1 << (a + 1))) for a in bits(inside)}
+            out.append(Task(root, [], [], (lists, [root, piece.ids[k]], piece.members(some), piece.members(others))))
+            larger, smaller = larger & ~(1 << k), smaller | 1 << k
+        return out
+
+
 def _with_isolated(g: PropertyGraph) -> DataFrame:
     lists = adjacency(g)
     if g.vertices is None:
@@ -165,9 +187,12 @@ def _with_isolated(g: PropertyGraph) -> DataFrame:
     return g.vertices.select("id").join(lists, "id", "left").select("id", F.coalesce("nbrs", F.array().cast("array<bigint>")).alias("nbrs"))
 
 
-def maximal_clique_run(g: PropertyGraph, least: int = 1, mode: str = "list", top: int = 0, score: Callable[[list[int]], float] | None = None, config: RunConfig = RunConfig()) -> RunResult:
-    """``mode``: list, count, histogram or topk; isolated vertices count where the graph names its vertices."""
-    return run_program(_with_isolated(g), MaximalCliqueProgram(least, mode, top, score), config)
+def maximal_clique_run(g: PropertyGraph, least: int = 1, mode: str = "list", top: int = 0, score: Callable[[list[int]], float] | None = None, config: RunConfig = RunConfig(), max_piece: int | None = None) -> RunResult:
+    """``mode``: list, count, histogram or topk; isolated vertices count where the graph names its vertices.
+
+    ``max_piece``: roots with more larger neighbours become a task for each branch of the search's first level.
+    """
+    return run_program(_with_isolated(g), MaximalCliqueProgram(least, mode, top, score, max_piece), config)
 
 
 def clique_histogram(g: PropertyGraph, config: RunConfig = RunConfig()) -> DataFrame:

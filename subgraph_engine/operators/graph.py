@@ -12,7 +12,7 @@ from subgraph_engine.plans.store import written
 
 @dataclass(frozen=True)
 class PropertyGraph:
-    """``edges``: src, dst (and weight, elabel); undirected edges come once with src < dst.
+    """``edges``: src, dst (and weight, elabel); undirected edges come once with src < dst, directed ones from src to dst.
 
     ``vertices``: id and label, or None where labels don't matter; then vertices are the edges' ends.
     """
@@ -43,6 +43,17 @@ class PropertyGraph:
         e = pairs.where("src is not null and dst is not null and src <> dst")
         return PropertyGraph(e.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst")).distinct(), vertices)
 
+    def undirected(self) -> PropertyGraph:
+        """Each pair once whatever its directions; itself if it has none."""
+        return PropertyGraph.canonical(self.edges.select("src", "dst"), self.vertices) if self.directed else self
+
+    def reversed(self) -> PropertyGraph:
+        """All directed edges turned around."""
+        if not self.directed:
+            return self
+        others = [c for c in self.edges.columns if c not in ("src", "dst")]
+        return PropertyGraph(self.edges.select(F.col("dst").alias("src"), F.col("src").alias("dst"), *others), self.vertices, True)
+
     def ids(self) -> DataFrame:
         return self.vertices.select("id") if self.vertices is not None else self.edges.select(F.explode(F.array("src", "dst")).alias("id")).distinct()
 
@@ -84,15 +95,34 @@ def adjacency(g: PropertyGraph) -> DataFrame:
     return g.symmetric().groupBy("id").agg(F.array_sort(F.collect_list("nbr")).alias("nbrs"))
 
 
+def arc_adjacency(g: PropertyGraph, direction: str = "out") -> DataFrame:
+    """``id, nbrs`` of a directed graph: where each vertex's edges lead (``out``) or come from (``in``), ascending."""
+    a, b = {"out": ("src", "dst"), "in": ("dst", "src")}[direction]
+    return g.edges.groupBy(F.col(a).alias("id")).agg(F.array_sort(F.collect_set(b)).alias("nbrs"))
+
+
+def peeled(g: PropertyGraph, k: int, passes: int = 2) -> PropertyGraph:
+    """The graph after some passes that drop vertices with fewer than ``k`` neighbours; it holds the k-core."""
+    edges = g.edges.select("src", "dst")
+    for _ in range(passes):
+        strong = PropertyGraph(edges).symmetric().groupBy("id").agg(F.count("*").alias("d")).where(F.col("d") >= k).select("id")
+        edges = written(edges.join(strong.withColumnRenamed("id", "src"), "src", "left_semi").join(strong.withColumnRenamed("id", "dst"), "dst", "left_semi").select("src", "dst"), "peeled")
+    return PropertyGraph(edges)
+
+
 def attach_neighbor_labels(g: PropertyGraph) -> DataFrame:
-    """``id, label, nbrs``: items carry the neighbour's label and the edge's, sorted by id."""
+    """``id, label, nbrs``: items carry the neighbour's label and the edge's, sorted by id.
+
+    ``out`` says of a directed edge whether it leads to the neighbour; it is null for others.
+    """
     if g.vertices is None:
         raise ValueError("the graph has no labels")
     e = g.edges if "elabel" in g.edges.columns else g.edges.withColumn("elabel", F.lit(None).cast("string"))
-    ends = F.explode(F.array(F.struct(F.col("src").alias("id"), F.col("dst").alias("nbr")), F.struct(F.col("dst").alias("id"), F.col("src").alias("nbr"))))
-    both = e.select("elabel", ends).select("col.id", "col.nbr", "elabel")
+    out = [F.lit(x if g.directed else None).cast("boolean").alias("out") for x in (True, False)]
+    ends = F.explode(F.array(F.struct(F.col("src").alias("id"), F.col("dst").alias("nbr"), out[0]), F.struct(F.col("dst").alias("id"), F.col("src").alias("nbr"), out[1])))
+    both = e.select("elabel", ends).select("col.id", "col.nbr", "elabel", "col.out")
     labels = g.vertices.select(F.col("id").alias("nbr"), F.col("label").alias("nlabel"))
-    items = both.join(labels, "nbr").groupBy("id").agg(F.array_sort(F.collect_list(F.struct(F.col("nbr").alias("id"), F.col("nlabel").alias("label"), "elabel"))).alias("nbrs"))
+    items = both.join(labels, "nbr").groupBy("id").agg(F.array_sort(F.collect_list(F.struct(F.col("nbr").alias("id"), F.col("nlabel").alias("label"), "elabel", "out"))).alias("nbrs"))
     return items.join(g.vertices.select("id", "label"), "id").select("id", "label", "nbrs")
 
 

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import heapq
+from collections.abc import Callable
 from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
@@ -9,7 +11,7 @@ from pyspark.sql import functions as F
 
 from subgraph_engine.functions.kernels import FIVE, QueryGraph, match
 from subgraph_engine.operators.graph import PropertyGraph, attach_neighbor_labels
-from subgraph_engine.plans.program import StepOutcome, TaskProgram
+from subgraph_engine.plans.program import StepOutcome, Task, TaskProgram
 from subgraph_engine.plans.runtime import RunConfig, RunResult, run_program
 
 
@@ -43,13 +45,17 @@ class MatchProgram(TaskProgram):
     ``rules``: for the five-vertex pattern, the case rules that drop c-vertices and b-candidates
     after the first pull. The edge between a c-vertex and its b-neighbours beside the a-vertex is
     kept from that pull, and b-candidates outside are those not adjacent to the a-vertex.
+
+    ``directed``: a query edge (i, j) stands for one from i to j. ``max_piece``: a root with more candidates
+    for the vertex that is placed next becomes several tasks, each with a share of them. ``top``: each task
+    gives only its best by ``score``.
     """
 
-    def __init__(self, plan: MatchPlan, injective: bool = True, count: bool = False, rules: bool = False, directed: bool = False) -> None:
+    def __init__(self, plan: MatchPlan, injective: bool = True, count: bool = False, rules: bool = False, directed: bool = False, max_piece: int | None = None, top: int = 0, score: Callable[[list[int]], float] | None = None) -> None:
         if rules and plan.query != FIVE:
             raise ValueError("the case rules are those of the five-vertex pattern")
         self.plan, self.injective, self.count, self.rules, self.directed = plan, injective, count, rules, directed
-        self.edge_labels = {(a, b): rest[0] for a, b, *rest in plan.query.edges if rest}
+        self.max_piece, self.top, self.score = max_piece, top, score
 
     def _labels(self, layer: int) -> list[str]:
         return sorted({self.plan.query.labels[q] for q in self.plan.layers[layer]})
@@ -90,16 +96,22 @@ class MatchProgram(TaskProgram):
                 fourth |= near
         return kept, sorted(fourth)
 
+    def _known(self, arcs: dict[tuple[int, int], set], u: int, items: list) -> dict[int, str]:
+        """The items' labels; the labels of the edges go to ``arcs``, by where these begin and end."""
+        for x in items:
+            if x["out"] is not None or x["elabel"] is not None:
+                arcs.setdefault((x["id"], u) if x["out"] is False else (u, x["id"]), set()).add(x["elabel"])
+        return {x["id"]: x["label"] for x in items}
+
     def step(self, task, frontier, shared) -> StepOutcome:
         query, plan = self.plan.query, self.plan
-        lists, elabels = task.state or ({}, {})
-        own = {x["id"]: x["label"] for x in task.own}
+        lists, arcs, given = task.state or ({}, {}, None)
         if not lists:
-            lists, elabels = {task.root: own}, {(task.root, x["id"]): x["elabel"] for x in task.own if x["elabel"] is not None}
+            lists = {task.root: self._known(arcs, task.root, task.own)}
+        own = lists[task.root]
         for u, items in frontier:
-            lists[u] = {x["id"]: x["label"] for x in items}
-            elabels |= {(u, x["id"]): x["elabel"] for x in items if x["elabel"] is not None}
-        if task.iteration < plan.pulled:
+            lists[u] = self._known(arcs, u, items)
+        if given is None and task.iteration < plan.pulled:
             if self.rules:
                 lists, more = self._pruned(own, lists)
                 more = [u for u in more if u not in lists]
@@ -107,35 +119,56 @@ class MatchProgram(TaskProgram):
                 wanted = set(self._labels(task.iteration + 1))
                 more = sorted({u for items in lists.values() for u, label in items.items() if label in wanted} - lists.keys())
             if more:
-                return StepOutcome(pulls=more, state=(lists, elabels))
+                return StepOutcome(pulls=more, state=(lists, arcs, None))
         labels = {u: label for items in lists.values() for u, label in items.items()}
         candidates = {q: sorted(u for u, label in labels.items() if label == name) for q, name in query.labels.items()}
         candidates[plan.root] = [task.root]
         if self.rules:  # the fourth vertex needs a d-neighbour
             candidates[4] = [u for u in candidates[4] if "d" in lists.get(u, {}).values()]
+        following = query.order(plan.root)[1] if len(query.labels) > 1 else plan.root
+        if given is not None:
+            candidates[following] = given
+        elif self.max_piece and len(candidates[following]) > self.max_piece:
+            some = candidates[following]
+            parts = [some[k : k + self.max_piece] for k in range(0, len(some), self.max_piece)]
+            return StepOutcome(spawned=[Task(task.root, [], [], (lists, arcs, part), task.iteration) for part in parts], nodes=1)
+        wants: dict[tuple[int, int], list] = {}
+        for i, j, *rest in query.edges:
+            wants.setdefault((i, j), []).append((False, *rest))
+            wants.setdefault((j, i), []).append((True, *rest))
 
         def joined(q1: int, a: int, q2: int, b: int) -> bool:
             if b not in lists.get(a, ()) and a not in lists.get(b, ()):
                 return False
-            want = self.edge_labels.get((q1, q2), self.edge_labels.get((q2, q1)))
-            return want is None or elabels.get((a, b), elabels.get((b, a))) == want
-
-        nodes = 0
+            for turned, *label in wants[q1, q2]:
+                there = arcs.get((b, a) if turned else (a, b), ())
+                if not self.directed:
+                    there = {*there, *arcs.get((a, b) if turned else (b, a), ())}
+                if (label and label[0] not in there) or (self.directed and not there):
+                    return False
+            return True
+
+        found = match(query, candidates, joined, plan.root, self.injective)
         if self.count:
-            nodes = sum(1 for _ in match(query, candidates, joined, plan.root, self.injective))
+            nodes = sum(1 for _ in found)
             return StepOutcome(value=nodes, nodes=nodes)
-        found = [[m[q] for q in sorted(query.labels)] for m in match(query, candidates, joined, plan.root, self.injective)]
-        return StepOutcome(results=found, nodes=len(found))
+        rows = ([m[q] for q in sorted(query.labels)] for m in found)
+        if self.top:
+            rows = heapq.nsmallest(self.top, rows, key=lambda m: (-(self.score or sum)(m), m))
+        results = list(rows)
+        return StepOutcome(results=results, nodes=len(results))
 
 
-def match_run(g: PropertyGraph, query: QueryGraph = FIVE, root: int | None = None, injective: bool = True, count: bool = False, rules: bool = False, config: RunConfig = RunConfig()) -> RunResult:
-    """Runs a matching; without ``root``, the plan looks at the frequency of labels."""
+def match_run(g: PropertyGraph, query: QueryGraph = FIVE, root: int | None = None, injective: bool = True, count: bool = False, rules: bool = False, config: RunConfig = RunConfig(), max_piece: int | None = None, top: int = 0, score: Callable[[list[int]], float] | None = None) -> RunResult:
+    """Runs a matching; without ``root``, the plan looks at the frequency of labels. Edges of a directed graph keep their direction."""
+    if rules and g.directed:
+        raise ValueError("the case rules are for undirected graphs")
     lists = attach_neighbor_labels(g)
     frequency = None
     if root is None and not rules:
         frequency = {r["label"]: r["n"] for r in g.vertices.where(F.col("label").isin(sorted(set(query.labels.values())))).groupBy("label").agg(F.count("*").alias("n")).collect()}
     plan = MatchPlan.of(query, 1 if rules else root, frequency)
-    return run_program(lists, MatchProgram(plan, injective, count, rules), config)
+    return run_program(lists, MatchProgram(plan, injective, count, rules, g.directed, max_piece, top, score), config)
 
 
 def match_rows(result: RunResult, query: QueryGraph = FIVE) -> DataFrame:

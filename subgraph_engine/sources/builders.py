@@ -41,6 +41,16 @@ def co_user(spark: SparkSession, sf: str, seconds: int = 600) -> DataFrame:
     return pairs_of(events.select("user_id", "event_type", bucket), "user_id", "event_type", "bucket").select("src", "dst").distinct()
 
 
+def follow_user(spark: SparkSession, sf: str, seconds: int = 600) -> DataFrame:
+    """Directed: from a user to each that has an event of the same type later in the same bucket of time."""
+    events = load(spark, sf, "events").select("user_id", "event_type", F.unix_micros(F.col("ts").cast("timestamp")).alias("t"))
+    rows = events.withColumn("bucket", F.floor(F.col("t") / (seconds * 1_000_000)))
+    # of each user in a bucket, the first event is before and the last one after all that any event is
+    spans = rows.groupBy("event_type", "bucket", "user_id").agg(F.min("t").alias("first"), F.max("t").alias("last"))
+    a, b = spans.select("event_type", "bucket", F.col("user_id").alias("src"), "first"), spans.select("event_type", "bucket", F.col("user_id").alias("dst"), "last")
+    return a.join(b, ["event_type", "bucket"]).where("src <> dst and first < last").select("src", "dst").distinct()
+
+
 def doc_line(spark: SparkSession, sf: str, least: int = 30, most_docs: int = 50) -> DataFrame:
     """Documents that share a trimmed line of ``least`` characters found in 2 to ``most_docs`` documents."""
     lines = load(spark, sf, "documents").select("doc_id", F.explode(F.split("text", "\n")).alias("line")).select("doc_id", F.trim("line").alias("line"))

@@ -62,6 +62,11 @@ def sessions(stream: DataFrame, gap: str = "6 hours", delay: str = "1 hour") ->
     return s.select("user_id", F.col("w.start").alias("start"), "n")
 
 
+def deduplicated(stream: DataFrame, delay: str = "1 hour") -> DataFrame:
+    """Each event id once: repeats within the delay by state that the watermark clears, later ones as late rows."""
+    return stream.withWatermark("ts", delay).dropDuplicatesWithinWatermark(["event_id"])
+
+
 def interval_join(stream: DataFrame, other: DataFrame, minutes: int = 10) -> DataFrame:
     """Pairs of users with events of one type within some minutes; both sides have a watermark."""
     a = stream.withWatermark("ts", "1 hour").select(F.col("event_id").alias("first"), F.col("user_id").alias("src"), "event_type", F.col("ts").alias("ta"))
@@ -85,10 +90,11 @@ def new_triangles(stream: DataFrame, seconds: int = 600, delay: str = "1 hour")
             state.remove()
             return
         users = [int(u) for u in state.get[0]] if state.exists else []
-        out = []
+        out, seen = [], set(users)
         for frame in frames:
             for u in frame["user_id"].tolist():
-                if u not in users:
+                if u not in seen:
+                    seen.add(u)
                     out += [(*key, *sorted((a, b, u))) for k, a in enumerate(users) for b in users[k + 1 :]]
                     users.append(u)
         state.update((users,))
@@ -102,13 +108,14 @@ def new_triangles(stream: DataFrame, seconds: int = 600, delay: str = "1 hour")
 def incremental_triangles(edges: DataFrame, batches: int = 3) -> tuple[int, list[int]]:
     """Triangles counted as edges arrive in batches; each counts when its last edge does.
 
-    Every batch joins its new edges with old and new ones; the stored edges grow by a file a batch.
+    Every batch joins its new edges with old and new ones; the stored edges grow by a folder a batch, which a
+    batch that runs again writes over.
     """
     spark = edges.sparkSession
     path, store = fresh(spark, "edges"), fresh(spark, "stored")
     for k in range(batches):
         edges.where(F.pmod(F.xxhash64("src", "dst"), F.lit(batches)) == k).coalesce(1).write.mode("append").parquet(path)
-    spark.createDataFrame([], "src long, dst long, batch long").write.parquet(store)
+    spark.createDataFrame([], "src long, dst long").write.parquet(f"{store}/batch=-1")
     found: dict[int, int] = {}
 
     def step(new: DataFrame, batch: int) -> None:
@@ -120,7 +127,7 @@ def incremental_triangles(edges: DataFrame, batches: int = 3) -> tuple[int, list
         a, b, c = (every.toDF(x, y, n) for x, y, n in (("v1", "v2", "n1"), ("v2", "v3", "n2"), ("v1", "v3", "n3")))
         tri = a.join(b, "v2").join(c, ["v1", "v3"]).where("n1 + n2 + n3 > 0")
         found[batch] = tri.count()
-        fresh_edges.select("src", "dst", F.lit(batch).cast("long").alias("batch")).write.mode("append").parquet(store)
+        fresh_edges.select("src", "dst").write.mode("overwrite").parquet(f"{store}/batch={batch}")
         every.unpersist()
         fresh_edges.unpersist()
 

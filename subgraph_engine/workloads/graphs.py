@@ -11,9 +11,9 @@ from subgraph_engine.baselines import systems
 from subgraph_engine.functions.kernels import FIVE, QueryGraph
 from subgraph_engine.measures import costs
 from subgraph_engine.operators import cliques, matching, quasi, triangles
-from subgraph_engine.operators.graph import PropertyGraph, attach_neighbor_labels, connected_components, degree_histogram, densest_subgraph, ego_pieces, forward_adjacency, k_core, k_hop, with_letters
+from subgraph_engine.operators.graph import PropertyGraph, arc_adjacency, attach_neighbor_labels, connected_components, degree_histogram, densest_subgraph, ego_pieces, forward_adjacency, k_core, k_hop, with_letters
 from subgraph_engine.plans.queue import minhash_key, owner_of, queued, remote
-from subgraph_engine.plans.runtime import RunConfig
+from subgraph_engine.plans.runtime import RunConfig, RunResult
 from subgraph_engine.plans.store import written
 from subgraph_engine.sources import builders
 
@@ -205,6 +205,7 @@ entry("maxclique_co_user", with_edges("co_user", _LARGEST, True))(_max_query("co
 entry("maxclique_co_user_final", with_edges("co_user", _LARGEST, True))(_max_query("co_user", sync="final"))
 entry("maxclique_co_user_nosync", with_edges("co_user", _LARGEST, True))(_max_query("co_user", sync="none", bound="none"))
 entry("maxclique_co_user_split", with_edges("co_user", _LARGEST, True))(_max_query("co_user", max_piece=6, max_depth=2))
+entry("maxclique_degree_order", with_edges("co_user", _LARGEST, True))(_max_query("co_user", orient="degree"))
 entry("maxclique_co_part_w2", with_edges("co_part_w2", _LARGEST, True))(_max_query("co_part_w2"))
 entry("maxclique_co_supplier", with_edges("co_supplier", _FULL))(_max_query("co_supplier"))
 #: Cliques with the vertices that may come next, kept as lists.
@@ -227,6 +228,18 @@ for _name in ("co_user", "co_part_w2"):
     entry(f"maximal_{_name}", with_edges(_name, f"{_MAXIMAL} SELECT array_to_string(members, ',') AS members FROM m", True))(lambda spark, sf, name=_name: _members(cliques.maximal_clique_run(graph(spark, sf, name)).results))
 
 
+@entry("maximal_split", with_edges("co_user", f"{_MAXIMAL} SELECT array_to_string(members, ',') AS members FROM m", True))
+def maximal_split(spark: SparkSession, sf: str) -> DataFrame:
+    """Pieces of more than five larger neighbours become tasks of their own."""
+    return _members(cliques.maximal_clique_run(graph(spark, sf, "co_user"), max_piece=5).results)
+
+
+@entry("greedy_bound")
+def greedy(spark: SparkSession, sf: str) -> DataFrame:
+    """The bound that the search for the largest clique starts from."""
+    return one_row(spark, size=cliques.greedy_bound(forward_adjacency(graph(spark, sf, "co_part"))).value or 0)
+
+
 @entry("maximal_hist", with_edges("co_user", f"{_MAXIMAL} SELECT size::BIGINT AS size, count(*) AS cliques FROM m GROUP BY size", True))
 def maximal_hist(spark: SparkSession, sf: str) -> DataFrame:
     return cliques.clique_histogram(graph(spark, sf, "co_user"))
@@ -250,6 +263,18 @@ for _name in ("co_part_w2",):
     entry(f"quasi4_{_name}", _quasi_sql(_name))(lambda spark, sf, name=_name: _members(quasi.quasi_clique_sets(graph(spark, sf, name), (3, 5), 4, 4)))
 
 
+@entry("quasi_count", with_edges("co_part_w2", "two AS (SELECT a.nbr AS x, b.nbr AS y, a.id AS z FROM s a JOIN s b ON a.id = b.id AND a.nbr < b.nbr), cyc AS (SELECT DISTINCT list_sort([p.x, p.y, p.z, q.z]) AS m FROM two p JOIN two q ON p.x = q.x AND p.y = q.y AND p.z < q.z) SELECT count(*) AS sets FROM cyc"))
+def quasi_count(spark: SparkSession, sf: str) -> DataFrame:
+    """As many sets as ``quasi4_co_part_w2`` lists, counted by the tasks, large pieces split."""
+    return one_row(spark, sets=quasi.quasi_run(graph(spark, sf, "co_part_w2"), (3, 5), 4, 4, "count", max_piece=60).value or 0)
+
+
+@entry("quasi_topk", with_edges("co_part_w2", "two AS (SELECT a.nbr AS x, b.nbr AS y, a.id AS z FROM s a JOIN s b ON a.id = b.id AND a.nbr < b.nbr), cyc AS (SELECT DISTINCT list_sort([p.x, p.y, p.z, q.z]) AS m FROM two p JOIN two q ON p.x = q.x AND p.y = q.y AND p.z < q.z) SELECT array_to_string(m, ',') AS members FROM cyc ORDER BY m LIMIT 7"))
+def quasi_topk(spark: SparkSession, sf: str) -> DataFrame:
+    """The first of the sets of four; ties in size go to the smaller members."""
+    return _members(quasi.quasi_clique_sets(graph(spark, sf, "co_part_w2"), (3, 5), 4, 4, "topk", top=7))
+
+
 @entry("quasi_maximal")
 def quasi_maximal(spark: SparkSession, sf: str) -> DataFrame:
     return _members(quasi.quasi_clique_sets(graph(spark, sf, "co_part_w2"), (1, 2), 4, None, "maximal"))
@@ -282,6 +307,48 @@ def match_list(spark: SparkSession, sf: str) -> DataFrame:
     return matching.match_rows(matching.match_run(lettered(spark, sf, "co_user"), rules=True))
 
 
+entry("match_split", with_edges("co_user", f"{_match_sql(True)} SELECT count(*) AS matches FROM m"))(_match_query("co_user", rules=True, max_piece=8))
+
+
+@entry("match_topk", with_edges("co_user", f"{_match_sql(True)} SELECT k1, k2, k3, k4, k5 FROM m ORDER BY k1 + k2 + k3 + k4 + k5 DESC, k1, k2, k3, k4, k5 LIMIT 6"))
+def match_topk(spark: SparkSession, sf: str) -> DataFrame:
+    """The matches with the largest sum of ids; each task gives its best only."""
+    got = matching.match_run(lettered(spark, sf, "co_user"), rules=True, top=6).results
+    best = cliques.largest_by(got, 6, F.aggregate("members", F.lit(0).cast("bigint"), lambda a, x: a + x).cast("double"))
+    return matching.match_rows(RunResult(best, None))
+
+
+_FOLLOWS = "WITH b AS (SELECT user_id, event_type, epoch_us(ts) // 600000000 AS k, ts FROM events), e AS (SELECT DISTINCT x.user_id AS src, y.user_id AS dst FROM b x JOIN b y ON x.event_type = y.event_type AND x.k = y.k AND x.ts < y.ts AND x.user_id <> y.user_id), s AS (SELECT src AS id FROM e UNION SELECT dst FROM e), "
+_DIRECTED = {"cycle": ("e x JOIN e y ON y.src = x.dst JOIN e z ON z.src = y.dst AND z.dst = x.src", ((1, 2), (2, 3), (3, 1))), "transitive": ("e x JOIN e y ON y.src = x.dst JOIN e z ON z.src = x.src AND z.dst = y.dst", ((1, 2), (2, 3), (1, 3)))}
+
+
+def following(spark: SparkSession, sf: str) -> PropertyGraph:
+    edges = written(builders.follow_user(spark, sf), "follows")
+    return PropertyGraph(edges, with_letters(edges, builders.letter_label(F.col("id"))).vertices, True)
+
+
+@entry("g_follow_user", _FOLLOWS.rstrip(", ") + " SELECT src, dst FROM e")
+def follow_user(spark: SparkSession, sf: str) -> DataFrame:
+    return builders.follow_user(spark, sf)
+
+
+for _name, (_joins, _arcs) in _DIRECTED.items():
+    # a, b, c in this order; the query's edges have directions
+    entry(f"match_directed_{_name}", f"{_FOLLOWS}{LABELS_SQL} SELECT x.src AS k1, x.dst AS k2, y.dst AS k3 FROM {_joins} JOIN lab p ON p.id = x.src AND p.label = 'a' JOIN lab q ON q.id = x.dst AND q.label = 'b' JOIN lab r ON r.id = y.dst AND r.label = 'c'")(
+        lambda spark, sf, arcs=_arcs: matching.match_rows(matching.match_run(following(spark, sf), query := QueryGraph({1: "a", 2: "b", 3: "c"}, arcs)), query)
+    )
+
+
+@entry("out_adjacency", _FOLLOWS.rstrip(", ") + " SELECT src AS id, count(*) AS n, min(dst) AS first FROM e GROUP BY src")
+def out_adjacency(spark: SparkSession, sf: str) -> DataFrame:
+    return arc_adjacency(following(spark, sf)).select("id", F.size("nbrs").cast("long").alias("n"), F.array_min("nbrs").alias("first"))
+
+
+@entry("in_adjacency", _FOLLOWS.rstrip(", ") + " SELECT dst AS id, count(*) AS n, min(src) AS first FROM e GROUP BY dst")
+def in_adjacency(spark: SparkSession, sf: str) -> DataFrame:
+    return arc_adjacency(following(spark, sf), "in").select("id", F.size("nbrs").cast("long").alias("n"), F.array_min("nbrs").alias("first"))
+
+
 KG_CYCLE = QueryGraph({1: "order", 2: "customer", 3: "nation", 4: "supplier"}, ((1, 2), (2, 3), (3, 4), (4, 1)))
 
 
@@ -420,7 +487,7 @@ def _sweep_sql(rows: str, each: list[str]) -> str:
     return with_edges("co_part", f"{rows}, {', '.join(f'x{k} AS ({x})' for k, x in enumerate(each))} " + " UNION ALL ".join(f"SELECT * FROM x{k}" for k in range(len(each))))
 
 
-@entry("run_totals", with_edges("co_part", f"{_REQUESTS}, {TRIANGLES} SELECT 'done' AS name, count(DISTINCT root)::BIGINT AS value FROM req UNION ALL SELECT 'nodes', count(*) FROM req UNION ALL SELECT 'rounds', 1 UNION ALL SELECT 'value', (SELECT count(*) FROM t)"))
+@entry("run_totals", with_edges("co_part", f"{_REQUESTS}, {TRIANGLES} SELECT 'done' AS name, count(DISTINCT root)::BIGINT AS value FROM req UNION ALL SELECT 'nodes', count(*) FROM req WHERE want IN (SELECT src FROM e) UNION ALL SELECT 'rounds', 1 UNION ALL SELECT 'value', (SELECT count(*) FROM t)"))
 def run_totals(spark: SparkSession, sf: str) -> DataFrame:
     """What a run counts wherever its tasks are placed: tasks done, lists searched, rounds and the answer."""
     got = triangles.triangle_tasks(graph(spark, sf, "co_part"))
@@ -543,3 +610,12 @@ def base_stream_queue(spark: SparkSession, sf: str) -> DataFrame:
 @entry("base_no_sharing", _T)
 def base_no_sharing(spark: SparkSession, sf: str) -> DataFrame:
     return one_row(spark, triangles=triangles.triangle_tasks(graph(spark, sf, "co_user"), RunConfig(share=False)).value or 0)
+
+
+# the same systems under load ----------------------------------------------------------------------
+for _name in ("co_part", "doc_line"):
+    _count = with_edges(_name, f"{TRIANGLES} SELECT count(*) AS triangles FROM t")
+    entry(f"base_serial_{_name}", _count)(lambda spark, sf, name=_name: one_row(spark, triangles=systems.serial(graph(spark, sf, name), "triangles")))
+    entry(f"base_level_{_name}", _count)(lambda spark, sf, name=_name: one_row(spark, triangles=systems.level_sync(graph(spark, sf, name), "triangles")[0]))
+    entry(f"base_vertex_{_name}", _count)(lambda spark, sf, name=_name: one_row(spark, triangles=systems.vertex_centric(graph(spark, sf, name), "triangles")[0]))
+    entry(f"base_materialized_{_name}", _count)(lambda spark, sf, name=_name: one_row(spark, triangles=int(systems.materialized(graph(spark, sf, name), "triangles")["value"])))

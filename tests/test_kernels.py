@@ -91,3 +91,31 @@ def test_stream_queue_keeps_arrival():
         queue.put((0,), k)
     assert [t for _, t in queue.take()] == [0, 1, 2]
     assert queue.writes == 2 and queue.reads == 1
+
+
+@pytest.mark.parametrize("seed", range(40))
+def test_quasi_cliques_equal_brute_force(seed):
+    from subgraph_engine.functions.kernels import quasi_cliques
+
+    rng = random.Random(seed)
+    n, p = rng.randint(3, 10), rng.choice([0.2, 0.4, 0.6, 0.8])
+    near = {v: set() for v in range(n)}
+    for a, b in itertools.combinations(range(n), 2):
+        if rng.random() < p:
+            near[a].add(b)
+            near[b].add(a)
+    (num, den), least, most = rng.choice([(1, 2), (3, 5), (2, 3), (4, 5), (1, 1)]), rng.choice([1, 2, 3, 4]), rng.choice([None, None, 4, 5])
+    want = {c for r in range(least, (most or n) + 1) for c in itertools.combinations(range(n), r) if all(den * len(near[v] & set(c)) >= num * (r - 1) for v in c)}
+
+    def run(**how):
+        out = []
+        for root in range(n):
+            piece = Piece.of({v: [u for u in near[v] if u >= root] for v in near if v >= root})
+            out += [tuple(piece.members(m)) for m in quasi_cliques(piece, root, num, den, least, most, **how)]
+        return out
+
+    assert sorted(run()) == sorted(want)
+    top = max(map(len, want), default=0)
+    assert {c for c in run(largest=True) if len(c) == top} == {c for c in want if len(c) == top}
+    some = set(run(maximal=True))
+    assert some <= want and {c for c in some if not any(set(c) < set(x) for x in some)} == {c for c in want if not any(set(c) < set(x) for x in want)}

@@ -207,3 +207,73 @@ def test_plans_have_no_cartesian_and_prune_columns(spark):
 
 def test_five_is_the_pattern():
     assert FIVE.layers(1) == [{1}, {2, 3}, {4}, {5}]
+
+
+def test_adjacency_is_built_once(spark):
+    """However many rounds a run takes, the rows of the source are computed once."""
+    seen = spark.sparkContext.accumulator(0)
+    edges = sorted(random_pairs(5))
+
+    def counted(batches):
+        for batch in batches:
+            seen.add(batch.num_rows)
+            yield batch
+
+    from subgraph_engine.operators.graph import adjacency
+
+    lists = adjacency(PropertyGraph(spark.createDataFrame(edges, "src long, dst long").mapInArrow(counted, "src long, dst long")))
+    got = run_program(lists, quasi.QuasiCliqueProgram(1, 1, 3, None))
+    assert got.metrics["rounds"] > 1 and seen.value == len(edges)
+
+
+def test_splitting_changes_no_answer(spark):
+    g = graph(spark, random_pairs(9, 20, 0.4), {k: "abcde"[k % 5] for k in range(20)})
+    whole, parts = (sorted(map(tuple, cliques.maximal_clique_run(g, max_piece=p).results.select("members").collect())) for p in (None, 2))
+    assert whole == parts
+    whole, parts = (sorted(mappings(matching.match_run(g, rules=True, max_piece=p))) for p in (None, 1))
+    assert whole == parts and whole
+    for mode in ("all", "maximal", "largest"):
+        whole, parts = (sorted(tuple(r["members"]) for r in quasi.quasi_clique_sets(g, (3, 5), 4, output=mode, max_piece=p).collect()) for p in (None, 3))
+        assert whole == parts and whole
+    assert quasi.quasi_run(g, (3, 5), 4, mode="count", max_piece=3).value == len(quasi.quasi_clique_sets(g, (3, 5), 4).collect())
+
+
+def test_hub_beside_a_clique(spark):
+    """A star of thousands and a clique around its hub: lists in chunks, batches bounded by items, the same answers."""
+    from subgraph_engine.plans import runtime
+
+    g = graph(spark, sorted({(0, k) for k in range(1, 3000)} | set(complete(9))))
+    chunk, runtime.CHUNK = runtime.CHUNK, 100
+    try:
+        config = RunConfig(item_capacity=200)
+        assert triangles.triangle_tasks(g, config).value == 84
+        assert cliques.maximum_clique(g, config=config, max_piece=4, max_depth=2).value == 9
+        assert cliques.maximal_clique_run(g, mode="count", config=config, max_piece=50).value == 1 + 3000 - 9
+    finally:
+        runtime.CHUNK = chunk
+
+
+def test_batches_are_bounded_by_items_and_cost(spark):
+    from subgraph_engine.plans.queue import Weights, plan_batches
+
+    rows = [(k, k, [0] * 3, [1000 + k, 7], None, 1) for k in range(50)]
+    tasks = spark.createDataFrame(rows, "root long, task_id long, own array<long>, pulls array<long>, state binary, iteration int")
+    batches = plan_batches(tasks, 1, item_capacity=25, lists=Weights({7: 10}, 2.0)).groupBy("batch").agg(F.count("*").alias("n")).collect()
+    assert max(r["n"] for r in batches) == 7  # a shared list of 10, and 2 for each task
+    batches = plan_batches(tasks, 1, cost_capacity=45.0, lists=Weights({7: 10}, 2.0)).groupBy("batch").agg(F.count("*").alias("n")).collect()
+    assert max(r["n"] for r in batches) == 3  # 12 items and 3 pairs each
+
+
+def test_directions_count(spark):
+    edges = spark.createDataFrame([(1, 2, "x"), (2, 3, "x"), (3, 1, "y"), (2, 1, "z")], "src long, dst long, elabel string")
+    g = PropertyGraph(edges, spark.createDataFrame([(1, "a"), (2, "b"), (3, "c")], "id long, label string"), True)
+
+    def found(*arcs):
+        return mappings(matching.match_run(g, QueryGraph({1: "a", 2: "b", 3: "c"}, arcs), root=1))
+
+    assert found((1, 2), (2, 3), (3, 1)) == [(1, 2, 3)]
+    assert found((1, 2), (2, 3), (1, 3)) == []
+    assert found((2, 1, "z"), (1, 2, "x"), (2, 3)) == [(1, 2, 3)]
+    assert found((2, 1, "x"), (2, 3)) == []
+    assert mappings(matching.match_run(g.reversed(), QueryGraph({1: "a", 2: "b", 3: "c"}, ((2, 1), (3, 2), (1, 3))), root=2)) == [(1, 2, 3)]
+    assert g.undirected().edges.count() == 3
