@@ -5,8 +5,9 @@ vocabulary reaches from a visible character into the white space after it, so wo
 encoded apart.
 
 1. ``build_table``: each task makes its texts' words distinct, and only these are shuffled, to
-   shards by the top bits of their 128-bit digests. A shard sorts its words, encodes each once
-   and writes digests and ids as sorted arrays to the shared folder, as a stream.
+   shards by the top bits of their 64-bit hashes. A shard sorts its words, encodes each once
+   and writes hashes, a 32-bit check beside each, and ids as sorted arrays to the shared folder, as a
+   stream.
 2. ``encode_partitions`` maps the table and puts the words' ids back by their positions. Texts are
    never shuffled. A worker looks each word up once, in blocks, and keeps up to ``TABLE_WORDS``.
 3. Decoding looks up each id's piece in the vocabulary's table, which each worker holds;
@@ -27,17 +28,19 @@ from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 from itertools import chain, pairwise
+from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from xxhash import xxh3_128_digest
+from xxhash import xxh64_intdigest
 
 from subgraph_engine.llm.common import fresh_path, local, mapped, slices
 
-#: Words that a worker keeps before it starts anew.
-TABLE_WORDS = 400_000
+#: Words that a worker keeps before it starts anew: of the table, and of those that it has handed over.
+TABLE_WORDS, SEEN_WORDS = 400_000, 1_000_000
 #: Longer words are not kept beyond a block.
 KEPT_CHARS = 48
 #: Longer words, and words with characters from here on, go to the reference tokenizer.
@@ -98,6 +101,7 @@ class Codec(dict):
             self.pieces[i] = piece
         for content, i in self.special.items():
             self.pieces[i] = content.encode()
+        self.decimals = [b"%d," % i for i in range(len(self.pieces))]
         self._apart = re.compile("|".join(f"({re.escape(x)})" for x in sorted(self.special, key=len, reverse=True))) if self.special else None
         from tiktoken import Encoding
 
@@ -108,8 +112,8 @@ class Codec(dict):
             return self.exact.encode(word, add_special_tokens=False).ids
         return self._fast(word)
 
-    def entry(self, ids: np.ndarray | list[int]) -> tuple[bytes, bytes]:
-        return array("I", ids).tobytes(), (",".join(map(str, ids)) + ",").encode()
+    def entry(self, ids: list[int]) -> tuple[bytes, bytes]:
+        return array("I", ids).tobytes(), b"".join(map(self.decimals.__getitem__, ids))
 
     def words(self, text: str | None) -> list[str]:
         """The text's words; special tokens stand alone."""
@@ -126,9 +130,9 @@ class Codec(dict):
             self.clear()
             new = words
         new = list(new)
-        found = table.ids(new) if table else [None] * len(new)
-        for w, ids in zip(new, found, strict=True):
-            self[w] = self.entry([self.special[w]] if w in self.special else self.ids_of(w) if ids is None else ids)
+        found = table.entries(new, self.decimals) if table else [None] * len(new)
+        for w, entry in zip(new, found, strict=True):
+            self[w] = entry or self.entry([self.special[w]] if w in self.special else self.ids_of(w))
 
     def forget_long(self, words: set[str]) -> None:
         for w in words:
@@ -165,59 +169,71 @@ def codec(path: str) -> Codec:
     return _CODECS[path]
 
 
+#: Fixed value: the seed of Spark's xxhash64.
+SEED = 42
+
+
 @dataclass(frozen=True)
 class WordTable:
-    """The ids of distinct words, by sorted 128-bit digests in shards by their top ``bits``.
+    """The ids of distinct words, by sorted 64-bit hashes in shards by their top ``bits``.
 
-    A shard has its digests' high and low halves, where each word's ids end, and the ids.
+    A shard has its words' hashes, checks of 32 more bits, where each word's ids end, and the ids.
     """
 
     base: str
     bits: int
     sizes: tuple[int, ...]  # words of each shard
-
-    def ids(self, words: list[str]) -> list[np.ndarray | None]:
-        """The ids of each word, None if it isn't in the table."""
-        out: list[np.ndarray | None] = [None] * len(words)
-        keys = np.frombuffer(b"".join([xxh3_128_digest(w.encode()) for w in words]), ">u8").reshape(-1, 2).astype("<u8")
-        order = np.argsort(keys[:, 0], kind="stable")
-        keys = keys[order]
+    kind: str  # of ids as stored
+
+    def entries(self, words: list[str], decimals: list[bytes]) -> list[tuple[bytes, bytes] | None]:
+        """Each word's ids as unsigned 32-bit bytes and as decimals, None if it isn't in the table."""
+        out: list[tuple[bytes, bytes] | None] = [None] * len(words)
+        raw = [w.encode() for w in words]
+        keys, checks = np.fromiter((xxh64_intdigest(w, SEED) for w in raw), "<u8", len(raw)), np.fromiter(map(crc32, raw), "<u4", len(raw))
+        order = np.argsort(keys, kind="stable")
+        keys, checks = keys[order], checks[order]
         tops = np.arange(1, 1 << self.bits, dtype="<u8") << np.uint64(64 - self.bits)
-        for shard, (a, b) in enumerate(pairwise([0, *np.searchsorted(keys[:, 0], tops).tolist(), len(keys)])):
+        for shard, (a, b) in enumerate(pairwise([0, *np.searchsorted(keys, tops).tolist(), len(keys)])):
             if a == b or not self.sizes[shard]:
                 continue
-            high, low, ends, every = (mapped(f"{local(self.base)}/{shard}.{name}", kind) for name, kind in (("high", "<u8"), ("low", "<u8"), ("ends", "<u8"), ("ids", "<u4")))
-            at, last = np.searchsorted(high, keys[a:b, 0]), len(high) - 1
-            own = np.minimum(at, last)
-            while len(off := np.flatnonzero((high[own] == keys[a:b, 0]) & (low[own] != keys[a:b, 1]) & (own < last))):
-                own[off] += 1  # equal halves of different digests stand side by side
-            hit = np.flatnonzero((high[own] == keys[a:b, 0]) & (low[own] == keys[a:b, 1]))
-            stops = ends[own[hit]].tolist()
-            starts = np.where(own[hit] > 0, ends[np.maximum(own[hit], 1) - 1], 0).tolist()
-            for k, x, y in zip(order[a:b][hit].tolist(), starts, stops, strict=True):
-                out[k] = every[x:y]
+            there, marks, ends, every = (mapped(f"{local(self.base)}/{shard}.{name}", kind) for name, kind in (("hashes", "<u8"), ("checks", "<u4"), ("ends", "<u4"), ("ids", self.kind)))
+            own = np.minimum(np.searchsorted(there, keys[a:b]), len(there) - 1)
+            while len(off := np.flatnonzero((there[own] == keys[a:b]) & (marks[own] != checks[a:b]) & (own < len(there) - 1))):
+                own[off] += 1  # different words of one hash stand side by side
+            hit = np.flatnonzero((there[own] == keys[a:b]) & (marks[own] == checks[a:b]))
+            if not len(hit):
+                continue
+            own = own[hit]
+            n = ends[own].astype("<i8")
+            starts = np.where(own > 0, ends[np.maximum(own, 1) - 1].astype("<i8"), 0)
+            n -= starts
+            stops = np.cumsum(n)
+            ids = every[np.repeat(starts - stops + n, n) + np.arange(stops[-1])].astype("<u4")
+            data, numbers, x = ids.tobytes(), ids.tolist(), 0
+            for k, y in zip(order[a:b][hit].tolist(), stops.tolist(), strict=True):
+                out[k] = data[4 * x : 4 * y], b"".join([decimals[i] for i in numbers[x:y]])
+                x = y
         return out
 
 
 class _ShardFiles:
     """A shard's arrays as they grow; written beside and renamed, so that a task that runs again does no harm."""
 
-    NAMES = ("high", "low", "ends", "ids")
+    NAMES = ("hashes", "checks", "ends", "ids")
 
-    def __init__(self, base: str, shard: int) -> None:
-        self.base, self.shard, self.words, self.n, self.last = f"{local(base)}/{shard}", shard, 0, 0, b""
+    def __init__(self, base: str, shard: int, kind: str) -> None:
+        self.base, self.shard, self.kind, self.words, self.n = f"{local(base)}/{shard}", shard, kind, 0, 0
         self.draft = f"{self.base}.{uuid.uuid4().hex}"
         self.files = [open(f"{self.draft}.{name}", "wb") for name in self.NAMES]  # noqa: SIM115
 
-    def add(self, keys: list[bytes], ids: list[list[int]]) -> None:
-        if not keys:
-            return
-        halves = np.frombuffer(b"".join(keys), ">u8").reshape(-1, 2).astype("<u8")
-        ends = self.n + np.cumsum([len(x) for x in ids], dtype="<u8")
-        parts = (np.ascontiguousarray(halves[:, 0]), np.ascontiguousarray(halves[:, 1]), ends.astype("<u8"), np.fromiter(chain.from_iterable(ids), "<u4"))
-        for f, values in zip(self.files, parts, strict=True):
+    def add(self, hashes: np.ndarray, words: list[str], ids: list[list[int]]) -> None:
+        ends = self.n + np.cumsum([len(x) for x in ids])
+        if ends[-1] >= 1 << 32:
+            raise ValueError("a shard of words has more than 2^32 ids; take more shuffle partitions")
+        checks = np.fromiter((crc32(w.encode()) for w in words), "<u4", len(words))
+        for f, values in zip(self.files, (hashes.astype("<u8"), checks, ends.astype("<u4"), np.fromiter(chain.from_iterable(ids), self.kind)), strict=True):
             f.write(values.tobytes())
-        self.words, self.n, self.last = self.words + len(keys), int(ends[-1]), keys[-1]
+        self.words, self.n = self.words + len(words), int(ends[-1])
 
     def close(self) -> tuple[int, int]:
         for f, name in zip(self.files, self.NAMES, strict=True):
@@ -230,6 +246,7 @@ def build_table(docs: DataFrame, path: str, text_col: str = "text") -> WordTable
     """The table of all distinct words of a column; only the shards' sizes come to the driver."""
     spark = docs.sparkSession
     bits = max(1, (int(spark.conf.get("spark.sql.shuffle.partitions")) - 1).bit_length())
+    kind = "<u2" if len(codec(path).pieces) <= 1 << 16 else "<u4"
     base = fresh_path(spark, "words")
     os.makedirs(local(base), exist_ok=True)
 
@@ -240,41 +257,42 @@ def build_table(docs: DataFrame, path: str, text_col: str = "text") -> WordTable
             for text in batch.column(0).to_pylist():
                 new.update(own.words(text))
             new = new.difference(seen, own.special)
-            if len(seen) > TABLE_WORDS:
+            if len(seen) > SEEN_WORDS:
                 seen.clear()
             seen.update(w for w in new if len(w) <= KEPT_CHARS)
-            words = list(new)
-            keys = [xxh3_128_digest(w.encode()) for w in words]
-            shards = [int.from_bytes(k[:4]) >> (32 - bits) for k in keys]
-            yield pa.RecordBatch.from_arrays([pa.array(shards, pa.int32()), pa.array(keys, pa.binary()), pa.array(words, pa.string())], names=["shard", "key", "word"])
+            yield pa.RecordBatch.from_arrays([pa.array(list(new), pa.string())], names=["word"])
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, files, done = codec(path), None, []
-        for batch in slices(batches, 8192):
-            keys, ids = [], []
-            for shard, key, word in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
-                if files is None or shard != files.shard:
+        own, files, done, last = codec(path), None, [], None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            hashes, words = batch.column(0).to_numpy().view("<u8"), batch.column(1)
+            new = np.ones(batch.num_rows, bool)
+            new[1:] = (hashes[1:] != hashes[:-1]) | pc.not_equal(words[1:], words[:-1]).to_numpy(zero_copy_only=False)
+            new[0] = last != (hashes[0], words[0].as_py())
+            last = hashes[-1], words[-1].as_py()
+            hashes, words = hashes[new], words.filter(pa.array(new)).to_pylist()
+            shards = (hashes >> np.uint64(64 - bits)).astype("<i8")
+            for a, b in pairwise([0, *(np.flatnonzero(np.diff(shards)) + 1).tolist(), len(shards)] if len(shards) else []):
+                if files is None or shards[a] != files.shard:
                     if files is not None:
-                        files.add(keys, ids)
                         done.append(files.close())
-                    files, keys, ids = _ShardFiles(base, shard), [], []
-                if key != (keys[-1] if keys else files.last):
-                    keys.append(key)
-                    ids.append(own.ids_of(word))
-            if files is not None:
-                files.add(keys, ids)
+                    files = _ShardFiles(base, int(shards[a]), kind)
+                files.add(hashes[a:b], words[a:b], list(map(own.ids_of, words[a:b])))
         if files is not None:
             done.append(files.close())
         if done:
             shards, sizes = zip(*done, strict=True)
             yield pa.RecordBatch.from_arrays([pa.array(shards, pa.int32()), pa.array(sizes, pa.int64())], names=["shard", "words"])
 
-    words = docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(split, "shard int, key binary, word string")
-    dealt = words.repartitionById(1 << bits, F.col("shard")).sortWithinPartitions("shard", "key")
+    words = docs.select(F.col(text_col).cast("string").alias("text")).mapInArrow(split, "word string")
+    hashed = F.xxhash64("word")
+    dealt = words.repartitionById(1 << bits, F.shiftrightunsigned(hashed, 64 - bits).cast("int")).select(hashed.alias("hash"), "word").sortWithinPartitions(F.shiftrightunsigned("hash", 64 - bits), "hash", "word")
     sizes = [0] * (1 << bits)
     for r in dealt.mapInArrow(encode, "shard int, words long").collect():
         sizes[r["shard"]] = r["words"]
-    return WordTable(base, bits, tuple(sizes))
+    return WordTable(base, bits, tuple(sizes), kind)
 
 
 def encode_partitions(docs: DataFrame, path: str, id_col: str = "doc_id", text_col: str = "text", digests: bool = False, table: WordTable | None = None) -> DataFrame:

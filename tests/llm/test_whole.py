@@ -151,14 +151,14 @@ def test_the_global_table_keeps_every_row(spark):
 
 
 def test_each_word_is_encoded_once(spark, monkeypatch):
-    """The table holds every distinct word once, in order of digests, and gives the tokenizer's ids."""
+    """The table holds every distinct word once, in order of hashes, and gives the tokenizer's ids."""
     rows = [(i, t) for i, t in rows_of_all_kinds() if t is None or len(t) < 50_000]
     docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
     table, own = bpe.build_table(docs, PATH), bpe.Codec(PATH)
     words = {w for _, t in rows for w in own.words(t)} - set(own.special)
     assert sum(table.sizes) == len(words)
-    found = table.ids([*words, "never seen"])
-    assert found[-1] is None and all(x.tolist() == own.ids_of(w) for w, x in zip(words, found))
+    found = table.entries([*words, "never seen"], own.decimals)
+    assert found[-1] is None and all(x == own.entry(own.ids_of(w)) for w, x in zip(words, found))
     # with a table, a worker never encodes a word of the corpus by itself
     monkeypatch.setattr(bpe.Codec, "ids_of", lambda *_: 1 / 0)
     own.know(words, table)
