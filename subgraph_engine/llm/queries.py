@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Callable
 
 import public_tokenizers
@@ -63,11 +64,45 @@ def op5_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.format_digests(rows.unionByName(extra))
 
 
+#: The template's marks, and what its texts may not hold as it is (longest first).
+_CONTROL = "|".join(re.escape(x) for x in ["\\", *chat.Template().control()])
+_MARKS = {role: len(a) + len(b) for role, (a, b) in chat.Template().marks.items()}
+OP5_SQL = f"""
+WITH c AS (SELECT conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -1, k, role, '</s>[INST] ok [/INST]' FROM (VALUES (0, 'user'), (1, 'assistant')) v(k, role)),
+t AS (SELECT *, lag(role) OVER w AS before, row_number() OVER w AS k, count(*) OVER (PARTITION BY conv_id) AS n,
+  length(text) + len(regexp_extract_all(text, '{_CONTROL}')) + CASE {" ".join(f"WHEN role = '{r}' THEN {n}" for r, n in _MARKS.items())}
+    ELSE {sum(map(len, chat.Template().other))} + length(role) + len(regexp_extract_all(role, '{_CONTROL}')) END AS chars
+  FROM c WINDOW w AS (PARTITION BY conv_id ORDER BY turn NULLS FIRST, role, text))
+SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY k)) AS turns_sha256,
+  coalesce(sum(length(text)) FILTER (WHERE role = 'assistant'), 0)::BIGINT AS loss_chars,
+  sha256(coalesce(string_agg(text, '' ORDER BY k) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
+  ({len(chat.Template().begin)} + sum(chars))::BIGINT AS formatted_chars,
+  bool_and(CASE WHEN k = 1 THEN role IN ('system', 'user') WHEN before IN ('system', 'assistant') THEN role = 'user' WHEN before = 'user' THEN role = 'assistant' ELSE false END)
+    AND bool_or(k = n AND role = 'assistant') AS valid
+FROM t GROUP BY conv_id
+"""
+
+
 def op6_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Near-duplicates of all documents: sets of five-word shingles, similarity of 0.75 or more."""
     return neardup.near_duplicates(table(spark, sf_dir, "documents"), num=75, den=100)
 
 
+OP6_SQL = """
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+') AS ws FROM documents),
+s AS (SELECT doc_id, CASE WHEN len(ws) = 0 THEN [] WHEN len(ws) < 5 THEN [array_to_string(ws, ' ')]
+  ELSE list_distinct(list_transform(range(1, len(ws) - 3), lambda i: array_to_string(ws[i:i + 4], ' '))) END AS own FROM w),
+g AS (SELECT doc_id, unnest(own) AS shingle FROM s),
+met AS (SELECT a.doc_id AS x, b.doc_id AS y, count(*) AS n FROM g a JOIN g b ON a.shingle = b.shingle AND a.doc_id < b.doc_id GROUP BY 1, 2),
+links AS (SELECT x, y FROM met JOIN s a ON a.doc_id = x JOIN s b ON b.doc_id = y WHERE 100 * n >= 75 * (len(a.own) + len(b.own) - n)),
+e AS (SELECT x, y FROM links UNION ALL SELECT y, x FROM links),
+r(id, seen) AS (SELECT doc_id, doc_id FROM s UNION SELECT e.y, r.seen FROM r JOIN e ON e.x = r.id WHERE r.seen < e.y),
+c AS (SELECT id, min(seen) AS component_id FROM r GROUP BY id)
+SELECT doc_id, len(own)::BIGINT AS n_shingles, component_id, component_id = doc_id AS kept FROM s JOIN c ON c.id = doc_id
+"""
+
+
 def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every document's language; the text models learn from the documents' own language column."""
     docs = table(spark, sf_dir, "documents")
@@ -128,4 +163,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_urls": OP2_SQL, "op9_quality": OP9_SQL}
+    return {"op2_urls": OP2_SQL, "op5_chat": OP5_SQL, "op6_neardup": OP6_SQL, "op9_quality": OP9_SQL}
