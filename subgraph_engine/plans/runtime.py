@@ -14,6 +14,8 @@ from __future__ import annotations
 import pickle
 from collections.abc import Callable
 from dataclasses import dataclass, field
+from functools import reduce
+from time import perf_counter
 from typing import Any
 from weakref import WeakSet
 
@@ -43,6 +45,7 @@ class RunConfig:
     share: bool = True
     rounds: int = 50
     parts: int | None = None
+    trace: bool = False  # keep each step's time
 
 
 @dataclass
@@ -50,6 +53,7 @@ class RunResult:
     results: DataFrame  # root, members
     value: int | None
     metrics: dict[str, int] = field(default_factory=dict)
+    trace: DataFrame | None = None  # root, seconds of each step
 
 
 class RoundsExceeded(RuntimeError):
@@ -80,7 +84,7 @@ def _store(vertices: pa.Table) -> dict[int, list]:
     return out
 
 
-def _kernel(program: TaskProgram, shared: dict[str, Any]):
+def _kernel(program: TaskProgram, shared: dict[str, Any], trace: bool = False):
     """The grouped map's function of a batch's tasks and its vertices."""
 
     def run(tasks: pa.Table, vertices: pa.Table) -> pa.Table:
@@ -103,7 +107,10 @@ def _kernel(program: TaskProgram, shared: dict[str, Any]):
                 if missing and task.iteration > iteration:  # asked for just now: to the next round
                     out.append(("task", task.root, task.iteration, None, None, pickle.dumps((task.own, task.state)), task.pulls))
                     continue
+                began = perf_counter()
                 got = program.step(task, [(u, store[u]) for u in task.pulls if u in store], own_shared)
+                if trace:
+                    out.append(("trace", task.root, task.iteration, int((perf_counter() - began) * 1e6), None, None, None))
                 nodes += got.nodes
                 fold(got.value)
                 out += [("result", task.root, 0, None, m, None, None) for m in got.results]
@@ -152,7 +159,8 @@ def run_program(adjacency: DataFrame, program: TaskProgram, config: RunConfig =
     tasks = seeds.select("root", F.col("root").alias("task_id"), "own", "pulls", F.lit(None).cast("binary").alias("state"), F.lit(1).alias("iteration"))
     kept: list[DataFrame] = []
     totals: dict[str, int] = {}
-    value, kernel = None, _kernel(program, shared or {})
+    traces: list[DataFrame] = []
+    value, kernel = None, _kernel(program, shared or {}, config.trace)
     for number in range(1, config.rounds + 1):
         batched = plan_batches(tasks, parts, config.queue, config.minhash_values, config.batch_capacity if config.share else 1, config.cache_capacity, **bounds)
         batched = written(batched, "tasks")
@@ -168,6 +176,8 @@ def run_program(adjacency: DataFrame, program: TaskProgram, config: RunConfig =
         if "value" in sums:
             x = sums["value"]["sum" if program.aggregate == "sum" else "max"]
             value = x if value is None else (value + x if program.aggregate == "sum" else max(value, x))
+        if config.trace:
+            traces.append(out.where("kind = 'trace'").select("root", (F.col("value") / 1e6).alias("seconds")))
         if "result" in sums:
             kept.append(out.where("kind = 'result'").select("root", "members"))
         if "task" not in sums:
@@ -181,4 +191,5 @@ def run_program(adjacency: DataFrame, program: TaskProgram, config: RunConfig =
     results = kept[0] if kept else spark.createDataFrame([], "root long, members array<long>")
     for more in kept[1:]:
         results = results.unionByName(more)
-    return RunResult(results, value, totals)
+    seconds = reduce(DataFrame.unionByName, traces).groupBy("root").agg(F.sum("seconds").alias("seconds")) if traces else None
+    return RunResult(results, value, totals, seconds)

@@ -9,12 +9,17 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir``, which driver and executors share; a temporary folder only where it is unset."""
+    """``spark.checkpoint.dir``, which driver and executors share.
+
+    A temporary folder takes its place where it is unset on one machine; on a cluster that is an error.
+    """
     there = spark.conf.get("spark.checkpoint.dir", None)
     java = spark.sparkContext._jsc.sc().getCheckpointDir()
     if not there and java.isDefined():
         there = java.get()
     if not there:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="shared_"))
         there = spark.sparkContext._jsc.sc().getCheckpointDir().get()
     return there.rstrip("/")
