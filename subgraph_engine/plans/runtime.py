@@ -68,11 +68,11 @@ CHUNK = 1 << 16
 
 
 def _chunks(reply: DataFrame) -> DataFrame:
-    """``id, part, nbrs``: lists of more than CHUNK items in several rows."""
-    parts = F.sequence(F.lit(0), F.greatest(F.floor((F.size("nbrs") - 1) / CHUNK), F.lit(0)).cast("int"))
-    short = reply.where(F.size("nbrs") <= CHUNK).select("id", F.lit(0).alias("part"), "nbrs")
-    long = reply.where(F.size("nbrs") > CHUNK).select("id", F.explode(parts).alias("part"), "nbrs").select("id", "part", F.slice("nbrs", F.col("part") * CHUNK + 1, F.lit(CHUNK)).alias("nbrs"))
-    return short.unionByName(long)
+    """``id, part, nbrs``: lists of more than CHUNK items in several rows. Rows stay in their buckets."""
+    whole = F.array(F.struct(F.lit(0).alias("part"), F.col("nbrs").alias("nbrs")))
+    last = F.floor((F.size("nbrs") - 1) / CHUNK).cast("int")
+    parts = F.transform(F.sequence(F.lit(0), last), lambda k: F.struct(k.alias("part"), F.slice("nbrs", k * CHUNK + 1, F.lit(CHUNK)).alias("nbrs")))
+    return reply.select("id", F.explode(F.when(F.size("nbrs") <= CHUNK, whole).otherwise(parts)).alias("at")).select("id", "at.part", "at.nbrs")
 
 
 def _store(vertices: pa.Table) -> dict[int, list]:

@@ -277,3 +277,14 @@ def test_directions_count(spark):
     assert found((2, 1, "x"), (2, 3)) == []
     assert mappings(matching.match_run(g.reversed(), QueryGraph({1: "a", 2: "b", 3: "c"}, ((2, 1), (3, 2), (1, 3))), root=2)) == [(1, 2, 3)]
     assert g.undirected().edges.count() == 3
+
+
+def test_lists_stay_in_their_buckets(spark):
+    from subgraph_engine.operators.graph import adjacency
+    from subgraph_engine.plans import runtime
+
+    lists = runtime.stored(adjacency(graph(spark, complete(30))))
+    wanted = spark.range(30).withColumn("of", F.lit(1)).hint("merge")
+    plan = wanted.join(runtime._chunks(lists), "id")._jdf.queryExecution().executedPlan().toString()
+    side = plan[plan.index("Generate explode"):]
+    assert "Bucketed: true" in side and "Exchange" not in side
