@@ -7,6 +7,7 @@ import tempfile
 import uuid
 from collections.abc import Iterator
 from functools import lru_cache
+from weakref import WeakKeyDictionary
 
 import numpy as np
 import pyarrow as pa
@@ -53,12 +54,31 @@ def mapped(path: str, kind: str) -> np.ndarray:
     return np.memmap(path, kind, "r") if os.path.getsize(path) else np.zeros(0, kind)
 
 
-def written(df: DataFrame, what: str, compression: str = "zstd") -> DataFrame:
-    """``df`` written to the shared folder and read again: cuts lineage, survives lost executors."""
+_PATHS: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
+
+
+def written(df: DataFrame, what: str, compression: str = "zstd", shrink: int = 1) -> DataFrame:
+    """``df`` written to the shared folder and read again: cuts lineage, survives lost executors.
+
+    ``shrink``: for tables much smaller than the data, a file for so many shuffle partitions.
+    """
     spark = df.sparkSession
     path = fresh_path(spark, what)
+    if shrink > 1:
+        df = df.coalesce(max(1, int(spark.conf.get("spark.sql.shuffle.partitions")) // shrink))
     df.write.option("compression", compression).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    _PATHS[out] = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes the files of tables that ``written`` gave and nothing will read again."""
+    for df in tables:
+        if path := _PATHS.pop(df, None):
+            spark = df.sparkSession
+            at = spark._jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -31,7 +31,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from subgraph_engine.llm.common import slices, written
+from subgraph_engine.llm.common import discard, slices, written
 from subgraph_engine.llm.components import components
 from subgraph_engine.llm.hashing import blocks, mix, word_hashes
 
@@ -101,7 +101,7 @@ def _needed(threshold: float) -> int:
 
 
 def forest_neighbours(classes: DataFrame, parts: int) -> DataFrame:
-    """``run, a, b``: neighbours in each sorted order; run names the order and the common prefix."""
+    """``run, a, b``, written: neighbours in each sorted order; run names the order and the common prefix."""
 
     def trees(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, 1000):
@@ -149,7 +149,9 @@ def forest_neighbours(classes: DataFrame, parts: int) -> DataFrame:
     pairs = found.where("kind = 'pair'").select("tree", "head", "a", "b")
     if across:
         pairs = pairs.union(found.sparkSession.createDataFrame(across, "tree int, head binary, a long, b long"))
-    return pairs.select(F.xxhash64("tree", "head").alias("run"), "a", "b")
+    out = written(pairs.select(F.xxhash64("tree", "head").alias("run"), "a", "b"), "neighbours", shrink=4)
+    discard(found)
+    return out
 
 
 def _agreeing(pairs: DataFrame, classes: DataFrame, needed: int) -> DataFrame:
@@ -169,7 +171,7 @@ def _agreeing(pairs: DataFrame, classes: DataFrame, needed: int) -> DataFrame:
 
 def _looked_up(table: DataFrame, what: str) -> DataFrame:
     """A table of groups, stored; broadcast if its rows are few, so that hot groups aren't gathered to join it."""
-    table = written(table, what)
+    table = written(table, what, shrink=16)
     return F.broadcast(table) if table.count() <= BROADCAST_ROWS else table
 
 
@@ -197,7 +199,7 @@ def _across_regions(broken: DataFrame, classes: DataFrame, needed: int) -> DataF
     most = sizes.groupBy("run").agg(F.max(F.struct("n", "region"))["region"].alias("main"), F.count("*").alias("regions"), F.ceil(F.sum("n") / RUN_BLOCK).cast("int").alias("blocks"))
     most = most.where("regions > 1").drop("regions")
     rows = broken.join(_looked_up(most, "main_regions"), "run").withColumn("asks", F.col("region") != F.col("main"))
-    rows = written(rows.withColumn("block", _block(F.col("blocks"))), "runs")
+    rows = written(rows.withColumn("block", _block(F.col("blocks"))), "runs", shrink=4)
     asking = rows.where("asks").groupBy("run").agg(F.collect_set("block").alias("asking"))
     rows = rows.join(_looked_up(asking, "asking"), "run").join(classes.select("class", "data"), "class")
     rows = _dealt(rows, F.sequence(F.lit(0), F.col("blocks") - 1), F.col("asking")).select("run", "i", "j", "asks", "class", "region", "data")
@@ -253,7 +255,7 @@ def region_links(members: DataFrame, regions: DataFrame, num: int, den: int) ->
     with more than SET_BLOCK shingles go in blocks.
     """
     sums = regions.groupBy("region").agg(F.min("class").alias("leader"), F.sum("n_shingles").alias("n"))
-    large = written(sums.where(F.col("n") > SET_BLOCK).select("region", "leader", F.ceil(F.col("n") / SET_BLOCK).cast("int").alias("blocks")), "large_regions")
+    large = written(sums.where(F.col("n") > SET_BLOCK).select("region", "leader", F.ceil(F.col("n") / SET_BLOCK).cast("int").alias("blocks")), "large_regions", shrink=16)
     if any_large := not large.isEmpty():
         known = F.broadcast(large) if large.count() <= BROADCAST_ROWS else large
         rows = members.join(known, "region", "left")
@@ -285,7 +287,7 @@ def region_links(members: DataFrame, regions: DataFrame, num: int, den: int) ->
     # the leader joins every block, so that what it links is one component throughout
     at = F.when(F.col("class") == F.col("leader"), F.sequence(F.lit(0), F.col("blocks") - 1)).otherwise(F.array("block"))
     spread = rows.withColumn("block", F.explode(at)).select("region", "block", "class", "data", "leader")
-    links = written(spread.groupBy("region", "block").applyInArrow(within, "a long, b long"), "links_within")
+    links = written(spread.groupBy("region", "block").applyInArrow(within, "a long, b long"), "links_within", shrink=8)
     if not any_large:
         return links
 
@@ -311,7 +313,7 @@ def region_links(members: DataFrame, regions: DataFrame, num: int, den: int) ->
         return pa.table({"a": pa.array([a for a, _ in out], pa.int64()), "b": pa.array([b for _, b in out], pa.int64())})
 
     more = rows.groupBy("region", "i", "j").applyInArrow(between, "a long, b long")
-    return links.union(written(more, "links_between"))
+    return links.union(written(more, "links_between", shrink=8))
 
 
 def near_duplicates(docs: DataFrame, num: int = 75, den: int = 100, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -324,11 +326,11 @@ def near_duplicates(docs: DataFrame, num: int = 75, den: int = 100, id_col: str
     classes = written(grouped.where("doc_id is not null"), "classes")
 
     needed = _needed(num / den)
-    runs = written(forest_neighbours(classes, parts), "neighbours")
+    runs = forest_neighbours(classes, parts)
     pairs = runs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    judged = written(_agreeing(pairs, classes, needed), "judged")
+    judged = written(_agreeing(pairs, classes, needed), "judged", shrink=4)
     near = judged.where("near").select("a", "b")
-    regions = written(components(near), "regions")
+    regions = written(components(near), "regions", shrink=8)
 
     far = judged.where("not near").select("a", "b")
     split = runs.select("run", F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).join(far, ["a", "b"], "left_semi").select("run").distinct()
@@ -336,11 +338,12 @@ def near_duplicates(docs: DataFrame, num: int = 75, den: int = 100, id_col: str
     members = runs.join(_looked_up(long_runs, "split_runs"), "run", "left_semi")
     members = members.select("run", F.explode(F.array("a", "b")).alias("class")).distinct()
     broken = members.join(regions.toDF("class", "region"), "class", "left").withColumn("region", F.coalesce("region", "class"))
-    near = near.union(written(_across_regions(broken, classes, needed), "across"))
+    near = near.union(written(_across_regions(broken, classes, needed), "across", shrink=8))
 
-    regions = written(components(near), "regions")
+    regions = written(components(near), "regions", shrink=8)
+    discard(runs)
     wanted = regions.toDF("class", "region").join(classes.select("class", "doc_id", "n_shingles"), "class")
-    wanted = written(wanted, "wanted")
+    wanted = written(wanted, "wanted", shrink=4)
     if wanted.count() <= BROADCAST_ROWS:
         texts = picked.join(F.broadcast(wanted.select("doc_id").distinct()), "doc_id", "left_semi")
     else:
