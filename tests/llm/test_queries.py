@@ -80,7 +80,7 @@ def brute_languages(model, rows):
         x = np.exp(x - x.max())
         return x / x.sum()
 
-    logs = [model.likelihoods(pa.array([t]))[0] for t, _, _ in rows]
+    logs = [model.likelihoods(pa.array([t], pa.string()))[0] for t, _, _ in rows]
     hosts, domains, total = {}, {}, np.ones(n)
     for x, (_, host, _) in zip(logs, rows, strict=True):
         total = total + normal(x)
