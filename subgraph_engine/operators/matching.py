@@ -56,6 +56,7 @@ class MatchProgram(TaskProgram):
             raise ValueError("the case rules are those of the five-vertex pattern")
         self.plan, self.injective, self.count, self.rules, self.directed = plan, injective, count, rules, directed
         self.max_piece, self.top, self.score = max_piece, top, score
+        self.arcs = directed or any(len(e) > 2 for e in plan.query.edges)  # whether edges matter beyond being there
 
     def _labels(self, layer: int) -> list[str]:
         return sorted({self.plan.query.labels[q] for q in self.plan.layers[layer]})
@@ -98,7 +99,7 @@ class MatchProgram(TaskProgram):
 
     def _known(self, arcs: dict[tuple[int, int], set], u: int, items: list) -> dict[int, str]:
         """The items' labels; the labels of the edges go to ``arcs``, by where these begin and end."""
-        for x in items:
+        for x in items if self.arcs else ():
             if x["out"] is not None or x["elabel"] is not None:
                 arcs.setdefault((x["id"], u) if x["out"] is False else (u, x["id"]), set()).add(x["elabel"])
         return {x["id"]: x["label"] for x in items}
@@ -140,6 +141,8 @@ class MatchProgram(TaskProgram):
         def joined(q1: int, a: int, q2: int, b: int) -> bool:
             if b not in lists.get(a, ()) and a not in lists.get(b, ()):
                 return False
+            if not self.arcs:
+                return True
             for turned, *label in wants[q1, q2]:
                 there = arcs.get((b, a) if turned else (a, b), ())
                 if not self.directed:

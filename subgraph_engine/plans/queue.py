@@ -76,10 +76,12 @@ HEAVY = 100_000
 
 def weights(adjacency: DataFrame) -> tuple[Weights, int]:
     """The weights of an adjacency frame, and all its items; at most HEAVY ids come to the driver."""
-    n, items = adjacency.agg(F.count("*"), F.sum(F.size("nbrs").cast("long"))).first()
-    items = items or 0
+    size = F.size("nbrs").cast("long")
+    n, items, most = adjacency.agg(F.count("*"), F.coalesce(F.sum(size), F.lit(0)), F.coalesce(F.max(size), F.lit(0))).first()
     mean = items / max(n, 1)
     least = max(items / HEAVY, 4 * mean, 1000)
+    if most <= least:
+        return Weights({}, mean), items
     return Weights({r["id"]: r["n"] for r in adjacency.select("id", F.size("nbrs").alias("n")).where(F.col("n") > least).collect()}, mean), items
 
 
