@@ -28,9 +28,9 @@ def same(rows):
     return sorted((tuple(round(v, 6) if isinstance(v, float) else v for v in r) for r in rows), key=lambda r: [(v is None, str(v)) for v in r])
 
 
-#: The smallest tables make the densest graph; searches for quasi-cliques of any size on it take hours. They are
-#: tested on the next tables instead.
-DENSE = {"quasi_maximal", "quasi_largest"}
+#: The smallest tables make the densest graph; searches for quasi-cliques of any size on it take hours, and SQL for
+#: its maximal cliques minutes. They are tested on the next tables instead.
+DENSE = {"quasi_maximal", "quasi_largest", "maximal_count_co_part"}
 
 
 @pytest.mark.parametrize("name", sorted(QUERIES.keys() - DENSE))
@@ -71,3 +71,11 @@ def test_quasi_cliques_of_any_size_on_the_next_tables(spark):
     assert largest == fours  # no set of five, so all of four
     assert not any(set(a) < set(b) for a in maximal for b in maximal)
     assert all(any(set(m) <= set(x) for x in maximal) for m in fours)
+
+
+def test_maximal_cliques_on_the_next_tables(spark):
+    from subgraph_engine.baselines import systems
+
+    sf = "/root/testdata/sf0.01"
+    want = systems.serial(graphs.graph(spark, sf, "co_part"), "maximal_cliques")
+    assert QUERIES["maximal_count_co_part"](spark, sf).first()["cliques"] == want == 168_625
