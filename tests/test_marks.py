@@ -75,3 +75,9 @@ def test_materialised_bits(spark, monkeypatch, is_dense):
     assert isinstance(found, Marks if is_dense else Classes)
     monkeypatch.undo()
     assert systems.materialized(found, "triangles")["value"] == systems.serial(graphs.graph(spark, SF, "co_user"), "triangles") > 0
+
+
+def test_nets_of_bits(spark):
+    g, rows = met(spark)
+    want = systems.serial(g, "triangles")
+    assert systems.ego_cliques(Marks.of(rows), 3) == systems.ego_cliques(g, 3) == (3 * want, want)
