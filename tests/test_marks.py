@@ -81,3 +81,11 @@ def test_nets_of_bits(spark):
     g, rows = met(spark)
     want = systems.serial(g, "triangles")
     assert systems.ego_cliques(Marks.of(rows), 3) == systems.ego_cliques(g, 3) == (3 * want, want)
+
+
+def test_paths_of_bits(spark):
+    g, rows = met(spark)
+    label = F.element_at(F.array(*map(F.lit, "abcd")), (F.pmod("id", F.lit(4)) + 1).cast("int"))
+    labelled = rows.select("id").distinct().select("id", label.alias("label"))
+    want = systems.path_explore(PropertyGraph(g.edges, g.ids().select("id", label.alias("label"))))
+    assert want["closed"] and systems.path_explore(Marks.of(rows), labelled) == want
