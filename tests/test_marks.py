@@ -89,3 +89,11 @@ def test_paths_of_bits(spark):
     labelled = rows.select("id").distinct().select("id", label.alias("label"))
     want = systems.path_explore(PropertyGraph(g.edges, g.ids().select("id", label.alias("label"))))
     assert want["closed"] and systems.path_explore(Marks.of(rows), labelled) == want
+
+
+@pytest.mark.parametrize("forward", [True, False])
+@pytest.mark.parametrize("hops", [1, 2, 3])
+def test_pieces_of_bits(spark, hops, forward):
+    g, rows = met(spark, 40)
+    got = ego_pieces(Marks.of(rows, up=False), hops, forward)
+    assert dict(map(tuple, got.collect())) == dict(map(tuple, ego_pieces(g, hops, forward).collect())) != {}
