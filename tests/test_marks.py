@@ -77,6 +77,13 @@ def test_materialised_bits(spark, monkeypatch, is_dense):
     assert systems.materialized(found, "triangles")["value"] == systems.serial(graphs.graph(spark, SF, "co_user"), "triangles") > 0
 
 
+def test_wedges_of_bits(spark):
+    g, rows = met(spark)
+    got = triangle_count(Marks.of(rows), "wedge")
+    assert "Join" not in got._jdf.queryExecution().executedPlan().toString() and got.first()[0] == systems.serial(g, "triangles") > 0
+    assert triangle_count(Marks.of(rows.limit(0)), "wedge").first()[0] == 0
+
+
 def test_nets_of_bits(spark):
     g, rows = met(spark)
     want = systems.serial(g, "triangles")
@@ -97,3 +104,17 @@ def test_pieces_of_bits(spark, hops, forward):
     g, rows = met(spark, 40)
     got = ego_pieces(Marks.of(rows, up=False), hops, forward)
     assert dict(map(tuple, got.collect())) == dict(map(tuple, ego_pieces(g, hops, forward).collect())) != {}
+
+
+@pytest.mark.parametrize("name", ["base_materialized", "tri_count_co_user_wedge", "base_ego_cliques", "base_path", "ego_two_forward"])
+def test_users_are_no_pairs(spark, monkeypatch, name):
+    want = sorted(map(tuple, PLAIN[name](graphs.lettered(spark, SF, "co_user"))))
+    monkeypatch.setattr(builders, "pairs_of", lambda *a: pytest.fail("pairs are made"))
+    assert sorted(map(tuple, graphs.QUERIES[name](spark, SF).collect())) == want
+
+
+PLAIN = {
+    "base_materialized": lambda g: [(systems.serial(g, "triangles"),)], "tri_count_co_user_wedge": lambda g: [(systems.serial(g, "triangles"),)],
+    "base_ego_cliques": lambda g: [(3 * (n := systems.serial(g, "triangles")), n)], "base_path": lambda g: [tuple(systems.path_explore(g).values())],
+    "ego_two_forward": lambda g: [(r["root"], len(r["members"])) for r in ego_pieces(g, 2, True).collect()],
+}
